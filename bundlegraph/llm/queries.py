@@ -3,7 +3,11 @@
 from __future__ import annotations
 
 from .bpe import vocabulary
-from .common import table
+from .chat import DIGEST_SQL, digest, format_turns, probe_rows
+from .common import table, written
+from .langid import language_report
+from .media import text_media
+from .mixing import REPORT_SQL, mix_report
 from .packing import pack
 from .sharding import byte_shards
 from .token_output import token_table
@@ -21,6 +25,24 @@ def op3_sharding(spark, sf_dir):
     return byte_shards(table(spark, sf_dir, "documents"), shards=40)
 
 
-QUERIES = {f.__name__: f for f in (op1_best_fit_packing, op2_token_output, op3_sharding)}
+def op5_chat_formatting(spark, sf_dir):
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    formatted = written(format_turns(turns.unionByName(probe_rows(turns))), "chat")
+    return digest(formatted)
 
-ORACLES: dict[str, str] = {}
+
+def op6_media_columns(spark, sf_dir):
+    return text_media(table(spark, sf_dir, "documents"))
+
+
+def op7_mixing(spark, sf_dir):
+    return mix_report(table(spark, sf_dir, "documents"), share=1.5, most=2.0)
+
+
+def op9_language_id(spark, sf_dir):
+    return language_report(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id)}
+
+ORACLES = {"op5_chat_formatting": DIGEST_SQL, "op7_mixing": REPORT_SQL}
