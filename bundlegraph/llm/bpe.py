@@ -7,43 +7,118 @@ of a text are those of its chunks in order (tests compare with encoding the text
 
 from __future__ import annotations
 
+import json
 import re
-
-import numpy as np
+import unicodedata
+from array import array
 
 # Python counts 1C to 1F as white space, the tokenizers' patterns don't.
 _CHUNK = re.compile(r"[^\S\x1c-\x1f]*[\S\x1c-\x1f]+|[^\S\x1c-\x1f]+")
 _LONG = 1 << 20
 
 
+# fixed value: the public pattern that byte-level vocabularies split texts by
+BYTE_LEVEL_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: Characters on which all Unicode versions agree, as do the normal forms.
+_PLAIN = re.compile("[\t\n\r -~\u00a1-\u024f]*")
+
+
+def plain_pattern(pattern: str) -> re.Pattern:
+    """The vocabulary's pattern with letters and numbers spelled out, for plain texts only."""
+    spelled = {}
+    for kind in "LN":
+        points = [i for i in range(0x250) if unicodedata.category(chr(i))[0] == kind and _PLAIN.fullmatch(chr(i))]
+        runs = [i for i in points if i - 1 not in points]
+        spelled[kind] = "".join(f"\\u{lo:04x}-\\u{next(i for i in range(lo, 0x251) if i + 1 not in points):04x}" for lo in runs)
+    out, inside, i = [], False, 0
+    while i < len(pattern):
+        if pattern.startswith(("\\p{L}", "\\p{N}"), i):
+            runs = spelled[pattern[i + 3]]
+            out.append(runs if inside else f"[{runs}]")
+            i += 5
+            continue
+        step = 2 if pattern[i] == "\\" else 1
+        inside = pattern[i] == "[" or inside and pattern[i] != "]"
+        out.append(pattern[i : i + step])
+        i += step
+    return re.compile("".join(out))
+
+
+def byte_letters() -> str:
+    """The letter for each byte: printable bytes stand for themselves, the others follow from 256."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    spare = iter(range(256, 512))
+    return "".join(chr(b if b in own else next(spare)) for b in range(256))
+
+
 class ChunkEncoder:
-    """Little-endian unsigned 32-bit ids of texts; the chunk memory holds at most `room` entries."""
+    """Little-endian unsigned 32-bit ids of texts; its memory holds about `room` entries at most.
+
+    A plain text is split by the vocabulary's own pattern and each distinct piece goes once to
+    the library's merge model. Any other text is cut into chunks at white space, and each
+    distinct chunk goes through the library's whole chain.
+    """
 
-    def __init__(self, path: str, room: int = 250_000):
+    def __init__(self, path: str, room: int = 500_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
+        if hasattr(self.tokenizer.model, "_resize_cache"):
+            self.tokenizer.model._resize_cache(0)  # the memories below do its work
         self.room = room
-        self.known: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = {}  # of chunks
+        self.pieces: dict[str, bytes] = {}
+        spec = json.loads(self.tokenizer.to_str())
+        steps = lambda x, key: [] if not x else x[key] if x["type"] == "Sequence" else [x]
+        pre, norm = steps(spec["pre_tokenizer"], "pretokenizers"), steps(spec["normalizer"], "normalizers")
+        self.lower = any(x["type"] == "Lowercase" for x in norm)
+        pattern = None
+        if [x["type"] for x in pre] == ["ByteLevel"] and pre[0]["use_regex"] and not pre[0]["add_prefix_space"] and not norm:
+            pattern = BYTE_LEVEL_PATTERN
+        elif [x["type"] for x in pre] == ["Split", "ByteLevel"] and pre[0]["behavior"] == "Removed" and pre[0]["invert"] and not pre[1]["use_regex"] and {x["type"] for x in norm} <= {"NFC", "Replace", "Lowercase"}:
+            pattern = pre[0]["pattern"]["Regex"]
+        self.split = pattern and plain_pattern(pattern).findall
+        self.letters = byte_letters()
+
+    def _learn_pieces(self, pieces: set[str]) -> None:
+        new = pieces - self.pieces.keys()
+        if len(new) + len(self.pieces) > self.room:
+            self.pieces = {}
+            new = pieces
+        known, letters, merge = self.pieces, self.letters, self.tokenizer.model.tokenize
+        for p in new:
+            known[p] = array("I", [t.id for t in merge(p.encode().decode("latin-1").translate(letters))]).tobytes()
 
     def _learn(self, chunks: set[str]) -> None:
-        new = list(chunks - self.known.keys())
+        new = chunks - self.known.keys()
         if len(new) + len(self.known) > self.room:
             self.known = {}
-            new = list(chunks)
+            new = chunks
+        new = list(new)
         for i in range(0, len(new), 2000):
             part = new[i : i + 2000]
             for c, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                self.known[c] = np.asarray(e.ids, dtype="<u4").tobytes()
+                self.known[c] = array("I", e.ids).tobytes()
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
-        cut = [_CHUNK.findall(t) if t and len(t) <= _LONG else None for t in texts]
-        self._learn({c for chunks in cut if chunks for c in chunks})
-        at = self.known.__getitem__
-        return [b"".join(map(at, chunks)) if chunks else self._long(t or "") if t else b"" for t, chunks in zip(texts, cut)]
+        """The ids of each text; a null text has none."""
+        out, cut, split = [b""] * len(texts), {}, {}
+        for i, t in enumerate(texts):
+            if t and len(t) > _LONG:
+                out[i] = self._long(t)
+            elif t and self.split and _PLAIN.fullmatch(t):
+                split[i] = self.split(t.lower() if self.lower else t)
+            elif t:
+                cut[i] = _CHUNK.findall(t)
+        for parts, learn, name in ((split, self._learn_pieces, "pieces"), (cut, self._learn, "known")):
+            learn({c for found in parts.values() for c in found})
+            at = getattr(self, name).__getitem__
+            for i, found in parts.items():
+                out[i] = b"".join(map(at, found))
+        return out
 
     def _long(self, text: str) -> bytes:
         out, batch = [], []

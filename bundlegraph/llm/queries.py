@@ -8,6 +8,8 @@ from .common import table, written
 from .langid import language_report
 from .media import text_media
 from .mixing import REPORT_SQL, mix_report
+from .near_dup import REPORT_SQL as NEAR_SQL
+from .near_dup import near_duplicates
 from .packing import pack
 from .sharding import byte_shards
 from .token_output import token_table
@@ -43,6 +45,13 @@ def op9_language_id(spark, sf_dir):
     return language_report(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id)}
+def op10_minhash_near_dedup(spark, sf_dir):
+    return near_duplicates(table(spark, sf_dir, "documents"), words=4, percent=80)
 
-ORACLES = {"op5_chat_formatting": DIGEST_SQL, "op7_mixing": REPORT_SQL}
+
+QUERIES = {
+    f.__name__: f
+    for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id, op10_minhash_near_dedup)
+}
+
+ORACLES = {"op5_chat_formatting": DIGEST_SQL, "op7_mixing": REPORT_SQL, "op10_minhash_near_dedup": NEAR_SQL}
