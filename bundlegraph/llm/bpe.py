@@ -59,7 +59,7 @@ class ChunkEncoder:
     distinct chunk goes through the library's whole chain.
     """
 
-    def __init__(self, path: str, room: int = 500_000):
+    def __init__(self, path: str, room: int = 800_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
