@@ -13,6 +13,7 @@ from .near_dup import near_duplicates
 from .packing import pack
 from .sharding import byte_shards
 from .token_output import token_table
+from .toxicity import toxicity_report
 
 
 def op1_best_fit_packing(spark, sf_dir):
@@ -27,6 +28,10 @@ def op3_sharding(spark, sf_dir):
     return byte_shards(table(spark, sf_dir, "documents"), shards=40)
 
 
+def op4_toxicity(spark, sf_dir):
+    return toxicity_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op5_chat_formatting(spark, sf_dir):
     turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     formatted = written(format_turns(turns.unionByName(probe_rows(turns))), "chat")
@@ -51,7 +56,7 @@ def op10_minhash_near_dedup(spark, sf_dir):
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id, op10_minhash_near_dedup)
+    for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op4_toxicity, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id, op10_minhash_near_dedup)
 }
 
 ORACLES = {"op5_chat_formatting": DIGEST_SQL, "op7_mixing": REPORT_SQL, "op10_minhash_near_dedup": NEAR_SQL}
