@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
 from .bpe import vocabulary
 from .chat import DIGEST_SQL, digest, format_turns, probe_rows
 from .common import table, written
@@ -10,6 +12,7 @@ from .media import text_media
 from .mixing import REPORT_SQL, mix_report
 from .near_dup import REPORT_SQL as NEAR_SQL
 from .near_dup import near_duplicates
+from .neighbours import nearest
 from .packing import pack
 from .sharding import byte_shards
 from .token_output import token_table
@@ -46,6 +49,10 @@ def op7_mixing(spark, sf_dir):
     return mix_report(table(spark, sf_dir, "documents"), share=1.5, most=2.0)
 
 
+def op8_nearest_neighbours(spark, sf_dir):
+    return nearest(table(spark, sf_dir, "embeddings"), "vec_id", "embedding", lambda i: F.pmod(i, F.lit(20)) == 0, k=20)
+
+
 def op9_language_id(spark, sf_dir):
     return language_report(table(spark, sf_dir, "documents"))
 
@@ -56,7 +63,7 @@ def op10_minhash_near_dedup(spark, sf_dir):
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op4_toxicity, op5_chat_formatting, op6_media_columns, op7_mixing, op9_language_id, op10_minhash_near_dedup)
+    for f in (op1_best_fit_packing, op2_token_output, op3_sharding, op4_toxicity, op5_chat_formatting, op6_media_columns, op7_mixing, op8_nearest_neighbours, op9_language_id, op10_minhash_near_dedup)
 }
 
 ORACLES = {"op5_chat_formatting": DIGEST_SQL, "op7_mixing": REPORT_SQL, "op10_minhash_near_dedup": NEAR_SQL}
