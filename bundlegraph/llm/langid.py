@@ -152,15 +152,16 @@ def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred"
     """The columns of `keep` (doc_id if not given) with prediction and score."""
     kept = keep or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
+    at = kept.index("text") if "text" in kept else len(kept)
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(shared.value)
         for b in batches:
-            got = [scorer.score(t) for t in b.column(len(kept)).to_pylist()]
+            got = [scorer.score(t) for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(kept))), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], [*kept, name, score])
 
-    return docs.select(*[F.col(f"`{c}`") for c in kept], F.col("text").alias("__text")).mapInArrow(run, f"{fields}, `{name}` string, `{score}` double")
+    return docs.select(*[F.col(f"`{c}`") for c in kept], *([] if "text" in kept else ["text"])).mapInArrow(run, f"{fields}, `{name}` string, `{score}` double")
 
 
 def language_report(docs: DataFrame, folds: int = 3, held: int = 1, train_docs: int = 6000) -> DataFrame:

@@ -49,7 +49,7 @@ def filesystem(uri: str):
 class FrameWriter:
     """Writes one file; documents must come in their final order."""
 
-    def __init__(self, sink, level: int = 3):
+    def __init__(self, sink, level: int = 1):
         import zstandard
 
         self.sink = sink

@@ -144,19 +144,20 @@ class Network:
             g["U" + side], g["W" + side], g["b" + side] = du, dw, db
         return loss, g
 
-    def train(self, x: np.ndarray, mask: np.ndarray, y: np.ndarray, epochs: int, rng, rate: float = 0.01, batch: int = 256) -> float:
+    def train(self, x: np.ndarray, mask: np.ndarray, y: np.ndarray, steps: int, rng, rate: float = 0.01, batch: int = 128) -> float:
         weight = np.where(y == 1, len(y) / max(1, 2 * y.sum()), len(y) / max(1, 2 * (1 - y).sum())).astype(np.float32)
         m = {k: np.zeros_like(v) for k, v in self.p.items()}
         v = {k: np.zeros_like(v) for k, v in self.p.items()}
-        step, loss = 0, 0.0
-        for _ in range(epochs):
-            for part in np.array_split(rng.permutation(len(y)), max(1, len(y) // batch)):
-                loss, g = self.gradients(x[part], mask[part], y[part].astype(np.float32), weight[part])
-                step += 1
-                for k in self.p:
-                    m[k] = 0.9 * m[k] + 0.1 * g[k]
-                    v[k] = 0.99 * v[k] + 0.01 * g[k] * g[k]
-                    self.p[k] -= (rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-7)).astype(np.float32)
+        loss, order, at = 0.0, rng.permutation(len(y)), 0
+        for step in range(1, steps + 1):
+            part, at = order[at : at + batch], at + batch
+            if at >= len(y):
+                order, at = rng.permutation(len(y)), 0
+            loss, g = self.gradients(x[part], mask[part], y[part].astype(np.float32), weight[part])
+            for k in self.p:
+                m[k] = 0.9 * m[k] + 0.1 * g[k]
+                v[k] = 0.99 * v[k] + 0.01 * g[k] * g[k]
+                self.p[k] -= (rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-7)).astype(np.float32)
         return loss
 
 
@@ -251,7 +252,7 @@ class ToxicityModel:
         return out
 
 
-def fit_network(texts: list[str], labels: list[int], rounds: int = 3, epochs: int = 6) -> ToxicityModel:
+def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int = 300) -> ToxicityModel:
     """Train on whole labelled texts; equal texts count once."""
     uniq = {t: y for t, y in zip(texts, labels) if t and t.split()}
     tokens, y = [t.split() for t in uniq], np.array(list(uniq.values()))
@@ -276,7 +277,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, epochs: in
         picked = np.unique(np.concatenate([picked, extra[y[doc[extra]] == 0]]))
         mask = np.arange(WINDOW) < size[picked, None]
         ids = np.where(mask, flat[np.minimum(start[picked, None] + np.arange(WINDOW), len(flat) - 1)], 0)
-        model.net.train(feats[ids], mask, y[doc[picked]], epochs, rng, rate=0.01 if k == 0 else 0.004)
+        model.net.train(feats[ids], mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
         model.types = None
         logit = model.window_logits(tokens)[1]
     top = np.maximum.reduceat(logit, first)
@@ -307,15 +308,16 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None
     """The columns of `keep` (doc_id if not given) and a score of the whole text."""
     kept = keep or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
+    at = kept.index("text") if "text" in kept else len(kept)
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for lo in range(0, b.num_rows, 1000):
                 part = b.slice(lo, 1000)
-                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(kept))), pa.array(shared.value.scores(part.column(len(kept)).to_pylist()))], [*kept, name])
+                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(kept))), pa.array(shared.value.scores(part.column(at).to_pylist()))], [*kept, name])
 
-    return docs.select(*[F.col(f"`{c}`") for c in kept], F.col("text").alias("__text")).mapInArrow(run, f"{fields}, `{name}` double")
+    return docs.select(*[F.col(f"`{c}`") for c in kept], *([] if "text" in kept else ["text"])).mapInArrow(run, f"{fields}, `{name}` double")
 
 
 def toxicity_report(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, sample: int = 1500) -> DataFrame:
