@@ -18,7 +18,8 @@ rows score alike, empty tables give no rows, other columns are ignored.
 from __future__ import annotations
 
 import math
-from collections import Counter
+import zlib
+from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -45,21 +46,31 @@ class Inputs:
     @staticmethod
     def parts(w: str) -> list[str]:
         m = f"^{w}$"
-        return [m[i : i + n] for n in (3, 4, 5) for i in range(len(m) - n + 1)]
+        return [m[i : i + n] for n in (4, 5) for i in range(len(m) - n + 1)]
 
     @classmethod
-    def fit(cls, docs: list[tuple[set[str], int]], least: int = 3) -> "Inputs":
-        n = [sum(1 for _, y in docs if y == k) for k in (0, 1)]
-        words, grams = (Counter(), Counter()), (Counter(), Counter())
-        for found, y in docs:
-            words[y].update(found)
-            grams[y].update({g for w in found for g in cls.parts(w)})
-
-        def odds(table: tuple[Counter, Counter]) -> dict[str, float]:
-            smooth = 2.0  # keeps words of a few documents near zero
-            return {k: math.log((table[1][k] + smooth) / (n[1] + 2 * smooth)) - math.log((table[0][k] + smooth) / (n[0] + 2 * smooth)) for k in table[0].keys() | table[1].keys() if table[0][k] + table[1][k] >= least}
-
-        return cls(odds(words), {k: v for k, v in odds(grams).items() if abs(v) > 0.2})
+    def fit(cls, docs: list[tuple[set[str], int, int]], folds: int, least: int = 3) -> list["Inputs"]:
+        """docs: words, label, fold. Odds without each fold in turn, then those of all documents."""
+        n = Counter((f, y) for _, y, f in docs)
+        words, grams = defaultdict(Counter), defaultdict(Counter)
+        for found, y, f in docs:
+            words[f, y].update(found)
+            grams[f, y].update({g for w in found for g in cls.parts(w)})
+        smooth = 3.0  # keeps what few documents hold near zero
+
+        def odds(table: dict, out: int) -> dict[str, float]:
+            seen = [Counter(), Counter()]
+            size = [0, 0]
+            for y in (0, 1):
+                for f in range(folds):
+                    if f != out:
+                        seen[y].update(table[f, y])
+                        size[y] += n[f, y]
+            clean, toxic = seen
+            base = math.log((size[0] + 2 * smooth) / (size[1] + 2 * smooth))
+            return {k: math.log((toxic[k] + smooth) / (clean[k] + smooth)) + base for k in clean.keys() | toxic.keys() if clean[k] + toxic[k] >= least}
+
+        return [cls(odds(words, f), {k: v for k, v in odds(grams, f).items() if abs(v) > 0.2}) for f in range(folds + 1)]
 
     def of(self, token: str) -> tuple[float, ...]:
         w = token.lower().strip(_EDGE)
@@ -252,34 +263,57 @@ class ToxicityModel:
         return out
 
 
-def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int = 300) -> ToxicityModel:
-    """Train on whole labelled texts; equal texts count once."""
+def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int = 300, folds: int = 4) -> ToxicityModel:
+    """Train on whole labelled texts; equal texts count once.
+
+    A document's inputs in training come from odds that did not see its fold, as will be so for
+    new documents. The fold is a minhash of the words, so near copies mostly share one.
+    """
     uniq = {t: y for t, y in zip(texts, labels) if t and t.split()}
     tokens, y = [t.split() for t in uniq], np.array(list(uniq.values()))
     if len(set(y.tolist())) < 2:
         return ToxicityModel(None, None)
-    inputs = Inputs.fit([({w.lower().strip(_EDGE) for w in t} - {""}, int(k)) for t, k in zip(tokens, y)])
+    bare = [{w.lower().strip(_EDGE) for w in t} - {""} for t in tokens]
+    fold_of = [min((zlib.crc32(w.encode()) for w in b), default=0) % folds for b in bare]
+    *without, inputs = Inputs.fit(list(zip(bare, y.tolist(), fold_of)), folds)
     model, rng = ToxicityModel(inputs, Network()), np.random.default_rng(11)
     lengths = np.array([len(t) for t in tokens], dtype=np.int64)
     doc, start, size = windows(lengths)
-    seen: dict[str, int] = {}
-    flat = np.fromiter((seen.setdefault(w, len(seen) + 1) for t in tokens for w in t), dtype=np.int64, count=int(lengths.sum()))
-    flat = np.append(flat, 0)
-    feats = np.array([(0.0,) * INPUTS, *(inputs.of(w) for w in seen)], dtype=np.float32)
-    worst = np.maximum(feats[:, 0], feats[:, 3])
-    csum = np.maximum.reduceat(worst[flat[np.minimum(np.concatenate([s + np.arange(n) for s, n in zip(start, size)]), len(flat) - 1)]], np.cumsum(size) - size)
+    seen: list[dict[str, int]] = [{} for _ in range(folds)]
+    feats: list[tuple[float, ...]] = [(0.0,) * INPUTS]
+    flat = []
+    for t, f in zip(tokens, fold_of):
+        known, odds = seen[f], without[f]
+        for w in t:
+            i = known.get(w)
+            if i is None:
+                i = known[w] = len(feats)
+                feats.append(odds.of(w))
+            flat.append(i)
+    feats, flat = np.array(feats, dtype=np.float32), np.array([*flat, 0], dtype=np.int64)
+
+    def ids(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        mask = np.arange(WINDOW) < size[rows, None]
+        return np.where(mask, flat[np.minimum(start[rows, None] + np.arange(WINDOW), len(flat) - 1)], 0), mask
+
+    def all_logits() -> np.ndarray:
+        gf, gb = model.net.project(feats)
+        out = np.empty(len(doc), dtype=np.float32)
+        for lo in range(0, len(doc), 8192):
+            at, mask = ids(np.arange(lo, min(lo + 8192, len(doc))))
+            out[lo : lo + len(at)] = model.net.forward(lambda t: gf[at[:, t]], lambda t: gb[at[:, t]], mask)
+        return out
+
+    hint = np.maximum(feats[:, 0], feats[:, 3])
+    logit = np.concatenate([hint[ids(np.arange(lo, min(lo + 8192, len(doc))))[0]].max(axis=1) for lo in range(0, len(doc), 8192)])
     first = np.flatnonzero(np.r_[True, np.diff(doc) > 0])
-    logit = csum
     for k in range(rounds):
         order = np.lexsort((-logit, doc))  # the worst window of each document comes first
-        picked = order[first]
         extra = rng.choice(len(doc), size=min(len(doc), 2 * len(first)), replace=False)
-        picked = np.unique(np.concatenate([picked, extra[y[doc[extra]] == 0]]))
-        mask = np.arange(WINDOW) < size[picked, None]
-        ids = np.where(mask, flat[np.minimum(start[picked, None] + np.arange(WINDOW), len(flat) - 1)], 0)
-        model.net.train(feats[ids], mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
-        model.types = None
-        logit = model.window_logits(tokens)[1]
+        picked = np.unique(np.concatenate([order[first], extra[y[doc[extra]] == 0]]))
+        at, mask = ids(picked)
+        model.net.train(feats[at], mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
+        logit = all_logits()
     top = np.maximum.reduceat(logit, first)
     pos, neg = np.sort(top[y == 1]), np.sort(top[y == 0])
     cuts = np.unique(np.concatenate([pos, neg]))
@@ -287,7 +321,6 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     wrong = np.searchsorted(pos, mids) / len(pos) + (len(neg) - np.searchsorted(neg, mids)) / len(neg)
     best = np.flatnonzero(wrong <= wrong.min() + 1e-12)
     model.lift = -float(mids[best[len(best) // 2]])
-    model.types = None
     return model
 
 
