@@ -212,6 +212,6 @@ def nearest(df: DataFrame, key: str, vector: str, is_query, k: int = 20, tables:
         return got
     # the exact way for the rest: every bucket of one table
     cells = table.where("t = 0").select("t", "cell").distinct()
-    everywhere = short.join(F.broadcast(cells)).select("t", "cell", F.lit(None).cast("array<long>").alias("buckets"), F.col("id").alias("q"), F.col("v").alias("qv"))
+    everywhere = written(short.join(F.broadcast(cells)).select("t", "cell", F.lit(None).cast("array<long>").alias("buckets"), F.col("id").alias("q"), F.col("v").alias("qv")), "ann-everywhere")
     rest = ranked(_search(table.where("t = 0"), everywhere, k))
     return got.join(short.select(F.col("id").alias("query_id")), "query_id", "left_anti").select("query_id", "rank", "vec_id", "score").unionByName(rest)
