@@ -8,11 +8,12 @@ Tensored banding: two collections of `tables` sub-keys each, every sub-key made
 minhashes. A table is a pair of sub-keys, one of each collection, so tables**2 tables cost only
 2 * tables * rows minhashes. Two sets meet if they share a sub-key of both collections.
 
-Links: within a bucket pairs are never all emitted. In each round some members lead: they are
-compared on full sets with the members of other components, then leave the bucket. A bucket is
-done when what is left in it is one component. Leaders come from the smallest components first
-and double eight-fold from round to round, so every pair that meets in a bucket is either
-compared or already connected: no bucket is capped.
+Links: first each member of a bucket is compared on full sets with the bucket's smallest member,
+and the links give components; a group of copies mostly falls into one. Buckets that still hold
+two components are open. What open buckets tie together is a cluster, and in a cluster each pair
+of two components is compared, block against block within tasks: only links leave a task, never
+pairs, and blocks of one component are not compared with each other. So every pair that meets in
+a bucket is compared or already connected, and no bucket is capped.
 
 Nulls: null and blank texts have no shingles and are linked with nothing; rows with a null
 doc_id are returned alone with a null component. doc_id is the identity of a document; repeated
@@ -143,6 +144,63 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(F.col("i") * 100 >= F.lit(percent) * (F.col("s") - F.col("i"))).select("a", "b")
 
 
+def cross_links(inside: DataFrame, sets: DataFrame, percent: int, room: int = 200_000) -> DataFrame:
+    """inside: rep, comp, cluster. a, b: pairs of components of a cluster with a link between them.
+
+    Members are dealt into blocks of about `room` shingles. Large components have blocks of their
+    own, small ones share some; every two blocks of a cluster meet in one task, but for two of the
+    same large component.
+    """
+    rows = written(inside.join(sets, "rep").select("rep", "comp", "cluster", "shingles", F.size("shingles").alias("n")), "members")
+    comp_size = rows.groupBy("cluster", "comp").agg(F.sum("n").alias("w"))
+    small = comp_size.where(F.col("w") < room).groupBy("cluster").agg(F.ceil(F.sum("w") / room).cast("int").alias("shared"))
+    plan = comp_size.join(small, "cluster", "left")
+    own = F.when(F.col("w") >= room, F.ceil(F.col("w") / room).cast("int"))
+    # a block: (own component or null, number)
+    plan = written(plan.select("cluster", "comp", own.alias("parts"), F.coalesce("shared", F.lit(1)).alias("shared")), "blocks")
+    block = F.when(F.col("parts").isNull(), F.struct(F.lit(None).cast("long").alias("of"), F.pmod(F.xxhash64("comp"), F.col("shared")).cast("int").alias("no"))).otherwise(F.struct(F.col("comp").alias("of"), F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int").alias("no")))
+    placed = rows.join(plan, ["cluster", "comp"]).select("cluster", "rep", "comp", "shingles", block.alias("block"))
+    last = F.coalesce("parts", "shared") - 1
+    blocks = plan.select("cluster", F.when(F.col("parts").isNotNull(), F.col("comp")).alias("of"), last.alias("last")).distinct().select("cluster", "of", F.explode(F.sequence(F.lit(0), F.col("last"))).alias("no")).select("cluster", F.struct("of", "no").alias("block"))
+    blocks = written(blocks, "block-list")
+    other = blocks.select("cluster", F.col("block").alias("block2"))
+    meet = blocks.join(other, "cluster").where((F.col("block") <= F.col("block2")) & ~F.coalesce(F.col("block.of") == F.col("block2.of"), F.lit(False)))
+    meet = written(meet, "meetings")
+
+    def compare(x, y):
+        import pandas as pd
+
+        none = pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64")})
+        if not len(x) or not len(y):
+            return none
+        sets_y = [s.view(np.uint64) for s in y["rs"]]
+        flat = np.concatenate(sets_y)
+        size_y = np.array([len(s) for s in sets_y])
+        at = np.cumsum(size_y) - size_y
+        known, where = np.unique(flat, return_inverse=True)
+        comp_y, out = y["rc"].to_numpy(), set()
+        for comp, s in zip(x["lc"].to_numpy(), x["ls"]):
+            s = s.view(np.uint64)
+            if not ((size_y * 100 >= len(s) * percent) & (comp_y != comp)).any():
+                continue
+            pos = np.searchsorted(known, s)
+            pos[pos == len(known)] = 0
+            mark = np.zeros(len(known), dtype=np.int32)
+            mark[pos[known[pos] == s]] = 1
+            common = np.add.reduceat(mark[where], at)
+            hit = (comp_y != comp) & (common * 100 >= percent * (size_y + len(s) - common))
+            out |= {(min(comp, c), max(comp, c)) for c in comp_y[hit].tolist()}
+        return pd.DataFrame(sorted(out), columns=["a", "b"]).astype("int64") if out else none
+
+    keys = ["cluster", "block", "block2"]
+    left = placed.join(meet, ["cluster", "block"]).select(*keys, "comp", "shingles")
+    right = placed.withColumnRenamed("block", "block2").join(meet, ["cluster", "block2"]).select(*keys, "comp", "shingles")
+    tag = F.concat_ws("|", F.col("cluster").cast("string"), F.to_json("block"), F.to_json("block2")).alias("k")
+    left = left.select(tag, F.col("comp").alias("lc"), F.col("shingles").alias("ls"))
+    right = right.select(tag, F.col("comp").alias("rc"), F.col("shingles").alias("rs"))
+    return left.groupBy("k").cogroup(right.groupBy("k")).applyInPandas(compare, "a long, b long").distinct()
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, tables: int = 12, rows: int = 3) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable), kept."""
     sig = written(signatures(docs, words, tables, rows), "signatures")
@@ -153,45 +211,23 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, tables:
     wanted = held.select("rep").distinct().join(classes.select("rep", F.col("k1").alias("w1"), F.col("k2").alias("w2")), "rep")
     sets = written(full_sets(docs, wanted, words), "sets")
 
-    members = held.withColumn("comp", F.col("rep"))  # key, rep, n, comp
-    comps, done, leaders = None, None, 1
-    while True:
-        # leaders: members of the smallest components of each bucket
-        if leaders == 1:
-            lead = members.groupBy("key").agg(F.min_by(F.struct("rep", "n", "comp"), "rep").alias("l"))
-            lead = lead.select("key", F.col("l.rep").alias("l_rep"), F.col("l.n").alias("l_n"), F.col("l.comp").alias("l_comp"))
-        else:
-            from pyspark.sql import Window
-
-            sizes = members.groupBy("key", "comp").agg(F.count("*").alias("in_bucket"))
-            ranked = members.join(sizes, ["key", "comp"]).withColumn("nth", F.row_number().over(Window.partitionBy("key").orderBy("in_bucket", "rep")))
-            lead = ranked.where(F.col("nth") <= leaders).select("key", F.col("rep").alias("l_rep"), F.col("n").alias("l_n"), F.col("comp").alias("l_comp"))
-        lead = written(lead, "leaders")
-        near = F.least("n", "l_n") * 100 >= F.greatest("n", "l_n") * percent  # else too unequal in size to be linked
-        pairs = members.join(lead, "key").where((F.col("comp") != F.col("l_comp")) & near).select(F.least("rep", "l_rep").alias("a"), F.greatest("rep", "l_rep").alias("b")).distinct()
-        if done is not None:
-            pairs = pairs.join(done, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
-        links = verified(pairs, sets, percent)
-        if comps is not None:
-            of = lambda side: comps.select(F.col("node").alias(side), F.col("comp").alias(f"c{side}"))
-            links = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
-        merged = written(connected(links), "merged")
-        if comps is None:
-            comps = merged
-        else:
-            up = merged.select(F.col("node").alias("m"), F.col("comp").alias("to"))
-            moved = comps.join(up, F.col("comp") == F.col("m"), "left").select("node", F.coalesce("to", "comp").alias("comp"))
-            comps = written(moved.unionByName(merged.join(comps, "node", "left_anti")), "comps")
-        done = pairs if done is None else written(done.unionByName(pairs), "done")
-        # leaders leave; a bucket stays while it holds members of two components
-        left = members.select("key", "rep", "n").join(lead.select("key", F.col("l_rep").alias("rep")), ["key", "rep"], "left_anti")
-        left = left.join(comps.select(F.col("node").alias("rep"), F.col("comp").alias("c")), "rep", "left").select("key", "rep", "n", F.coalesce("c", "rep").alias("comp"))
-        open_ = left.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-        members = written(left.join(open_, "key"), "members")
-        if members.isEmpty():
-            break
-        leaders = min(leaders * 8, 1 << 20)
+    # stars: every member against the smallest one of its bucket
+    low = held.groupBy("key").agg(F.min_by(F.struct("rep", "n"), "rep").alias("l")).select("key", F.col("l.rep").alias("l_rep"), F.col("l.n").alias("l_n"))
+    near = F.least("n", "l_n") * 100 >= F.greatest("n", "l_n") * percent  # else too unequal in size to be linked
+    stars = held.join(low, "key").where((F.col("rep") != F.col("l_rep")) & near).select(F.col("l_rep").alias("a"), F.col("rep").alias("b")).distinct()
+    comps = written(connected(verified(stars, sets, percent)), "comps")
+
+    # open buckets: two components or more
+    of = comps.withColumnRenamed("node", "rep")
+    members = held.select("key", "rep").join(of, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp"))
+    open_ = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key", "lo")
+    opened = written(members.join(open_, "key"), "open-buckets")
+    ties = written(connected(opened.select(F.col("comp").alias("a"), F.col("lo").alias("b"))), "ties")
+    inside = opened.select("rep", "comp").distinct().join(ties.select(F.col("node").alias("comp"), F.col("comp").alias("cluster")), "comp")
+    links = written(cross_links(inside, sets, percent), "cross-links")
+    up = connected(links)
+    moved = comps.join(up.select(F.col("node").alias("m"), F.col("comp").alias("to")), F.col("comp") == F.col("m"), "left").select("node", F.coalesce("to", "comp").alias("comp"))
+    comps = written(moved.unionByName(up.join(comps, "node", "left_anti").select("node", "comp")), "all-comps")
 
     of_rep = classes.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("k1", "k2", F.coalesce("comp", "rep").alias("component_id"))
     known = sig.select("doc_id", "n", "k1", "k2")
