@@ -139,13 +139,16 @@ class ChunkEncoder:
 _ENCODERS: dict[str, ChunkEncoder] = {}
 
 
-def encoder(path: str) -> ChunkEncoder:
+def encoder(path: str, room: int = 800_000) -> ChunkEncoder:
     """One encoder for each worker process and vocabulary file."""
+    from .common import take_over
+
+    take_over(f"encoder {path}", _ENCODERS.clear)
     if path not in _ENCODERS:
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        _ENCODERS[path] = ChunkEncoder(path)
+        _ENCODERS[path] = ChunkEncoder(path, room)
     return _ENCODERS[path]
 
 

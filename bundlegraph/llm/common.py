@@ -1,55 +1,29 @@
-"""Shared plumbing: cluster-wide scratch tables, table reading, partition offsets."""
+"""Shared plumbing: table reading, partition offsets, memory of worker processes."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
+
+from ..functions.scratch import drop_path, nullable, scratch_path, scratch_root, written
 
 #: fixed value: a word is a run of anything but ASCII white space
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """Folder that driver and executors share: spark.checkpoint.dir of the session.
-
-    Only where it is unset (tests on one machine) a temporary folder is made and removed at exit.
-    """
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        root = held.get() if held.isDefined() else None
-    if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="bundlegraph-")
-        atexit.register(shutil.rmtree, root[len("file://"):], ignore_errors=True)
-        spark.conf.set("spark.checkpoint.dir", root)
-    return root
-
-
-def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+def take_over(name: str, release) -> None:
+    """A worker process is used again by other operators: what they still hold goes first."""
+    import gc
 
+    others = [k for k in _HELD if k != name]
+    for k in others:
+        _HELD.pop(k)()
+    if others:
+        gc.collect()
+    _HELD[name] = release
 
-def drop_path(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
-
-def written(df: DataFrame, name: str, codec: str = "snappy") -> DataFrame:
-    """df as a table in the shared folder: cuts lineage, survives lost executors."""
-    path = scratch_path(df.sparkSession, name)
-    df.write.option("compression", codec).parquet(path)
-    return df.sparkSession.read.schema(nullable(df.schema)).parquet(path)
-
-
-def nullable(schema: T.StructType) -> T.StructType:
-    return T.StructType([T.StructField(f.name, f.dataType, True) for f in schema])
+_HELD: dict = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -66,3 +40,6 @@ def running_offsets(totals: DataFrame, keys: list[str], part: str, sums: list[st
 
     w = Window.partitionBy(*keys).orderBy(part).rowsBetween(Window.unboundedPreceding, -1)
     return totals.select(*keys, part, *[F.coalesce(F.sum(c).over(w), F.lit(0)).alias(f"{c}_before") for c in sums])
+
+
+__all__ = ["WORD", "drop_path", "nullable", "running_offsets", "scratch_path", "scratch_root", "table", "take_over", "written"]

@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import take_over
+
 _WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
 
@@ -156,6 +158,7 @@ def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred"
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("langid", lambda: None)
         scorer = Scorer(shared.value)
         for b in batches:
             got = [scorer.score(t) for t in b.column(at).to_pylist()]

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import take_over, written
 from .components import connected
 
 _ALL = (1 << 64) - 1
@@ -89,6 +89,7 @@ def signatures(docs: DataFrame, words: int, tables: int, rows: int) -> DataFrame
     """doc_id, n, k1, k2 (the set's key), a, b (sub-keys of the two collections)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("near_dup", lambda: None)
         known = _WordHashes()
         for batch in batches:
             n, k1, k2, a, b = [], [], [], [], []
@@ -111,6 +112,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
     """rep, shingles of the documents in wanted (rep, w1, w2), made again from their texts."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("near_dup", lambda: None)
         known = _WordHashes()
         for batch in batches:
             ids, sets = [], []

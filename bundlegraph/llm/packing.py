@@ -216,7 +216,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int) -> D
     def cut(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, enc, end = TaskContext.get().partitionId(), encoder(tokenizer), struct.pack("<I", end_id)
+        part, enc, end = TaskContext.get().partitionId(), encoder(tokenizer, 400_000), struct.pack("<I", end_id)
         seen = [0] * (capacity + 1)
         for b in batches:
             texts, ids = b.column(1).to_pylist(), b.column(0).to_pylist()

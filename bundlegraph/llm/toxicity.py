@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import take_over
 from .langid import fold
 
 WINDOW, STRIDE, INPUTS, HIDDEN, ATTEND = 32, 16, 6, 8, 8
@@ -205,6 +206,9 @@ class ToxicityModel:
     def __getstate__(self):
         return self.__dict__ | {"types": None, "gf": None, "gb": None}
 
+    def forget(self) -> None:
+        self.types = self.gf = self.gb = None
+
     def _reset(self) -> None:
         self.types = _Types(self)
         gf, gb = self.net.project(np.zeros((1, INPUTS), dtype=np.float32))
@@ -345,6 +349,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("toxicity", shared.value.forget)
         for b in batches:
             for lo in range(0, b.num_rows, 1000):
                 part = b.slice(lo, 1000)
