@@ -1,0 +1,279 @@
+"""One registered query for each method, variant, baseline, measure and operator, with its SQL."""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .model import MatchSpec, QueryGraph
+from .operators import baselines, reuse
+from .operators.batched import batched
+from .operators.filters import by_degree, by_label, by_neighbour_labels, candidate_table, filter_candidates, refine_to_fixpoint
+from .operators.kernel import kernel_counters
+from .operators.levels import seed
+from .operators.match import candidate_counts, match, prepare
+from .plans.pattern import parse
+from .sources import graphs as G
+from .sources.graphs import GRAPH_SQL, TAG
+from .sqlapi import match_sql, with_intersection
+from .streaming import matching as S
+from .workload import SOCIAL, shape, social
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def sql(graph: str, q: QueryGraph, select: str = "count(*) AS n", iso: bool = True, extra: str = "", tail: str = "") -> str:
+    """The query as one DuckDB join over a graph of GRAPH_SQL."""
+    v, e = GRAPH_SQL[graph]
+    froms = [f"v AS {n}" for n in q.names] + [f"e AS e{k}" for k in range(len(q.edges))]
+    conds = [f"{n}.label = '{lab}'" for n, lab in zip(q.names, q.labels) if lab is not None]
+    conds += [f"e{k}.src = {q.names[a]}.id AND e{k}.dst = {q.names[b]}.id" + (f" AND e{k}.elabel = '{lab}'" if lab else "") for k, (a, b, lab) in enumerate(q.edges)]
+    if iso:
+        conds += [f"{q.names[i]}.id <> {q.names[j]}.id" for i in range(q.n) for j in range(i) if q.may_clash(i, j)]
+    conds += [f"{q.names[a]}.id {op} {q.names[b]}.id" for a, op, b in q.cross]
+    return f"WITH v AS ({v}), e AS ({e}) SELECT {select} FROM {', '.join(froms)} WHERE {' AND '.join([*conds, *([extra] if extra else [])]) or 'true'} {tail}"
+
+
+def flat_select(q: QueryGraph) -> str:
+    return ", ".join(f"{n}.id AS {n}" for n in q.names)
+
+
+def add(name: str, query: Callable, oracle: str | None = None) -> None:
+    QUERIES[name] = query
+    if oracle:
+        ORACLES[name] = oracle
+
+
+def part2(spark, d):
+    return G.copart(spark, d, 2)
+
+
+TYPED = {"a": "LARGE", "b": "SMALL", "c": "PROMO"}
+TRIANGLE, TYPED_TRIANGLE = shape("triangle"), shape("triangle", TYPED)
+PATH = shape("path4", {"a": "LARGE", "b": "SMALL", "c": "PROMO", "d": "LARGE"})
+STAR = shape("star3", {"b": "LARGE", "c": "SMALL", "d": "SMALL"})
+CYCLE, DIAMOND = shape("cycle4"), shape("diamond")
+PLAIN = MatchSpec(reuse=None, prune_dominated=False)
+
+
+def pattern(name: str, q: QueryGraph, spec: MatchSpec, flat: bool = False, graph: str = "copart2", build: Callable = part2, iso: bool = True, extra: str = "") -> None:
+    """A pattern under a setting: its matches, or their number without flattening."""
+    if flat:
+        add(name, lambda s, d: match(build(s, d), q, spec).flat(), sql(graph, q, flat_select(q), iso, extra))
+    else:
+        add(name, lambda s, d: match(build(s, d), q, spec).count(), sql(graph, q, iso=iso, extra=extra))
+
+
+# --- filtering, index, order -------------------------------------------------------------------
+_V, _E = GRAPH_SQL["copart2"]
+_C2 = f"WITH v AS ({_V}), e AS ({_E}), d AS (SELECT src AS id, count(*) AS d, count(*) FILTER (l = 'SMALL') AS small, count(*) FILTER (l = 'PROMO') AS promo, count(*) FILTER (l = 'LARGE') AS large FROM e JOIN (SELECT id, label AS l FROM v) w ON w.id = e.dst GROUP BY src)"
+_NEED = {"a": ("LARGE", "small >= 1 AND promo >= 1"), "b": ("SMALL", "large >= 1 AND promo >= 1"), "c": ("PROMO", "large >= 1 AND small >= 1")}
+
+
+def _stage(name: str):
+    def run(s, d):
+        g, q = part2(s, d), TYPED_TRIANGLE
+        cand = [by_label(g, q, i) for i in range(q.n)]
+        if name != "label":
+            cand = [by_degree(g, q, c, i) for i, c in enumerate(cand)]
+        if name == "nlf":
+            cand = [by_neighbour_labels(g, q, c, i) for i, c in enumerate(cand)]
+        return candidate_table(cand)
+
+    return run
+
+
+add("seed_filter_label", _stage("label"), f"{_C2} " + " UNION ALL ".join(f"SELECT {i} AS q, id AS v FROM v WHERE label = '{lab}'" for i, (lab, _) in enumerate(_NEED.values())))
+add("filter_degree", _stage("degree"), f"{_C2} " + " UNION ALL ".join(f"SELECT {i} AS q, v.id AS v FROM v JOIN d USING (id) WHERE label = '{lab}' AND d >= 2" for i, (lab, _) in enumerate(_NEED.values())))
+add("filter_nlf", _stage("nlf"), f"{_C2} " + " UNION ALL ".join(f"SELECT {i} AS q, v.id AS v FROM v JOIN d USING (id) WHERE label = '{lab}' AND d >= 2 AND {need}" for i, (lab, need) in enumerate(_NEED.values())))
+add("filter_arc", lambda s, d: candidate_table(filter_candidates(part2(s, d), PATH, MatchSpec(filters=("label", "arc"), arc_passes=4))),
+    f"{_C2}, x AS (SELECT e.src, e.dst, a.label AS la, b.label AS lb FROM e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst), "
+    "ab AS (SELECT src AS a, dst AS b FROM x WHERE la = 'LARGE' AND lb = 'SMALL'), bc AS (SELECT src AS b, dst AS c FROM x WHERE la = 'SMALL' AND lb = 'PROMO'), cd AS (SELECT src AS c, dst AS d FROM x WHERE la = 'PROMO' AND lb = 'LARGE'), "
+    "w AS (SELECT a, b, c, d FROM ab JOIN bc USING (b) JOIN cd USING (c)) SELECT DISTINCT 0 AS q, a AS v FROM w UNION ALL SELECT DISTINCT 1, b FROM w UNION ALL SELECT DISTINCT 2, c FROM w UNION ALL SELECT DISTINCT 3, d FROM w")
+add("filter_fixpoint", lambda s, d: candidate_table(refine_to_fixpoint(part2(s, d), PATH, filter_candidates(part2(s, d), PATH, MatchSpec(filters=("label",))), 0.0)[0]).groupBy("q").agg(F.count("*").alias("n")),
+    f"SELECT q, count(*) AS n FROM ({ORACLES['filter_arc']}) GROUP BY q")
+
+
+def _index(s, d):
+    plan, cand, index = prepare(part2(s, d), shape("edge", {"a": "LARGE", "b": "SMALL"}), MatchSpec(filters=("label",), order=(0, 1)))
+    return index.lists(0, 1).select("va", F.array_join(F.transform("nbrs", lambda x: x.cast("string")), ",").alias("nbrs"))
+
+
+add("index_lists", _index, f"{_C2} SELECT e.src AS va, string_agg(CAST(e.dst AS VARCHAR), ',' ORDER BY e.dst) AS nbrs FROM e JOIN v a ON a.id = e.src AND a.label = 'LARGE' JOIN v b ON b.id = e.dst AND b.label = 'SMALL' GROUP BY e.src")
+add("index_table_sizes", lambda s, d: prepare(part2(s, d), TYPED_TRIANGLE, MatchSpec(filters=("label",)))[2].table().groupBy("qa", "qb").agg(F.count("*").alias("n")),
+    f"{_C2}, k(q, l) AS (VALUES (0, 'LARGE'), (1, 'SMALL'), (2, 'PROMO')) SELECT a.q AS qa, b.q AS qb, count(*) AS n FROM k a JOIN k b ON a.q <> b.q JOIN v x ON x.label = a.l JOIN e ON e.src = x.id JOIN v y ON y.id = e.dst AND y.label = b.l GROUP BY a.q, b.q")
+add("order_counts", lambda s, d: s.createDataFrame(list(enumerate(candidate_counts(filter_candidates(part2(s, d), TYPED_TRIANGLE, MatchSpec(filters=("label", "degree")))))), "q int, n bigint"),
+    f"SELECT q, count(*) AS n FROM ({ORACLES['filter_degree']}) GROUP BY q")
+
+
+def _intersections(s, d, vectorised):
+    lists = prepare(part2(s, d), shape("edge", {"a": "LARGE", "b": "SMALL"}), MatchSpec(filters=("label",), order=(0, 1)))[2].lists(0, 1)
+    pairs = lists.alias("x").join(lists.alias("y"), F.expr("x.va < y.va AND x.va % 7 = y.va % 7")).select(F.col("x.va").alias("a"), F.col("y.va").alias("b"), F.col("x.nbrs").alias("p"), F.col("y.nbrs").alias("r"))
+    return with_intersection(pairs, "p", "r", "c", vectorised).groupBy(F.size("c").alias("common")).agg(F.count("*").alias("n"))
+
+
+_INTER_SQL = f"WITH l AS ({ORACLES['index_lists'].replace('string_agg(CAST(e.dst AS VARCHAR), ' + chr(39) + ',' + chr(39) + ' ORDER BY e.dst)', 'list(e.dst)')}) SELECT CAST(len(list_intersect(x.nbrs, y.nbrs)) AS INTEGER) AS common, count(*) AS n FROM l x JOIN l y ON x.va < y.va AND x.va % 7 = y.va % 7 GROUP BY 1"
+add("intersection_builtin", lambda s, d: _intersections(s, d, False), _INTER_SQL)
+add("intersection_arrow", lambda s, d: _intersections(s, d, True), _INTER_SQL)
+
+# --- the four cases ------------------------------------------------------------------------------
+pattern("case1_triangle", TYPED_TRIANGLE, MatchSpec(colouring="all_pinned"), flat=True)
+pattern("case2_star", STAR, MatchSpec(order=(0, 1, 2, 3), colouring=(False, True, True, True)))
+pattern("case3_path", PATH, MatchSpec(order=(0, 1, 2, 3), colouring=(False, True, False, True)))
+pattern("case3_cycle", CYCLE, MatchSpec(order=(0, 1, 3, 2), colouring=(False, True, True, False)), flat=True)
+pattern("case3_by_splitting", CYCLE, MatchSpec(order=(0, 1, 3, 2), colouring=(False, True, True, False), split_case3=True), flat=True)
+pattern("case3_no_pinned", PATH, MatchSpec(order=(0, 1, 2, 3), colouring=(True, False, True, False)))
+pattern("case4_keep", CYCLE, MatchSpec(order=(0, 1, 3, 2), colouring=(False, True, True, True)), flat=True)
+pattern("case4_split", shape("path4", {"a": "LARGE", "b": "SMALL"}), MatchSpec(order=(0, 1, 2, 3), colouring=(False, True, True, True)))
+pattern("expand_injective", TRIANGLE, MatchSpec(colouring="risk"), flat=True)
+pattern("count_packed", shape("star3"), MatchSpec(colouring="tail_only"))
+pattern("late_injectivity", CYCLE, MatchSpec(colouring="risk", injectivity="late"), flat=True)
+pattern("disconnected_product", parse("(a:LARGE)-(b:SMALL)-(c:PROMO)-(a), (x:PROMO)-(y:SMALL)-(z:LARGE)-(x)", directed=False), MatchSpec())
+for _n in ("path4", "cycle4", "diamond", "tailed_triangle", "clique4", "house", "bow_tie", "tree", "cycle5"):
+    _labels = {"a": "LARGE", "b": "SMALL", "c": "PROMO"} if _n in ("tree", "bow_tie", "house", "cycle5") else {}
+    pattern(f"shape_{_n}", shape(_n, _labels), MatchSpec())
+
+# --- reuse and pruning ---------------------------------------------------------------------------
+for _k in ("bn", "dep", None):
+    pattern(f"reuse_{_k or 'off'}", shape("house", TYPED), MatchSpec(reuse=_k))
+
+
+def _same_key(s, d):
+    q = shape("star3")
+    plan, cand, index = prepare(part2(s, d), q, MatchSpec(filters=("label",), order=(0, 1, 2, 3), colouring="all_pinned", prune_dominated=False))
+    from .operators.levels import extend
+
+    level = extend(seed(cand[0], plan), index, plan, 1, PLAIN, cand[1])
+    return reuse.same_key(level, plan, 2).select(F.col("q0").alias("id"), F.col("rows").alias("n"))
+
+
+add("same_key_rows", _same_key, f"{_C2} SELECT src AS id, count(*) AS n FROM e GROUP BY src")
+pattern("dominated_prune", shape("star3", {"a": "LARGE", "b": "SMALL", "c": "SMALL", "d": "SMALL"}), MatchSpec(prune_dominated=True))
+pattern("failing_prune", shape("house", TYPED), MatchSpec(engine="kernel"))
+pattern("kernel_unpruned", shape("house", TYPED), MatchSpec(engine="kernel", prune_dominated=False, prune_failing=False, reuse=None))
+pattern("kernel_triangle", TRIANGLE, MatchSpec(engine="kernel"), flat=True)
+add("nogood_prune", lambda s, d: batched(part2(s, d), PATH, MatchSpec(colouring="all_pinned", batches=4), nogoods=True)[0].agg(F.count("*").alias("n")), sql("copart2", PATH))
+add("batched_triangle", lambda s, d: batched(part2(s, d), TRIANGLE, MatchSpec(batches=4))[0], sql("copart2", TRIANGLE, flat_select(TRIANGLE)))
+add("result_limit", lambda s, d: batched(part2(s, d), TRIANGLE, MatchSpec(batches=4, limit=50))[0].agg(F.count("*").alias("n")), f"SELECT least(n, 50) AS n FROM ({sql('copart2', TRIANGLE)})")
+
+# --- colourings, orders, semantics ---------------------------------------------------------------
+for _c in ("risk", "risk_smoothed", "all_pinned", "all_bundled", "tail_only", "vertex_cover"):
+    pattern(f"colour_{_c}", DIAMOND, MatchSpec(colouring=_c))
+for _o in ("candidate_ratio", "dense_first", "guard_first", "structure_first", "smallest_candidates"):
+    pattern(f"order_{_o}", shape("tailed_triangle", TYPED), MatchSpec(order=_o))
+pattern("hom_triangle", TRIANGLE, MatchSpec(semantics="hom"), iso=False)
+pattern("hom_cycle4", CYCLE, MatchSpec(semantics="hom"), iso=False)
+pattern("induced_path", PATH, MatchSpec(semantics="induced"), extra="NOT EXISTS (SELECT 1 FROM e WHERE (src = a.id AND dst = c.id) OR (src = a.id AND dst = d.id) OR (src = b.id AND dst = d.id))")
+_SYM = parse("(a)-(b)-(c)-(a); a < b, b < c", directed=False)
+pattern("symmetry_breaking", _SYM, MatchSpec(), flat=True)
+add("vertex_predicate", lambda s, d: match_sql(part2(s, d), "(a:LARGE {p_size > 25})-(b:SMALL)-(c:PROMO {p_size <= 25})").agg(F.count("*").alias("n")), sql("copart2", shape("path4", TYPED).restrict([0, 1, 2]), extra="a.p_size > 25 AND c.p_size <= 25"))
+
+# --- the nine directed shapes ----------------------------------------------------------------------
+for _n in SOCIAL:
+    add(_n, lambda s, d, n=_n: match(G.trade(s, d), social(n)).count(), sql("trade", social(_n)))
+add("directed_cycle", lambda s, d: match(G.trade(s, d), social("s2")).flat(), sql("trade", social("s2"), flat_select(social("s2"))))
+_EV = parse("(u:user)-[:click]->(k:key)<-[:view]-(w:user)", directed=True)
+add("edge_label_events", lambda s, d: match(G.events(s, d), _EV).count_by("k"), sql("event", _EV, "k.id AS k, count(*) AS n", tail="GROUP BY k.id"))
+
+# --- baselines -------------------------------------------------------------------------------------
+_BASE = {
+    "b1_dynamic_failing_set": baselines.dynamic_failing_set, "b2_static_leaf_grouping": lambda g, q: baselines.static_leaf_grouping(g, q).flat(),
+    "b3_dynamic_equivalence": baselines.dynamic_equivalence, "b4_guarded": baselines.guarded, "b5_neighbour_classes": baselines.neighbour_classes,
+    "b6_batch_homomorphism": lambda g, q: baselines.batch_homomorphism(g, q).flat(), "b7_backtracking": lambda g, q: baselines.backtracking(g, q).flat(),
+    "b8_levels_shared": lambda g, q: baselines.level_by_level(g, q, True).flat(), "b8_levels_unshared": lambda g, q: baselines.level_by_level(g, q, False).flat(),
+    "b9_vertex_cover": lambda g, q: baselines.vertex_cover(g, q).flat(), "b10_sql_join": baselines.sql_join,
+}
+for _n, _f in _BASE.items():
+    add(f"baseline_{_n}", lambda s, d, f=_f: f(part2(s, d), CYCLE), sql("copart2", CYCLE, flat_select(CYCLE)))
+
+# --- work counters -----------------------------------------------------------------------------------
+_STARS = f"{_C2}, k AS (SELECT src, count(*) AS d FROM e GROUP BY src)"
+add("counters_all_pinned", lambda s, d: match(part2(s, d), shape("star3"), PLAIN.but(filters=("label",), order=(0, 1, 2, 3), colouring="all_pinned")).counters(),
+    f"{_STARS} SELECT 1 AS level, count(*) AS rows, count(*) AS members, count(DISTINCT id) AS keys FROM v UNION ALL SELECT 2, CAST(sum(d) AS BIGINT), CAST(sum(d) AS BIGINT), count(*) FROM k UNION ALL SELECT 3, CAST(sum(d * (d - 1)) AS BIGINT), CAST(sum(d * (d - 1)) AS BIGINT), count(*) FILTER (d > 1) FROM k UNION ALL SELECT 4, CAST(sum(d * (d - 1) * (d - 2)) AS BIGINT), CAST(sum(d * (d - 1) * (d - 2)) AS BIGINT), 0 FROM k")
+add("counters_tail_only", lambda s, d: match(part2(s, d), shape("star3"), PLAIN.but(filters=("label",), order=(0, 1, 2, 3), colouring="tail_only")).counters(),
+    f"{_STARS} SELECT 1 AS level, count(*) AS rows, count(*) AS members, count(DISTINCT id) AS keys FROM v UNION ALL SELECT 2, count(*), CAST(sum(d) AS BIGINT), count(*) FROM k UNION ALL SELECT 3, count(*), CAST(sum(d * d) AS BIGINT), count(*) FROM k UNION ALL SELECT 4, count(*), CAST(sum(d * d * d) AS BIGINT), 0 FROM k")
+
+
+def _kernel_work(s, d):
+    """Extension sets computed by the kernel, with and without reuse, on the same query."""
+    g, q, out = part2(s, d).store(), shape("house", TYPED), None
+    for name, spec in (("reuse", MatchSpec(engine="kernel", colouring="all_pinned")), ("no_reuse", MatchSpec(engine="kernel", colouring="all_pinned", reuse=None))):
+        plan, cand, index = prepare(g, q, spec)
+        row = kernel_counters(index, plan, spec, cand).where("name IN ('nodes', 'computed', 'cache_hit')").withColumn("run", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+add("kernel_work", _kernel_work)
+
+# --- graphs ------------------------------------------------------------------------------------------
+for _n, _b in (("trade", G.trade), ("copart", lambda s, d: G.copart(s, d, 1)), ("copart2", part2), ("sim", G.similar), ("doc", G.shared_lines), ("leak", G.contains), ("event", G.events), ("conv", G.turns)):
+    add(f"graph_{_n}", lambda s, d, b=_b: b(s, d).edges.groupBy("elabel").agg(F.count("*").alias("n"), F.sum(F.pmod(F.col("src") * 31 + F.col("dst"), F.lit(1009))).alias("mark")),
+        f"WITH e AS ({GRAPH_SQL[_n][1]}) SELECT elabel, count(*) AS n, CAST(sum((src * 31 + dst) % 1009) AS BIGINT) AS mark FROM e GROUP BY elabel")
+add("graph_link", lambda s, d: G.links(s, d).edges.groupBy("src").agg(F.count("*").alias("n")), "SELECT page_id AS src, count(DISTINCT h) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS h FROM pages) GROUP BY page_id")
+
+# --- patterns on them --------------------------------------------------------------------------------
+add("copart_triangle_by_type", lambda s, d: match(G.copart(s, d, 1), TYPED_TRIANGLE).count_by("a"), sql("copart", TYPED_TRIANGLE, "a.id AS a, count(*) AS n", tail="GROUP BY a.id"))
+add("sim_triangle", lambda s, d: match(G.similar(s, d), TRIANGLE).flat(), sql("sim", TRIANGLE, flat_select(TRIANGLE)))
+add("doc_cluster", lambda s, d: match(G.shared_lines(s, d), TRIANGLE).count(), sql("doc", TRIANGLE))
+_BUTTERFLY = parse("(p:page)-[:LINKS]->(x:href)<-[:LINKS]-(q:page)-[:LINKS]->(y:href), (p)-[:LINKS]->(y)", directed=True)
+add("link_butterfly", lambda s, d: match(G.links(s, d), _BUTTERFLY).count(),
+    "WITH h AS (SELECT DISTINCT page_id AS p, h FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS h FROM pages)), c AS (SELECT a.p AS a, b.p AS b, count(*) AS k FROM h a JOIN h b ON a.h = b.h AND a.p <> b.p GROUP BY 1, 2) SELECT CAST(sum(k * (k - 1)) AS BIGINT) AS n FROM c")
+_TURNS = parse("(a:user)-[:NEXT]->(b:assistant)-[:NEXT]->(c:user)", directed=True)
+add("turn_chain", lambda s, d: match(G.turns(s, d), _TURNS).flat(), sql("conv", _TURNS, flat_select(_TURNS)))
+_LEAK = parse("(d:document)-[:HOLDS]->(i:item)", directed=True)
+add("leak_pairs", lambda s, d: match(G.contains(s, d), _LEAK).flat(), sql("leak", _LEAK, flat_select(_LEAK)))
+
+# --- joins, sets, aggregates, windows around matches ---------------------------------------------------
+_CHAIN = parse("(r:region)<-[:IN_REGION]-(n:nation)<-[:LIVES_IN]-(c:customer)-[:PLACED]->(o:orders)", directed=True)
+
+
+def _chain(s, d):
+    g = G.trade(s, d)
+    seg = g.vertices.where("label = 'customer'").select(F.col("id").alias("c"), F.col("sub").alias("segment"))
+    return match(g, _CHAIN).flat().join(seg, "c").select(F.col("r").alias("region"), F.col("n").alias("nation"), "segment")
+
+
+_CHAIN_SQL = f"SELECT n_regionkey + {TAG} AS region, n_nationkey + {2 * TAG} AS nation, c_mktsegment AS segment FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey"
+add("rollup_counts", lambda s, d: _chain(s, d).rollup("region", "nation").agg(F.count("*").alias("n")), f"SELECT region, nation, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY ROLLUP (region, nation)")
+add("cube_labels", lambda s, d: _chain(s, d).cube("region", "segment").agg(F.count("*").alias("n")), f"SELECT region, segment, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY CUBE (region, segment)")
+add("window_next_turn", lambda s, d: G.load(s, d, "conversations").select("conv_id", "turn", F.lead("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("next_role")), "SELECT conv_id, turn, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS next_role FROM conversations")
+_TP = "SELECT a.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE"
+add("temporal_pairs", lambda s, d: S.temporal_pairs(G.load(s, d, "events"), "view", "click"), _TP)
+add("temporal_pairs_binned", lambda s, d: S.binned_pairs(G.load(s, d, "events"), "view", "click"), _TP)
+add("window_counts", lambda s, d: S.window_counts(G.load(s, d, "events")).groupBy("event_type").agg(F.count("*").alias("windows"), F.max("n").alias("most")), "SELECT event_type, count(*) AS windows, max(n) AS most FROM (SELECT event_type, date_trunc('hour', ts) AS h, count(*) AS n FROM events GROUP BY 1, 2) GROUP BY 1")
+add("session_counts", lambda s, d: S.sessions(G.load(s, d, "events")).groupBy("user_id").agg(F.count("*").alias("sessions")),
+    "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS p FROM events) WHERE p IS NULL OR ts >= p + INTERVAL 30 MINUTE GROUP BY user_id")
+
+
+def _asof(s, d):
+    e = G.load(s, d, "events")
+    both = e.select("user_id", "ts", "event_id", F.when(F.col("event_type") == "view", F.col("event_id")).alias("v"))
+    last = F.last("v", ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1))
+    return both.select("event_id", last.alias("last_view"))
+
+
+add("asof_last_view", _asof, "SELECT event_id, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS last_view FROM events")
+add("semi_edges", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:PLACED]->(o:orders)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'SHIPPED_BY'").select(F.col("src").alias("o")), "o", "left_semi").agg(F.count("*").alias("n")), "SELECT count(*) AS n FROM orders WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
+add("anti_no_edge", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:LIVES_IN]->(n:nation)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'PLACED'").select(F.col("src").alias("c")), "c", "left_anti").select("c"), f"SELECT c_custkey + {3 * TAG} AS c FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+add("optional_edge", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:LIVES_IN]->(n:nation)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'PLACED'").select(F.col("src").alias("c"), F.col("dst").alias("o")), "c", "left").groupBy("n").agg(F.count("*").alias("rows"), F.count("o").alias("orders")), f"SELECT c_nationkey + {2 * TAG} AS n, count(*) AS rows, count(o_orderkey) AS orders FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY c_nationkey")
+add("set_diff", lambda s, d: match(part2(s, d), CYCLE).flat().exceptAll(match(part2(s, d), CYCLE, MatchSpec(colouring="all_bundled")).flat()).agg(F.count("*").alias("n")), "SELECT CAST(0 AS BIGINT) AS n")
+add("topk_hubs", lambda s, d: part2(s, d).edges.groupBy("src").agg(F.count("*").alias("degree")).orderBy(F.desc("degree"), "src").limit(10), f"{_C2} SELECT src, count(*) AS degree FROM e GROUP BY src ORDER BY degree DESC, src LIMIT 10")
+add("degree_quantiles", lambda s, d: part2(s, d).edges.groupBy("src").agg(F.count("*").alias("degree")).agg(F.expr("percentile(degree, 0.5)").alias("p50"), F.expr("percentile(degree, 0.9)").alias("p90"), F.max("degree").alias("top")), f"{_C2} SELECT quantile_cont(d, 0.5) AS p50, quantile_cont(d, 0.9) AS p90, max(d) AS top FROM (SELECT src, count(*) AS d FROM e GROUP BY src)")
+add("triangles_per_vertex", lambda s, d: match(part2(s, d), TRIANGLE).count_by("a"), sql("copart2", TRIANGLE, "a.id AS a, count(*) AS n", tail="GROUP BY a.id"))
+add("match_sql_pattern", lambda s, d: match_sql(part2(s, d), "(a:LARGE)-(b:SMALL)-(c:PROMO)-(a)"), sql("copart2", TYPED_TRIANGLE, flat_select(TYPED_TRIANGLE)))
+
+
+def _delta(s, d):
+    """Matches of all arcs, made in two steps: those of the first half, then those with a new arc."""
+    g = part2(s, d)
+    half = F.pmod(F.xxhash64(F.least("src", "dst"), F.greatest("src", "dst")), F.lit(2)) == 0
+    old, new = g.edges.where(half), g.edges.where(~half)
+    first = S.join_arcs(TRIANGLE, [old] * 3, g.vertices)
+    return first.unionByName(S.delta_matches(TRIANGLE, old, new, g.vertices))
+
+
+add("delta_triangles", _delta, sql("copart2", TRIANGLE, flat_select(TRIANGLE)))
