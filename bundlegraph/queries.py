@@ -238,8 +238,8 @@ def _chain(s, d):
 
 
 _CHAIN_SQL = f"SELECT n_regionkey + {TAG} AS region, n_nationkey + {2 * TAG} AS nation, c_mktsegment AS segment FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey"
-add("rollup_counts", lambda s, d: _chain(s, d).rollup("region", "nation").agg(F.count("*").alias("n")), f"SELECT region, nation, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY ROLLUP (region, nation)")
-add("cube_labels", lambda s, d: _chain(s, d).cube("region", "segment").agg(F.count("*").alias("n")), f"SELECT region, segment, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY CUBE (region, segment)")
+add("rollup_counts", lambda s, d: _chain(s, d).rollup("region", "nation").agg(F.count("*").alias("n")).na.fill(-1), f"SELECT coalesce(region, -1) AS region, coalesce(nation, -1) AS nation, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY ROLLUP (region, nation)")
+add("cube_labels", lambda s, d: _chain(s, d).cube("region", "segment").agg(F.count("*").alias("n")).na.fill(-1), f"SELECT coalesce(region, -1) AS region, segment, count(*) AS n FROM ({_CHAIN_SQL}) GROUP BY CUBE (region, segment)")
 add("window_next_turn", lambda s, d: G.load(s, d, "conversations").select("conv_id", "turn", F.lead("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("next_role")), "SELECT conv_id, turn, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS next_role FROM conversations")
 _TP = "SELECT a.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE"
 add("temporal_pairs", lambda s, d: S.temporal_pairs(G.load(s, d, "events"), "view", "click"), _TP)
@@ -253,10 +253,10 @@ def _asof(s, d):
     e = G.load(s, d, "events")
     both = e.select("user_id", "ts", "event_id", F.when(F.col("event_type") == "view", F.col("event_id")).alias("v"))
     last = F.last("v", ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1))
-    return both.select("event_id", last.alias("last_view"))
+    return both.select("event_id", F.coalesce(last, F.lit(-1)).alias("last_view"))
 
 
-add("asof_last_view", _asof, "SELECT event_id, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS last_view FROM events")
+add("asof_last_view", _asof, "SELECT event_id, coalesce(last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), -1) AS last_view FROM events")
 add("semi_edges", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:PLACED]->(o:orders)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'SHIPPED_BY'").select(F.col("src").alias("o")), "o", "left_semi").agg(F.count("*").alias("n")), "SELECT count(*) AS n FROM orders WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
 add("anti_no_edge", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:LIVES_IN]->(n:nation)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'PLACED'").select(F.col("src").alias("c")), "c", "left_anti").select("c"), f"SELECT c_custkey + {3 * TAG} AS c FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 add("optional_edge", lambda s, d: match(G.trade(s, d), parse("(c:customer)-[:LIVES_IN]->(n:nation)", directed=True)).flat().join(G.trade(s, d).edges.where("elabel = 'PLACED'").select(F.col("src").alias("c"), F.col("dst").alias("o")), "c", "left").groupBy("n").agg(F.count("*").alias("rows"), F.count("o").alias("orders")), f"SELECT c_nationkey + {2 * TAG} AS n, count(*) AS rows, count(o_orderkey) AS orders FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY c_nationkey")

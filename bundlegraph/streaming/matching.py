@@ -79,8 +79,8 @@ def temporal_pairs(events: DataFrame, first: str, then: str, within: str = "10 m
 
 def binned_pairs(events: DataFrame, first: str, then: str, seconds: int = 600) -> DataFrame:
     """The same on a table by time bins: an equi-join on (user, bin), so a hot user is cut by time."""
-    a = events.where(F.col("event_type") == first).select("user_id", F.col("event_id").alias("first_id"), F.unix_micros("ts").alias("t"))
-    b = events.where(F.col("event_type") == then).select("user_id", F.col("event_id").alias("then_id"), F.unix_micros("ts").alias("u"))
+    a = events.where(F.col("event_type") == first).select("user_id", F.col("event_id").alias("first_id"), F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    b = events.where(F.col("event_type") == then).select("user_id", F.col("event_id").alias("then_id"), F.unix_micros(F.col("ts").cast("timestamp")).alias("u"))
     span = seconds * 1_000_000
     a = a.withColumn("bin", F.explode(F.array((F.col("t") / span).cast("long"), (F.col("t") / span).cast("long") + 1)))
     b = b.withColumn("bin", (F.col("u") / span).cast("long"))
