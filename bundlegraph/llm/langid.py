@@ -125,7 +125,7 @@ class Scorer:
         return self.model.unseen(w) if got is None else got
 
 
-def fit_languages(labelled: DataFrame, train_docs: int = 6000, longest: int = 4, least: int = 3) -> WordFirst:
+def fit_languages(labelled: DataFrame, train_docs: int = 3000, longest: int = 4, least: int = 3) -> WordFirst:
     """labelled: doc_id, text, lang. Words are counted on the executors, kept from `least` times on."""
     rows = bounded_sample(labelled.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang"), "doc_id", train_docs)
 
@@ -146,7 +146,8 @@ def fit_languages(labelled: DataFrame, train_docs: int = 6000, longest: int = 4,
         yield out()
 
     counted = rows.mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-    counts = {(r.lang, r.word): r.n for r in counted.collect()}  # bounded by the sample
+    got = counted.toArrow()  # bounded by the sample
+    counts = dict(zip(zip(got["lang"].to_pylist(), got["word"].to_pylist()), got["n"].to_pylist()))
     return WordFirst.fit(counts, longest, least)
 
 
@@ -167,7 +168,7 @@ def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred"
     return docs.select(*[F.col(f"`{c}`") for c in kept], *([] if "text" in kept else ["text"])).mapInArrow(run, f"{fields}, `{name}` string, `{score}` double")
 
 
-def language_report(docs: DataFrame, folds: int = 3, held: int = 1, train_docs: int = 6000) -> DataFrame:
+def language_report(docs: DataFrame, folds: int = 3, held: int = 1, train_docs: int = 3000) -> DataFrame:
     """Learn from the rows outside the held-out fold, predict for every row."""
     mark = fold(F.col("doc_id"), folds)
     model = fit_languages(docs.where(mark != held), train_docs)

@@ -51,6 +51,10 @@ class Hashing:
         lifted = self.lift(sample)
         self.w = 2.0 * (lifted @ self.a.reshape(tables * hashes, -1).T).std(axis=0).reshape(tables, hashes) + 1e-12
         self.b = rng.uniform(size=(tables, hashes)) * self.w
+        # slots beyond nearly all of the sample are one open slot on each side, so axes stay short
+        self.lo, self.hi = np.full((tables, hashes), -(1 << 40)), np.full((tables, hashes), 1 << 40)
+        seen = np.stack([self.slots(sample, t) for t in range(tables)])
+        self.lo, self.hi = np.quantile(seen, 0.005, axis=1).astype(np.int64) - 1, np.quantile(seen, 0.995, axis=1).astype(np.int64) + 1
         ask = sample[:400]
         cos = (ask / np.linalg.norm(ask, axis=1, keepdims=True)) @ sample.T / top
         cos[np.arange(len(ask)), np.arange(len(ask))] = -2
@@ -63,7 +67,7 @@ class Hashing:
         return np.concatenate([x, rest[:, None]], axis=1)
 
     def slots(self, x: np.ndarray, table: int) -> np.ndarray:
-        return np.floor((self.lift(x) @ self.a[table].T + self.b[table]) / self.w[table]).astype(np.int64)
+        return np.clip(np.floor((self.lift(x) @ self.a[table].T + self.b[table]) / self.w[table]).astype(np.int64), self.lo[table], self.hi[table])
 
     @staticmethod
     def names(slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -87,9 +91,9 @@ class Hashing:
         sd = np.sqrt(var)
         axes, chances = [], []
         for i in range(self.hashes):
-            lo, hi = math.floor((mean[i] - 3.2 * sd[i]) / w[i]), math.floor((mean[i] + 3.2 * sd[i]) / w[i])
-            at = np.arange(lo, hi + 1)
-            edge = _phi((np.arange(lo, hi + 2) * w[i] - mean[i]) / sd[i])
+            at = np.arange(self.lo[table, i], self.hi[table, i] + 1)
+            edge = _phi((np.arange(at[0], at[-1] + 2) * w[i] - mean[i]) / sd[i])
+            edge[0], edge[-1] = 0.0, 1.0
             axes.append(at)
             chances.append(np.diff(edge))
         p = chances[0]

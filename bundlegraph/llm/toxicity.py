@@ -50,13 +50,15 @@ class Inputs:
         return [m[i : i + n] for n in (4, 5) for i in range(len(m) - n + 1)]
 
     @classmethod
-    def fit(cls, docs: list[tuple[set[str], int, int]], folds: int, least: int = 3) -> list["Inputs"]:
+    def fit(cls, docs: list[tuple[set[str], int, int]], folds: int, least: int = 4) -> list["Inputs"]:
         """docs: words, label, fold. Odds without each fold in turn, then those of all documents."""
         n = Counter((f, y) for _, y, f in docs)
         words, grams = defaultdict(Counter), defaultdict(Counter)
+        one = {}.setdefault  # equal strings are held once
         for found, y, f in docs:
             words[f, y].update(found)
-            grams[f, y].update({g for w in found for g in cls.parts(w)})
+            grams[f, y].update({one(g, g) for w in found for g in cls.parts(w)})
+        one = None
         smooth = 3.0  # keeps what few documents hold near zero
 
         def odds(table: dict, out: int) -> dict[str, float]:
@@ -71,6 +73,14 @@ class Inputs:
             base = math.log((size[0] + 2 * smooth) / (size[1] + 2 * smooth))
             return {k: math.log((toxic[k] + smooth) / (clean[k] + smooth)) + base for k in clean.keys() | toxic.keys() if clean[k] + toxic[k] >= least}
 
+        del docs
+        rare = Counter()
+        for c in grams.values():
+            rare.update(c)
+        for c in grams.values():  # n-grams of few documents get no odds in any case
+            for k in [k for k in c if rare[k] < least]:
+                del c[k]
+        rare.clear()
         return [cls(odds(words, f), {k: v for k, v in odds(grams, f).items() if abs(v) > 0.2}) for f in range(folds + 1)]
 
     def of(self, token: str) -> tuple[float, ...]:
@@ -274,12 +284,14 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     new documents. The fold is a minhash of the words, so near copies mostly share one.
     """
     uniq = {t: y for t, y in zip(texts, labels) if t and t.split()}
-    tokens, y = [t.split() for t in uniq], np.array(list(uniq.values()))
+    one = {}.setdefault  # equal strings are held once
+    tokens, y = [[one(w, w) for w in t.split()] for t in uniq], np.array(list(uniq.values()))
     if len(set(y.tolist())) < 2:
         return ToxicityModel(None, None)
-    bare = [{w.lower().strip(_EDGE) for w in t} - {""} for t in tokens]
+    bare = [{one(b, b) for b in (w.lower().strip(_EDGE) for w in t)} - {""} for t in tokens]
     fold_of = [min((zlib.crc32(w.encode()) for w in b), default=0) % folds for b in bare]
     *without, inputs = Inputs.fit(list(zip(bare, y.tolist(), fold_of)), folds)
+    del bare, uniq, one
     model, rng = ToxicityModel(inputs, Network()), np.random.default_rng(11)
     lengths = np.array([len(t) for t in tokens], dtype=np.int64)
     doc, start, size = windows(lengths)
@@ -328,7 +340,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     return model
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 1500, longest: int = 200_000) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 1000, longest: int = 200_000) -> ToxicityModel:
     """Fit on about `sample` labelled documents of each class, chosen by a hash of doc_id."""
     known = labels.where("toxic IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {r.toxic: r["count"] for r in known.where("toxic IN (0, 1)").groupBy("toxic").count().collect()}
@@ -336,9 +348,9 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 1500, longest
     share = F.when(F.col("toxic") == 1, int(min(1.0, sample / max(1, counts.get(1, 0))) * room)).otherwise(int(min(1.0, sample / max(1, counts.get(0, 0))) * room))
     picked = known.where("toxic IN (0, 1)").where(F.pmod(F.xxhash64("doc_id", F.lit("tox")), F.lit(room)) < share)
     # bounded by `sample`, so it may be broadcast
-    rows = docs.select("doc_id", "text").where(F.length("text") <= longest).join(F.broadcast(picked), "doc_id").select("doc_id", "text", "toxic").collect()
-    rows.sort(key=lambda r: (r.doc_id, r.text))
-    return fit_network([r.text for r in rows], [int(r.toxic) for r in rows])
+    got = docs.select("doc_id", "text").where(F.length("text") <= longest).join(F.broadcast(picked), "doc_id").select("doc_id", "text", "toxic").toArrow()
+    rows = sorted(zip(got["doc_id"].to_pylist(), got["text"].to_pylist(), got["toxic"].to_pylist()))
+    return fit_network([r[1] for r in rows], [int(r[2]) for r in rows])
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None, name: str = "score") -> DataFrame:
@@ -358,7 +370,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None
     return docs.select(*[F.col(f"`{c}`") for c in kept], *([] if "text" in kept else ["text"])).mapInArrow(run, f"{fields}, `{name}` double")
 
 
-def toxicity_report(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, sample: int = 1500) -> DataFrame:
+def toxicity_report(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, sample: int = 1000) -> DataFrame:
     """Learn outside the held-out fold, score every row."""
     model = fit_toxicity(docs, labels.where(fold(F.col("doc_id"), folds) != held), sample)
     scored = score_toxicity(docs, model)
