@@ -90,7 +90,9 @@ class ChunkEncoder:
             new = pieces
         known, letters, merge = self.pieces, self.letters, self.tokenizer.model.tokenize
         for p in new:
-            known[p] = array("I", [t.id for t in merge(p.encode().decode("latin-1").translate(letters))]).tobytes()
+            # a visible ASCII character stands for its own byte
+            shown = p if p.isascii() and p.isalnum() else letters[32] + p[1:] if p[0] == " " and p[1:].isascii() and p[1:].isalnum() else p.encode().decode("latin-1").translate(letters)
+            known[p] = array("I", [t.id for t in merge(shown)]).tobytes()
 
     def _learn(self, chunks: set[str]) -> None:
         new = chunks - self.known.keys()

@@ -340,7 +340,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     return model
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 1000, longest: int = 200_000) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest: int = 200_000) -> ToxicityModel:
     """Fit on about `sample` labelled documents of each class, chosen by a hash of doc_id."""
     known = labels.where("toxic IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {r.toxic: r["count"] for r in known.where("toxic IN (0, 1)").groupBy("toxic").count().collect()}
@@ -370,7 +370,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None
     return docs.select(*[F.col(f"`{c}`") for c in kept], *([] if "text" in kept else ["text"])).mapInArrow(run, f"{fields}, `{name}` double")
 
 
-def toxicity_report(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, sample: int = 1000) -> DataFrame:
+def toxicity_report(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, sample: int = 800) -> DataFrame:
     """Learn outside the held-out fold, score every row."""
     model = fit_toxicity(docs, labels.where(fold(F.col("doc_id"), folds) != held), sample)
     scored = score_toxicity(docs, model)
