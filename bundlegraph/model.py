@@ -101,7 +101,7 @@ class PropertyGraph:
 @dataclass(frozen=True)
 class MatchSpec:
     semantics: str = "iso"  # iso, hom, induced
-    engine: str = "levels"  # levels, kernel, batched
+    engine: str = "levels"  # levels, kernel, region
     filters: tuple[str, ...] = ("label", "degree", "nlf", "arc")
     arc_passes: int = 1
     order: str | tuple[int, ...] = "candidate_ratio"

@@ -335,6 +335,53 @@ def kernel_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]
     return roots.mapInArrow(search, "name string, n long" if counters else schema)
 
 
+def region_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
+    """Packed matches of a connected query, each root with the part of the index that it can reach.
+
+    Nothing is broadcast: one join for each link builds the regions, and a task holds one region.
+    Place 0 is pinned here, whatever its colour, so that each root stands alone.
+    """
+    import pandas as pd
+
+    from ..functions.scratch import written
+
+    if plan.bundled[0]:
+        raise ValueError("a region belongs to one root: place 0 must be pinned")
+    reach = {0: cand[plan.order[0]].select(F.col("id").alias("root"), F.col("id").alias("v"))}
+    for i in range(1, plan.query.n):
+        if not plan.back[i]:
+            raise ValueError("regions need a connected query")
+        w = plan.back[i][0]
+        near = index.pairs(w, i).select(F.col("va").alias("x"), F.col("vb").alias("y"))
+        reach[i] = written(reach[w].join(near, F.col("v") == F.col("x")).select("root", F.col("y").alias("v")).distinct(), f"reach{i}")
+    parts = None
+    for i in range(plan.query.n):
+        for w in plan.back[i]:
+            near = index.pairs(w, i)
+            part = reach[w].join(near, F.col("v") == F.col("va")).select("root", F.lit(w * 64 + i).alias("link"), "va", "vb")
+            part = part.join(reach[i].select("root", F.col("v").alias("vb")), ["root", "vb"], "left_semi").select("root", "link", "va", "vb")
+            parts = part if parts is None else parts.unionByName(part)
+    names = [f"q{i}" for i in range(plan.query.n)]
+
+    def search(region: pd.DataFrame) -> pd.DataFrame:
+        lists: Lists = {}
+        for link, va, vb in zip(region["link"].tolist(), region["va"].tolist(), region["vb"].tolist()):
+            a, b = divmod(link, 64)
+            lists.setdefault((a, b), {}).setdefault(va, set()).add(vb)
+            lists.setdefault((b, a), {}).setdefault(vb, set()).add(va)
+        for i in range(plan.query.n):
+            for w in plan.back[i]:
+                lists.setdefault((w, i), {}), lists.setdefault((i, w), {})
+        rows: list[list] = []
+        s = Search(plan, {k: {v: frozenset(x) for v, x in d.items()} for k, d in lists.items()}, [_NONE] * plan.query.n, spec)
+        s.roots([int(region["root"].iloc[0])], lambda image: rows.append([sorted(x) if b else x for x, b in zip(image, plan.bundled)]))
+        return pd.DataFrame(rows, columns=names)
+
+    if parts is None:
+        return reach[0].select(F.col("v").alias("q0"))
+    return parts.groupBy("root").applyInPandas(search, packed_schema(plan))
+
+
 def kernel_counters(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
     """name, n: the work of the search, summed over the tasks."""
     raw = kernel_packed(index, plan, spec, cand, counters=True)

@@ -108,7 +108,8 @@ def prepare(g: PropertyGraph, q: QueryGraph, spec: MatchSpec) -> tuple[MatchPlan
 
 
 def match(g: PropertyGraph, q: QueryGraph, spec: MatchSpec = MatchSpec()) -> MatchResult:
-    """All matches of q in g. The engines levels and batched give packed rows; kernel as well.
+    """All matches of q in g. All engines give packed rows; a kernel whose index is
+    too large to be broadcast searches regions instead, or level by level.
 
     A query vertex without candidates gives an empty result of the right columns. A disconnected
     query is a product of its components.
@@ -124,4 +125,8 @@ def match(g: PropertyGraph, q: QueryGraph, spec: MatchSpec = MatchSpec()) -> Mat
         packed = kernel_packed(index, plan, spec, cand)
         if packed is not None:
             return MatchResult(g, plan, spec, [packed], index, metrics)
+    if spec.engine == "region" or (spec.engine == "kernel" and not plan.bundled[0] and len(q.components()) == 1):
+        from .kernel import region_packed
+
+        return MatchResult(g, plan, spec, [region_packed(index, plan, spec, cand)], index, metrics)
     return MatchResult(g, plan, spec, enumerate_packed(index, plan, spec, cand), index, metrics)

@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import experiments as X
 from .model import MatchSpec, QueryGraph
 from .operators import baselines, reuse
 from .operators.batched import batched
@@ -155,6 +156,8 @@ pattern("dominated_prune", shape("star3", {"a": "LARGE", "b": "SMALL", "c": "SMA
 pattern("failing_prune", shape("house", TYPED), MatchSpec(engine="kernel"))
 pattern("kernel_unpruned", shape("house", TYPED), MatchSpec(engine="kernel", prune_dominated=False, prune_failing=False, reuse=None))
 pattern("kernel_triangle", TRIANGLE, MatchSpec(engine="kernel"), flat=True)
+pattern("region_kernel", shape("house", TYPED), MatchSpec(engine="region"))
+pattern("region_flat", TRIANGLE, MatchSpec(engine="kernel", kernel_arcs=0), flat=True)
 add("nogood_prune", lambda s, d: batched(part2(s, d), PATH, MatchSpec(colouring="all_pinned", batches=4), nogoods=True)[0].agg(F.count("*").alias("n")), sql("copart2", PATH))
 add("batched_triangle", lambda s, d: batched(part2(s, d), TRIANGLE, MatchSpec(batches=4))[0], sql("copart2", TRIANGLE, flat_select(TRIANGLE)))
 add("result_limit", lambda s, d: batched(part2(s, d), TRIANGLE, MatchSpec(batches=4, limit=50))[0].agg(F.count("*").alias("n")), f"SELECT least(n, 50) AS n FROM ({sql('copart2', TRIANGLE)})")
@@ -209,6 +212,18 @@ def _kernel_work(s, d):
 
 add("kernel_work", _kernel_work)
 
+
+
+def _agreement(s, d):
+    """Random-walk queries under three colourings: how many matches each finds."""
+    g = part2(s, d).store()
+    return X.run_all(g, X.query_set(g, (4,), 2), {k: X.COLOURS[k] for k in ("risk", "tail_only", "all_pinned")}).select("method", "query", "n")
+
+
+add("random_walk_agreement", _agreement)
+add("work_by_colour", lambda s, d: X.counters(part2(s, d), {"house": shape("house", TYPED)}, {c: MatchSpec(colouring=c) for c in ("risk", "tail_only", "all_pinned")}))
+add("limit_sweep", lambda s, d: X.limit_sweep(part2(s, d), TRIANGLE, (10, 100), {"full": MatchSpec(batches=3)}).select("method", "lim", "n"), f"SELECT 'full' AS method, l AS lim, least(l, n) AS n FROM ({sql('copart2', TRIANGLE)}), (VALUES (CAST(10 AS BIGINT)), (CAST(100 AS BIGINT))) t(l)")
+
 # --- graphs ------------------------------------------------------------------------------------------
 for _n, _b in (("trade", G.trade), ("copart", lambda s, d: G.copart(s, d, 1)), ("copart2", part2), ("sim", G.similar), ("doc", G.shared_lines), ("leak", G.contains), ("event", G.events), ("conv", G.turns)):
     add(f"graph_{_n}", lambda s, d, b=_b: b(s, d).edges.groupBy("elabel").agg(F.count("*").alias("n"), F.sum(F.pmod(F.col("src") * 31 + F.col("dst"), F.lit(1009))).alias("mark")),

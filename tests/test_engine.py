@@ -245,3 +245,16 @@ def test_prepare_reports_counts(spark):
     plan, cand, index = prepare(graph(spark, TOY_LABELS, TOY_PAIRS), TOY_QUERY, MatchSpec(filters=("label",)))
     assert plan.counts == (1, 1, 2, 3, 2, 2, 2)
     assert index.table().where("qa = 0 AND qb = 1").count() == 1
+
+
+def test_regions_and_experiments(spark):
+    from bundlegraph import experiments as X
+    from bundlegraph import metrics
+
+    g = graph(spark, TOY_LABELS, TOY_PAIRS).store()
+    assert rows(match(g, TOY_QUERY, MatchSpec(engine="region")).flat()) == TOY_MATCHES
+    assert rows(match(g, TOY_QUERY, MatchSpec(engine="kernel", kernel_arcs=0)).flat()) == TOY_MATCHES
+    runs = X.run_all(g, {"toy": TOY_QUERY}, {k: X.METHODS[k] for k in ("full", "b1_dynamic_failing_set", "b10_sql_join")}, cap_s=600).cache()
+    assert {r.n for r in runs.collect()} == {8} and not any(r.timed_out for r in runs.collect())
+    assert metrics.summary(runs).count() == 3 and metrics.against_second_best(runs, "full").count() == 1
+    assert {r.n for r in X.limit_sweep(g, TOY_QUERY, (3, 100), {"full": MatchSpec(batches=2)}).collect()} == {3, 8}
