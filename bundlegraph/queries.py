@@ -38,6 +38,24 @@ def sql(graph: str, q: QueryGraph, select: str = "count(*) AS n", iso: bool = Tr
     return f"WITH v AS ({v}), e AS ({e}) SELECT {select} FROM {', '.join(froms)} WHERE {' AND '.join([*conds, *([extra] if extra else [])]) or 'true'} {tail}"
 
 
+def trade_sql(q: QueryGraph, select: str = "count(*) AS n") -> str:
+    """A connected query of the trade graph: one table for each kind of arc, joined in a connected order."""
+    arcs = dict(G.TRADE_ARCS)
+    kinds = ", ".join(f"{e} AS MATERIALIZED ({arcs[e]})" for e in sorted({e for _, _, e in q.edges}))
+    joined, bound, left = [], {}, list(range(len(q.edges)))
+    while left:
+        k = next(k for k in left if not bound or set(q.edges[k][:2]) & set(bound))
+        a, b, e = q.edges[k]
+        on = [f"e{k}.{col} = {bound[x]}" for x, col in ((a, "src"), (b, "dst")) if x in bound]
+        fresh = {x: f"e{k}.{col}" for x, col in ((a, "src"), (b, "dst")) if x not in bound}
+        on += [f"{c} <> {bound[y]}" for x, c in fresh.items() for y in bound if q.may_clash(x, y)]
+        joined.append(f"JOIN {e} AS e{k} ON {' AND '.join(on)}" if bound else f"FROM {e} AS e{k}")
+        bound |= fresh
+        left.remove(k)
+    chosen = select if select != "*" else ", ".join(f"{bound[i]} AS {n}" for i, n in enumerate(q.names))
+    return f"WITH {kinds} SELECT {chosen} {' '.join(joined)}"
+
+
 def flat_select(q: QueryGraph) -> str:
     return ", ".join(f"{n}.id AS {n}" for n in q.names)
 
@@ -176,8 +194,8 @@ add("vertex_predicate", lambda s, d: match_sql(part2(s, d), "(a:LARGE {p_size >
 
 # --- the nine directed shapes ----------------------------------------------------------------------
 for _n in SOCIAL:
-    add(_n, lambda s, d, n=_n: match(G.trade(s, d), social(n)).count(), sql("trade", social(_n)))
-add("directed_cycle", lambda s, d: match(G.trade(s, d), social("s2")).flat(), sql("trade", social("s2"), flat_select(social("s2"))))
+    add(_n, lambda s, d, n=_n: match(G.trade(s, d), social(n)).count(), trade_sql(social(_n)))
+add("directed_cycle", lambda s, d: match(G.trade(s, d), social("s2")).flat(), trade_sql(social("s2"), "*"))
 _EV = parse("(u:user)-[:click]->(k:key)<-[:view]-(w:user)", directed=True)
 add("edge_label_events", lambda s, d: match(G.events(s, d), _EV).count_by("k"), sql("event", _EV, "k.id AS k, count(*) AS n", tail="GROUP BY k.id"))
 

@@ -133,13 +133,22 @@ def turns(spark: SparkSession, sf_dir: str) -> PropertyGraph:
 
 #: The same graphs in DuckDB's SQL: vertices (id, label) and arcs (src, dst, elabel).
 _T = {k: f"{v * TAG}" for k, v in TAGS.items()}
+TRADE_ARCS = [
+    (e, f"SELECT DISTINCT {a}::BIGINT + {_T[ta]} AS src, {b}::BIGINT + {_T[tb]} AS dst, '{e}' AS elabel FROM {t}")
+    for e, t, ta, a, tb, b in (
+        ("IN_REGION", "nation", "nation", "n_nationkey", "region", "n_regionkey"),
+        ("LIVES_IN", "customer", "customer", "c_custkey", "nation", "c_nationkey"),
+        ("BASED_IN", "supplier", "supplier", "s_suppkey", "nation", "s_nationkey"),
+        ("PLACED", "orders", "customer", "o_custkey", "orders", "o_orderkey"),
+        ("CONTAINS", "lineitem", "orders", "l_orderkey", "part", "l_partkey"),
+        ("SHIPPED_BY", "lineitem", "orders", "l_orderkey", "supplier", "l_suppkey"),
+        ("SUPPLIES", "lineitem", "supplier", "l_suppkey", "part", "l_partkey"),
+    )
+]
 GRAPH_SQL = {
     "trade": (
         " UNION ALL ".join(f"SELECT {c}::BIGINT + {_T[k]} AS id, '{k}' AS label FROM {k}" for k, c in (("region", "r_regionkey"), ("nation", "n_nationkey"), ("customer", "c_custkey"), ("supplier", "s_suppkey"), ("part", "p_partkey"), ("orders", "o_orderkey"))),
-        " UNION ALL ".join(
-            f"SELECT DISTINCT {a}::BIGINT + {_T[ta]} AS src, {b}::BIGINT + {_T[tb]} AS dst, '{e}' AS elabel FROM {t}"
-            for e, t, ta, a, tb, b in (("IN_REGION", "nation", "nation", "n_nationkey", "region", "n_regionkey"), ("LIVES_IN", "customer", "customer", "c_custkey", "nation", "c_nationkey"), ("BASED_IN", "supplier", "supplier", "s_suppkey", "nation", "s_nationkey"), ("PLACED", "orders", "customer", "o_custkey", "orders", "o_orderkey"), ("CONTAINS", "lineitem", "orders", "l_orderkey", "part", "l_partkey"), ("SHIPPED_BY", "lineitem", "orders", "l_orderkey", "supplier", "l_suppkey"), ("SUPPLIES", "lineitem", "supplier", "l_suppkey", "part", "l_partkey"))
-        ),
+        " UNION ALL ".join(arcs for _, arcs in TRADE_ARCS),
     ),
     "sim": ("SELECT vec_id AS id, CAST(label AS VARCHAR) AS label FROM embeddings", "SELECT a.vec_id AS src, b.vec_id AS dst, 'NEAR' AS elabel FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.3"),
     "doc": ("SELECT doc_id AS id, lang AS label FROM documents", "SELECT DISTINCT a.d AS src, b.d AS dst, 'LINE' AS elabel FROM (SELECT DISTINCT doc_id AS d, unnest(string_split(text, chr(10))) AS l FROM documents) a JOIN (SELECT DISTINCT doc_id AS d, unnest(string_split(text, chr(10))) AS l FROM documents) b ON a.l = b.l AND a.d <> b.d WHERE length(a.l) > 30"),
