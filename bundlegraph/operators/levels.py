@@ -86,6 +86,9 @@ def extension(df: DataFrame, index: CandidateIndex, plan: MatchPlan, i: int, can
     No conflict is checked here, so the result can be shared by rows with other images elsewhere.
     """
     pinned, bundles, need = plan.back_pinned(i), plan.back_bundled(i), plan.need[i]
+    if plan.back[i]:
+        # files of a frontier compress so well that their size says little about its rows: never broadcast it
+        df = df.hint("merge")
     if not plan.back[i]:  # a new component of a disconnected query
         ids = cand_i.select(F.col("id").alias("x"))
         if plan.bundled[i]:
@@ -145,7 +148,7 @@ def extend(frontier: DataFrame, index: CandidateIndex, plan: MatchPlan, i: int,
         key_cols = [f"q{j}" for j in keys]
         ext = extension(frontier.select(*key_cols).distinct(), index, plan, i, cand_i, spec.split_case3)
         ext = ext.select(*[F.col(c).alias(f"k_{c}") for c in key_cols], "x", *[f"n{w}" for w in plan.back_bundled(i)])
-        out = frontier.join(ext, reduce(lambda a, b: a & b, [F.col(c) == F.col(f"k_{c}") for c in key_cols]))
+        out = frontier.hint("merge").join(ext, reduce(lambda a, b: a & b, [F.col(c) == F.col(f"k_{c}") for c in key_cols]))
     bundles = set(plan.back_bundled(i))
     out = out.select(*[F.col(f"n{j}").alias(c) if j in bundles else F.col(c) for j, c in enumerate(cols)], F.col("x").alias(f"q{i}"))
     if spec.semantics != "hom" and spec.injectivity != "late":
