@@ -130,8 +130,22 @@ add("order_counts", lambda s, d: s.createDataFrame(list(enumerate(candidate_coun
 
 def _intersections(s, d, vectorised):
     lists = prepare(part2(s, d), shape("edge", {"a": "LARGE", "b": "SMALL"}), MatchSpec(filters=("label",), order=(0, 1)))[2].lists(0, 1)
-    pairs = lists.alias("x").join(lists.alias("y"), F.expr("x.va < y.va AND x.va % 7 = y.va % 7")).select(F.col("x.va").alias("a"), F.col("y.va").alias("b"), F.col("x.nbrs").alias("p"), F.col("y.nbrs").alias("r"))
-    return with_intersection(pairs, "p", "r", "c", vectorised).groupBy(F.size("c").alias("common")).agg(F.count("*").alias("n"))
+    return list_intersections(lists, vectorised)
+
+
+def list_intersections(lists, vectorised):
+    """How many of all pairs of lists have how many members in common; lists: va (distinct), nbrs.
+
+    Pairs that share a member are found by it and intersected. The others have nothing in common;
+    their number is what is left of all pairs, so they are counted without being made.
+    """
+    member = lists.select("va", F.explode("nbrs").alias("w"))
+    met = member.alias("x").join(member.alias("y"), F.expr("x.w = y.w AND x.va < y.va")).select(F.col("x.va").alias("a"), F.col("y.va").alias("b")).distinct()
+    pairs = met.join(lists.select(F.col("va").alias("a"), F.col("nbrs").alias("p")), "a").join(lists.select(F.col("va").alias("b"), F.col("nbrs").alias("r")), "b")
+    seen = with_intersection(pairs, "p", "r", "c", vectorised).groupBy(F.size("c").alias("common")).agg(F.count("*").alias("n"))
+    seen = seen.selectExpr("inline(array(struct(common, n), struct(0 AS common, -n AS n)))")
+    every = lists.agg(F.expr("count(*) * (count(*) - 1) div 2").alias("n")).select(F.lit(0).alias("common"), "n")
+    return seen.unionByName(every).groupBy("common").agg(F.sum("n").alias("n")).where("n > 0")
 
 
 _INTER_SQL = f"WITH l AS ({ORACLES['index_lists'].replace('string_agg(CAST(e.dst AS VARCHAR), ' + chr(39) + ',' + chr(39) + ' ORDER BY e.dst)', 'list(e.dst)')}) SELECT CAST(len(list_intersect(x.nbrs, y.nbrs)) AS INTEGER) AS common, count(*) AS n FROM l x JOIN l y ON x.va < y.va AND x.va % 7 = y.va % 7 GROUP BY 1"

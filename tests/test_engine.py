@@ -2,6 +2,7 @@
 
 import itertools
 import random
+from collections import Counter
 
 import pytest
 from pyspark.sql import functions as F
@@ -258,3 +259,15 @@ def test_regions_and_experiments(spark):
     assert {r.n for r in runs.collect()} == {8} and not any(r.timed_out for r in runs.collect())
     assert metrics.summary(runs).count() == 3 and metrics.against_second_best(runs, "full").count() == 1
     assert {r.n for r in X.limit_sweep(g, TOY_QUERY, (3, 100), {"full": MatchSpec(batches=2)}).collect()} == {3, 8}
+
+
+@pytest.mark.parametrize("vectorised", [False, True])
+def test_every_pair_of_lists_counts(spark, vectorised):
+    from bundlegraph.queries import list_intersections
+
+    rng = random.Random(9)
+    lists = {v: sorted(rng.sample(range(30), rng.randint(1, 6))) for v in rng.sample(range(1000), 25)} | {2000: [0, 1, 2, 50], 2001: [0, 1, 2, 50]}
+    df = spark.createDataFrame(list(lists.items()), "va long, nbrs array<long>")
+    want = Counter(len(set(a) & set(b)) for a, b in itertools.combinations(lists.values(), 2))
+    assert dict(rows(list_intersections(df, vectorised))) == want and want[0] and want[4]
+    assert rows(list_intersections(df.limit(0), vectorised)) == rows(list_intersections(df.limit(1), vectorised)) == []
