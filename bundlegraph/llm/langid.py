@@ -1,12 +1,15 @@
 """Language identification, word first: known words by their log frequency in each language,
 unseen words by the longest known character n-grams, down to single characters.
 
-The model is fitted on at most about `train_docs` labelled documents (chosen by a hash of doc_id),
-which bounds it; every document is scored on its whole text.
+The model is fitted on at most about `train_docs` labelled documents of each language (chosen by a
+hash of doc_id), which bounds it by the number of languages; it knows every language that has a
+labelled row. Words are kept from `least` occurrences in the sample on, n-grams are counted over all
+words. Every document is scored on its whole text.
 
 Nulls: a null text, and one without a letter, gets `und` and score 0. Rows without language are
 not learned from. Repeated rows are scored alike; ties go to the language that sorts first; with
-no labelled row at all every prediction is `und`. Other columns are ignored.
+no labelled row at all every prediction is `und`, unless `untaught` names another value for texts
+that have letters. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -17,6 +20,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -30,12 +34,10 @@ def fold(doc_id: Column, folds: int) -> Column:
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds))
 
 
-def bounded_sample(rows: DataFrame, key: str, most: int) -> DataFrame:
-    """About `most` rows at most, by a hash of the key: documented bound of what a fit reads."""
-    n = rows.select(key).count()
-    if n <= most:
-        return rows
-    return rows.where(F.pmod(F.xxhash64(F.col(key), F.lit("sample")), F.lit(1 << 30)) < int(most / n * (1 << 30)))
+def sample_each(rows: DataFrame, key: str, group: str, most: int) -> DataFrame:
+    """About `most` rows at most of each group, small groups whole: bound of what a fit reads."""
+    sizes = rows.groupBy(group).agg(F.count("*").alias("__size"))
+    return rows.join(F.broadcast(sizes), group).where(F.pmod(F.xxhash64(F.col(key), F.lit("sample")), F.lit(1 << 30)) < most / F.col("__size") * (1 << 30)).drop("__size")
 
 
 def grams(word: str, longest: int) -> Iterator[str]:
@@ -52,21 +54,34 @@ class WordFirst:
         self.langs, self.words, self.parts, self.longest = langs, words, parts, longest
 
     @classmethod
-    def fit(cls, counts: dict[tuple[str, str], int], longest: int, least: int) -> "WordFirst":
-        langs = sorted({lang for lang, _ in counts})
+    def fit(cls, counted: pa.Table, longest: int, least: int, langs: list[str], mixed: float = 0.1) -> "WordFirst":
+        """counted: lang, word, n. `mixed`: weight of the mean over the languages in each one's frequencies, so that the
+        words that a language lacks cost it the same whether its sample is small or large."""
         col = {lang: i for i, lang in enumerate(langs)}
+        sums = counted.group_by("word").aggregate([("n", "sum")])
+        often = set(sums.filter(pc.greater_equal(sums["n_sum"], least))["word"].to_pylist())
         words: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
+        n_words = np.zeros(len(langs))
+        pieces: list[Counter] = [Counter() for _ in langs]
+        for b in counted.select(["lang", "word", "n"]).to_batches(max_chunksize=20_000):
+            for lang, w, n in zip(*(c.to_pylist() for c in b.columns)):
+                n_words[col[lang]] += n
+                if w in often or len(w) == 1:
+                    words[w][col[lang]] += n
+                mine = pieces[col[lang]]
+                for g in grams(w, longest):
+                    mine[g] += n
         parts: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
-        for (lang, w), n in counts.items():
-            words[w][col[lang]] += n
-            for g in grams(w, longest):
-                parts[g][col[lang]] += n
+        for i, mine in enumerate(pieces):
+            for g, n in mine.items():
+                parts[g][i] = n
+            mine.clear()
 
-        def logs(table: dict[str, np.ndarray], keep: int) -> dict[str, np.ndarray]:
-            total = sum(table.values(), np.zeros(len(langs))) + 1.0
-            return {k: np.log((v + 0.5) / total) for k, v in table.items() if v.sum() >= keep or len(k) == 1}
+        def logs(table: dict[str, np.ndarray], total: np.ndarray) -> dict[str, np.ndarray]:
+            freq = {k: v / np.maximum(total, 1.0) for k, v in table.items()}
+            return {k: np.log((1 - mixed) * p + mixed * p.mean()) for k, p in freq.items()}
 
-        return cls(langs, logs(words, least), logs(parts, least * 2), longest)
+        return cls(langs, logs(words, n_words), logs(parts, sum(parts.values(), np.zeros(len(langs)))), longest)
 
     def unseen(self, word: str) -> np.ndarray:
         """The word in pieces, each the longest known n-gram from its place."""
@@ -87,8 +102,8 @@ class WordFirst:
 class Scorer:
     """A model with a bounded memory of the words that it has seen."""
 
-    def __init__(self, model: WordFirst, room: int = 400_000):
-        self.model, self.room = model, room
+    def __init__(self, model: WordFirst, room: int = 400_000, untaught: str = UNKNOWN):
+        self.model, self.room, self.untaught = model, room, untaught
         self.reset()
 
     def reset(self) -> None:
@@ -98,8 +113,10 @@ class Scorer:
 
     def score(self, text: str | None) -> tuple[str, float]:
         found = _WORD.findall(text.lower()) if text else ()
-        if not self.model.langs or not any(c.isalpha() for w in found for c in w):
+        if not any(c.isalpha() for w in found for c in w):
             return UNKNOWN, 0.0
+        if not self.model.langs:
+            return self.untaught, 0.0
         counts = Counter(found)
         if len(self.index) + len(counts) > len(self.table):
             self.reset()
@@ -126,8 +143,11 @@ class Scorer:
 
 
 def fit_languages(labelled: DataFrame, train_docs: int = 3000, longest: int = 4, least: int = 3) -> WordFirst:
-    """labelled: doc_id, text, lang. Words are counted on the executors, kept from `least` times on."""
-    rows = bounded_sample(labelled.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang"), "doc_id", train_docs)
+    """labelled: doc_id, text, lang; at most about `train_docs` of each language are read.
+    Words are counted on the executors."""
+    rows = labelled.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang")
+    langs = sorted(r.lang for r in rows.select("lang").distinct().collect())  # one row a language
+    rows = sample_each(rows, "doc_id", "lang", train_docs).select("doc_id", "text", "lang")
 
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: Counter = Counter()
@@ -145,14 +165,13 @@ def fit_languages(labelled: DataFrame, train_docs: int = 3000, longest: int = 4,
                 seen.clear()
         yield out()
 
-    counted = rows.mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-    got = counted.toArrow()  # bounded by the sample
-    counts = dict(zip(zip(got["lang"].to_pylist(), got["word"].to_pylist()), got["n"].to_pylist()))
-    return WordFirst.fit(counts, longest, least)
+    counted = rows.mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    return WordFirst.fit(counted.toArrow(), longest, least, langs)  # bounded by the sample
 
 
-def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred", score: str = "score", keep: list[str] | None = None) -> DataFrame:
-    """The columns of `keep` (doc_id if not given) with prediction and score."""
+def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred", score: str = "score", keep: list[str] | None = None, untaught: str = UNKNOWN) -> DataFrame:
+    """The columns of `keep` (doc_id if not given) with prediction and score; `untaught` is the
+    prediction for texts with letters where the model knows no language."""
     kept = keep or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
     at = kept.index("text") if "text" in kept else len(kept)
@@ -160,7 +179,7 @@ def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred"
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         take_over("langid", lambda: None)
-        scorer = Scorer(shared.value)
+        scorer = Scorer(shared.value, untaught=untaught)
         for b in batches:
             got = [scorer.score(t) for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(kept))), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], [*kept, name, score])

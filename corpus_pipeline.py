@@ -21,10 +21,11 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Language ID: documents in no learned language go (null, or without a letter)."""
+    """Language ID: documents without a letter, or without text, go; where no row has a language,
+    those with letters stay."""
     docs = docs.select(*COLUMNS)
     model = fit_languages(docs.where(fold(F.col("doc_id"), 3) != 1))
-    return predict_languages(docs, model, "__lang", "__sure", COLUMNS).where(F.col("__lang") != UNKNOWN).select(*COLUMNS)
+    return predict_languages(docs, model, "__lang", "__sure", COLUMNS, untaught="any").where(F.col("__lang") != UNKNOWN).select(*COLUMNS)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

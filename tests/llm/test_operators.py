@@ -217,6 +217,23 @@ def test_words_first_then_shorter_ngrams(spark):
     assert langid.language_report(docs.limit(0)).count() == 0
 
 
+def test_rare_languages_and_rare_words_are_learned(spark):
+    """A language of one document beside a large one, and a sample whose words occur once each."""
+    rng = random.Random(6)
+    word = lambda letters: "".join(rng.choice(letters) for _ in range(rng.randint(3, 6)))
+    en = [word("aeithnsr") for _ in range(150)]
+    rows = [(i, " ".join(rng.choice(en) for _ in range(40)), "en", "s") for i in range(400)]
+    rows += [(1000, " ".join(word("кмноптя") for _ in range(12)), "ru", "s"), (1001, " ".join(word("кмноптя") for _ in range(12)), None, "s")]
+    model = langid.fit_languages(documents(spark, rows), train_docs=50)
+    assert model.langs == ["en", "ru"]
+    got = {r.doc_id: r.lang_pred for r in langid.predict_languages(documents(spark, rows), model).collect()}
+    assert got == {d: "ru" if d >= 1000 else "en" for d, *_ in rows}
+    once = [(0, "thing with other", "en", "s"), (1, "schon nicht machen", "de", "s"), (2, "withing", None, "s"), (3, "nichtig", None, "s"), (4, "12", "en", "s")]
+    model = langid.fit_languages(documents(spark, once))
+    got = {r.doc_id: r.lang_pred for r in langid.predict_languages(documents(spark, once), model).collect()}
+    assert got == {0: "en", 1: "de", 2: "en", 3: "de", 4: "und"}
+
+
 def test_gradients_match_differences():
     rng = np.random.default_rng(0)
     net = toxicity.Network()

@@ -50,3 +50,9 @@ def test_stages(spark, tmp_path):
     empty = docs.limit(0)
     for _, stage in P.STAGES:
         assert stage(spark, empty, str(tmp_path)).count() == 0
+
+
+def test_unlabelled_documents_with_letters_pass_the_first_stage(spark):
+    rows = [(1, "some words here", None, "s", 1), (2, "12 !!", None, "s", 1), (3, None, None, "s", 1), (4, "wörter", None, "s", 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r.doc_id for r in P.keep_known_languages(spark, docs, "").collect()) == [1, 4]
