@@ -268,17 +268,27 @@ class DynamicSearch:
         return out, 0 if out else blame
 
 
-def driver_lists(index, plan: MatchPlan, most: int) -> Lists | None:
-    """The index as dictionaries, or None if it has more than `most` pairs."""
-    keys = list(index._pairs)
-    sizes = [index.pairs(*k).count() for k in keys]
-    if sum(sizes) > most:
+def driver_lists(index, most: int) -> Lists | None:
+    """The index as dictionaries, or None if it has more than `most` pairs (24 bytes each when collected)."""
+    total = index.total()
+    if total is None or total > most:
         return None
-    out: Lists = {}
-    for i, j in keys:
-        for a, b in ((i, j), (j, i)):
-            out[a, b] = {r.va: frozenset(r.nbrs) for r in index.lists(a, b).collect()}
-    return out
+    links = index.links()
+    out: Lists = {k: {} for i, j in links for k in ((i, j), (j, i))}
+    if not links:
+        return out
+    found = index.links_table().toArrow()
+    for b in found.to_batches(max_chunksize=100_000):
+        for link, va, vb in zip(*(c.to_pylist() for c in b.columns)):
+            i, j = divmod(link, 64)
+            out[i, j].setdefault(va, []).append(vb)
+            out[j, i].setdefault(vb, []).append(va)
+    return {k: {v: frozenset(x) for v, x in d.items()} for k, d in out.items()}
+
+
+def search_tasks(spark) -> int:
+    """Searches are dealt finely over what the cluster has, so uneven roots even out."""
+    return 4 * spark.sparkContext.defaultParallelism
 
 
 def packed_schema(plan: MatchPlan) -> T.StructType:
@@ -290,10 +300,10 @@ def kernel_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]
 
     Roots are dealt over the tasks; each task searches its own with the whole index.
     """
-    lists = driver_lists(index, plan, spec.kernel_arcs)
+    lists = driver_lists(index, spec.kernel_arcs)
     if lists is None:
         return None
-    spark = cand[0].sparkSession
+    spark = index.spark
     loose = [i for i in range(1, plan.query.n) if not plan.back[i]]
     sets = [frozenset(r.id for r in cand[plan.order[i]].limit(spec.kernel_arcs + 1).collect()) if i in loose else _NONE for i in range(plan.query.n)]
     if any(len(s) > spec.kernel_arcs for s in sets):
@@ -331,55 +341,82 @@ def kernel_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]
         else:
             yield out()
 
-    roots = cand[plan.order[0]].select("id").repartition(8 if spec.limit is None else 1, "id")
+    # a limit counts rows of one task, a bundled root is one bundle: both search in one task
+    alone = spec.limit is not None or plan.bundled[0]
+    roots = cand[plan.order[0]].select("id").repartition(1 if alone else search_tasks(spark), "id")
     return roots.mapInArrow(search, "name string, n long" if counters else schema)
 
 
-def region_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
-    """Packed matches of a connected query, each root with the part of the index that it can reach.
+def regions(index, plan: MatchPlan, cand: list[DataFrame]) -> DataFrame:
+    """root, link, va, vb: the part of the index that each root of a connected query can reach.
 
-    Nothing is broadcast: one join for each link builds the regions, and a task holds one region.
-    Place 0 is pinned here, whatever its colour, so that each root stands alone.
+    Nothing is broadcast: one join for each link builds the regions.
     """
-    import pandas as pd
-
     from ..functions.scratch import written
 
-    if plan.bundled[0]:
-        raise ValueError("a region belongs to one root: place 0 must be pinned")
     reach = {0: cand[plan.order[0]].select(F.col("id").alias("root"), F.col("id").alias("v"))}
+    parts = None
     for i in range(1, plan.query.n):
         if not plan.back[i]:
             raise ValueError("regions need a connected query")
-        w = plan.back[i][0]
-        near = index.pairs(w, i).select(F.col("va").alias("x"), F.col("vb").alias("y"))
-        reach[i] = written(reach[w].join(near, F.col("v") == F.col("x")).select("root", F.col("y").alias("v")).distinct(), f"reach{i}")
-    parts = None
-    for i in range(plan.query.n):
+        grown = None
         for w in plan.back[i]:
-            near = index.pairs(w, i)
-            part = reach[w].join(near, F.col("v") == F.col("va")).select("root", F.lit(w * 64 + i).alias("link"), "va", "vb")
-            part = part.join(reach[i].select("root", F.col("v").alias("vb")), ["root", "vb"], "left_semi").select("root", "link", "va", "vb")
+            near = index.pairs(w, i).select(F.col("va").alias("x"), F.col("vb").alias("y"))
+            one = reach[w].join(index.near(near, w, i), F.col("v") == F.col("x")).select("root", F.col("x").alias("va"), F.col("y").alias("vb"))
+            part = one.select("root", F.lit(w * 64 + i).alias("link"), "va", "vb")
             parts = part if parts is None else parts.unionByName(part)
-    names = [f"q{i}" for i in range(plan.query.n)]
+            seen = one.select("root", F.col("vb").alias("v")).distinct()
+            # an image of place i must be reached from every placed neighbour
+            grown = seen if grown is None else grown.join(seen.hint("merge"), ["root", "v"], "left_semi")
+        reach[i] = written(grown, f"reach{i}") if i < plan.query.n - 1 else grown
+    return parts
+
+
+def search_regions(index, plan: MatchPlan, cand: list[DataFrame], schema, run) -> DataFrame:
+    """run(root, lists) -> rows, once for each root with its region's lists."""
+    import pandas as pd
+
+    names = [f.name for f in schema.fields]
 
     def search(region: pd.DataFrame) -> pd.DataFrame:
-        lists: Lists = {}
+        lists: dict = {k: {} for i in range(plan.query.n) for w in plan.back[i] for k in ((w, i), (i, w))}
         for link, va, vb in zip(region["link"].tolist(), region["va"].tolist(), region["vb"].tolist()):
             a, b = divmod(link, 64)
-            lists.setdefault((a, b), {}).setdefault(va, set()).add(vb)
-            lists.setdefault((b, a), {}).setdefault(vb, set()).add(va)
-        for i in range(plan.query.n):
-            for w in plan.back[i]:
-                lists.setdefault((w, i), {}), lists.setdefault((i, w), {})
-        rows: list[list] = []
-        s = Search(plan, {k: {v: frozenset(x) for v, x in d.items()} for k, d in lists.items()}, [_NONE] * plan.query.n, spec)
-        s.roots([int(region["root"].iloc[0])], lambda image: rows.append([sorted(x) if b else x for x, b in zip(image, plan.bundled)]))
+            lists[a, b].setdefault(va, set()).add(vb)
+            lists[b, a].setdefault(vb, set()).add(va)
+        rows = run(int(region["root"].iloc[0]), {k: {v: frozenset(x) for v, x in d.items()} for k, d in lists.items()})
         return pd.DataFrame(rows, columns=names)
 
-    if parts is None:
-        return reach[0].select(F.col("v").alias("q0"))
-    return parts.groupBy("root").applyInPandas(search, packed_schema(plan))
+    return regions(index, plan, cand).groupBy("root").applyInPandas(search, schema)
+
+
+def region_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
+    """Packed matches of a connected query, each root with its region; a task holds one region.
+
+    A limit bounds the matches of each root and of the whole; a deadline ends the search of a root.
+    """
+    if plan.bundled[0]:
+        raise ValueError("a region belongs to one root: place 0 must be pinned")
+    if plan.query.n == 1:
+        return cand[plan.order[0]].select(F.col("id").alias("q0"))
+
+    def run(root: int, lists: Lists) -> list[list]:
+        rows: list[list] = []
+        deadline = time.time() + spec.timeout_s if spec.timeout_s else None
+
+        def emit(image: list) -> None:
+            rows.append([sorted(x) if b else x for x, b in zip(image, plan.bundled)])
+            if spec.limit is not None and len(rows) >= spec.limit:
+                raise Stop
+
+        try:
+            Search(plan, lists, [_NONE] * plan.query.n, spec, deadline).roots([root], emit)
+        except Stop:
+            pass
+        return rows
+
+    found = search_regions(index, plan, cand, packed_schema(plan), run)
+    return found if spec.limit is None else found.limit(spec.limit)
 
 
 def kernel_counters(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:

@@ -1,4 +1,4 @@
-"""Shared extension as an operator of its own, and the rows that agree on what an extension needs."""
+"""When partial matches share an extension: the rows that agree on what it needs."""
 
 from __future__ import annotations
 
@@ -19,7 +19,7 @@ def same_key(frontier: DataFrame, plan: MatchPlan, i: int, key: str = "bn") -> D
     return frontier.groupBy(*keys_of(plan, i, key)).agg(F.count("*").alias("rows"))
 
 
-def sharing_pays(frontier: DataFrame, plan: MatchPlan, i: int, key: str = "bn", most: float = 0.5) -> bool:
-    """Are there clearly fewer distinct keys than rows? Estimated, in one pass."""
-    r = frontier.agg(F.count("*").alias("rows"), F.approx_count_distinct(F.struct(*keys_of(plan, i, key))).alias("keys")).first()
-    return plan.reusable[i] and r["keys"] <= most * r["rows"]
+
+def sharing(frontier: DataFrame, keys: list[str]) -> DataFrame:
+    """rows, keys: how many rows a frontier has and about how many distinct keys, in one pass."""
+    return frontier.agg(F.count("*").alias("rows"), F.approx_count_distinct(F.struct(*keys)).alias("keys"))

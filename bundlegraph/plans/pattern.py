@@ -1,4 +1,4 @@
-"""A small pattern language: (a:part {p_size > 10})-[:CONTAINS]->(b:orders), (b)-(c); a < c"""
+"""A small pattern language: (a:part {p_size > 10})-[:CONTAINS {quantity > 5}]->(b:orders), (b)-(c); a < c"""
 
 from __future__ import annotations
 
@@ -7,13 +7,14 @@ import re
 from ..model import QueryGraph
 
 _NODE = re.compile(r"\s*\(\s*(\w+)\s*(?::\s*([^\s){]+))?\s*(?:\{(.*?)\})?\s*\)")
-_EDGE = re.compile(r"\s*(<)?-(?:\[\s*:\s*([^\]\s]+)\s*\]-)?(>)?")
+_EDGE = re.compile(r"\s*(<)?-(?:\[\s*(?::\s*([^\]\s{]+))?\s*(?:\{(.*?)\})?\s*\]-)?(>)?")
 
 
 def parse(text: str, directed: bool | None = None) -> QueryGraph:
     """Chains of nodes and edges, parted by commas; after a semicolon comparisons of two nodes.
 
-    Arrows make the query directed. A node's label and predicate need to stand only once.
+    Arrows make the query directed. A node's label and predicate need to stand only once; an edge may
+    have a label, a predicate on arc columns, or both.
     """
     body, _, tests = text.partition(";")
     labels: dict[str, str | None] = {}
@@ -38,12 +39,13 @@ def parse(text: str, directed: bool | None = None) -> QueryGraph:
         left = node()
         while at < len(body) and body[at:].lstrip()[:1] in ("-", "<"):
             m = _EDGE.match(body, at)
-            if not m or (m[1] and m[3]):
+            if not m or (m[1] and m[4]):
                 raise ValueError(f"an edge is expected at: {body[at:at + 30]!r}")
             at = m.end()
             right = node()
-            arrows |= bool(m[1] or m[3])
-            edges.append((right, left, m[2]) if m[1] else (left, right, m[2]))
+            arrows |= bool(m[1] or m[4])
+            test = m[3].strip() if m[3] else None
+            edges.append((right, left, m[2], test) if m[1] else (left, right, m[2], test))
             left = right
         rest = body[at:].lstrip()
         if not rest:

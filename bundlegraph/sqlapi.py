@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,9 +15,25 @@ from .operators.match import match
 from .plans.pattern import parse
 
 
-def match_sql(g: PropertyGraph, pattern: str, spec: MatchSpec = MatchSpec()) -> DataFrame:
-    """Flat matches of a pattern such as (a:part)-(b:part)-(c:part); a < c"""
-    return match(g, parse(pattern, directed=g.directed), spec).flat()
+def match_sql(g: PropertyGraph, text: str, spec: MatchSpec = MatchSpec()) -> DataFrame:
+    """Matches of a pattern such as (a:part)-(b:part)-(c:part); a < c RETURN ...
+
+    Without RETURN all columns of each match; RETURN a, b: these columns of each match; RETURN
+    DISTINCT a, b: each once; RETURN a, b, COUNT: each with its number of matches; RETURN COUNT: their
+    number. Bundles that are not asked for are not exploded by the last three.
+    """
+    pattern, _, tail = re.split(r"\s(RETURN)\s", text, maxsplit=1) if re.search(r"\sRETURN\s", text) else (text, "", "")
+    found = match(g, parse(pattern, directed=g.directed), spec)
+    if not tail:
+        return found.flat()
+    distinct = tail.strip().upper().startswith("DISTINCT ")
+    names = [n.strip() for n in (tail.strip()[9:] if distinct else tail).split(",")]
+    wrong = [n for n in names if n not in found.plan.query.names and n.upper() != "COUNT"]
+    if wrong:
+        raise ValueError(f"not in the pattern: {wrong}")
+    if names[-1].upper() == "COUNT":
+        return found.count() if len(names) == 1 else found.count_by(*names[:-1])
+    return found.select(*names, distinct=distinct)
 
 
 @pandas_udf(ArrayType(LongType()))
@@ -26,9 +44,19 @@ def intersect_sorted(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([None if x is None or y is None else np.intersect1d(x, y, assume_unique=True) for x, y in zip(a, b)])
 
 
+@pandas_udf(ArrayType(LongType()))
+def bundle_union(bundles: pd.Series) -> list:
+    """Aggregate: the sorted union of a group's bundles; null bundles count as empty."""
+    import numpy as np
+
+    held = [x for x in bundles if x is not None]
+    return np.unique(np.concatenate(held)).tolist() if held else []
+
+
 def register(spark: SparkSession) -> None:
-    """intersect_sorted(a, b) and expand_packed(pinned, bundle) for SQL."""
+    """intersect_sorted(a, b), bundle_union(bundle) and expand_packed(pinned, bundle) for SQL."""
     spark.udf.register("intersect_sorted", intersect_sorted)
+    spark.udf.register("bundle_union", bundle_union)
     spark.udtf.register("expand_packed", ExpandPacked)
 
 
@@ -50,7 +78,10 @@ def register_graph(spark: SparkSession, name: str, g: PropertyGraph, most_arcs:
     arcs = g.edges.select("src", "dst", "elabel").distinct().limit(most_arcs + 1).collect()
     if len(arcs) > most_arcs:
         raise ValueError("the graph is too large for a table function; use match_sql")
-    labels = {r.id: r.label for r in g.vertices.select("id", "label").limit(most_arcs + 1).collect()}
+    found = g.vertices.select("id", "label").limit(most_arcs + 1).collect()
+    if len(found) > most_arcs:
+        raise ValueError("the graph has too many vertices for a table function; use match_sql")
+    labels = {r.id: r.label for r in found}
     held, directed = [(r.src, r.dst, r.elabel) for r in arcs], g.directed
 
     @udtf(returnType="n bigint, place string, image bigint")
@@ -76,9 +107,9 @@ def register_graph(spark: SparkSession, name: str, g: PropertyGraph, most_arcs:
                         lists.setdefault((at[w], at[u]), {}).setdefault(y, set()).add(x)
                 lists.setdefault((at[u], at[w]), {}), lists.setdefault((at[w], at[u]), {})
             lists = {k: {v: frozenset(s) for v, s in d.items()} for k, d in lists.items()}
-            found: list = []
-            Search(plan, lists, [cand[u] for u in plan.order], spec).roots(sorted(cand[plan.order[0]]), lambda im: found.append(list(im)))
-            for n, image in enumerate(found):
+            rows: list = []
+            Search(plan, lists, [cand[u] for u in plan.order], spec).roots(sorted(cand[plan.order[0]]), lambda im: rows.append(list(im)))
+            for n, image in enumerate(rows):
                 for i, u in enumerate(plan.order):
                     yield n, q.names[u], image[i]
 

@@ -87,6 +87,23 @@ def binned_pairs(events: DataFrame, first: str, then: str, seconds: int = 600) -
     return a.join(b, ["user_id", "bin"]).where((F.col("u") > F.col("t")) & (F.col("u") <= F.col("t") + span)).select("user_id", "first_id", "then_id")
 
 
+def temporal_triples(events: DataFrame, types: tuple[str, str, str], within: str = "10 minutes", late: str | None = "1 hour") -> DataFrame:
+    """user_id, first_id, then_id, last_id: three events of a user in order, each within a time of the
+    one before. Two interval joins on the user; on a stream all three sides are watermarked."""
+    sides = []
+    for k, kind in enumerate(types):
+        e = events.where(F.col("event_type") == kind).select(F.col("user_id").alias(f"u{k}"), F.col("event_id").alias(f"e{k}"), F.col("ts").alias(f"t{k}"))
+        sides.append(e.withWatermark(f"t{k}", late) if events.isStreaming and late else e)
+    near = lambda k: (F.col(f"u{k}") == F.col(f"u{k - 1}")) & (F.col(f"t{k}") > F.col(f"t{k - 1}")) & (F.col(f"t{k}") <= F.col(f"t{k - 1}") + F.expr(f"interval {within}"))
+    rows = sides[0].join(sides[1], near(1)).join(sides[2], near(2))
+    return rows.select(F.col("u0").alias("user_id"), F.col("e0").alias("first_id"), F.col("e1").alias("then_id"), F.col("e2").alias("last_id"))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a stream's stateful operators left out for coming after the watermark, so far."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def window_counts(events: DataFrame, size: str = "1 hour", slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """Events by window and type; tumbling without slide."""
     e = events.withWatermark("ts", late) if events.isStreaming else events
@@ -106,20 +123,52 @@ def new_arcs(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return (e.withWatermark("ts", late).dropDuplicatesWithinWatermark(["src", "dst", "elabel"]) if e.isStreaming else e.dropDuplicates(["src", "dst", "elabel"])).select("src", "dst", "elabel")
 
 
-def chains(events: DataFrame, types: list[str]) -> DataFrame:
+def chains(events: DataFrame, types: list[str], late: str | None = None, idle: str = "1 day") -> DataFrame:
     """user_id, n: how often a user's events ran through `types` in order (others may lie between).
 
-    State is one number and one count for each user; events of a batch are taken in time order.
+    Without `late`, events of a batch are taken in time order as they come; state is one place and one
+    count for each user. With `late`, events wait in the state until the watermark has passed them, so
+    that those which come out of order across batches are still taken in time order; a user without
+    events for `idle` leaves the state.
     """
+    span = pd.Timedelta(idle)
 
-    def step(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        at, n = state.get if state.exists else (0, 0)
-        for kind in pd.concat(list(parts)).sort_values(["ts", "event_id"])["event_type"]:
+    def advance(at: int, n: int, kinds) -> tuple[int, int]:
+        for kind in kinds:
             if kind == types[at]:
                 at += 1
                 if at == len(types):
                     at, n = 0, n + 1
-        state.update((at, n))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
+        return at, n
 
-    return events.select("user_id", "event_id", "ts", "event_type").groupBy("user_id").applyInPandasWithState(step, "user_id bigint, n bigint", "at int, n bigint", "update", "NoTimeout")
+    def step(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        at, n = state.get if state.exists else (0, 0)
+        state.update(advance(at, n, pd.concat(list(parts)).sort_values(["ts", "event_id"])["event_type"]))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [state.get[1]]})
+
+    def wait(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        at, n, last, held = state.get if state.exists else (0, 0, 0, [])
+        mark = state.getCurrentWatermarkMs()
+        held = [tuple(h) for h in held]
+        if not state.hasTimedOut:
+            for p in parts:
+                held += list(zip((p["ts"].astype("int64") // 10**3 if p["ts"].dtype == "datetime64[ns]" else p["ts"].astype("datetime64[us]").astype("int64")).tolist(), p["event_id"].tolist(), p["event_type"].tolist()))
+        held.sort()
+        ripe = [h for h in held if h[0] <= mark * 1000]
+        held = held[len(ripe):]
+        at, n = advance(at, n, [h[2] for h in ripe])
+        last = max([last, *(h[0] for h in ripe)])
+        if not held and last + span.value // 1000 <= mark * 1000:
+            state.remove()
+        else:
+            state.update((at, n, last, held))
+            state.setTimeoutTimestamp(max(mark + 1, (held[0][0] // 1000 + 1) if held else last // 1000 + span.value // 10**6))
+        if ripe:
+            yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
+
+    out = "user_id bigint, n bigint"
+    rows = events.select("user_id", "event_id", "ts", "event_type")
+    if late is None:
+        return rows.groupBy("user_id").applyInPandasWithState(step, out, "at int, n bigint", "update", "NoTimeout")
+    held = "at int, n bigint, last bigint, held array<struct<t: bigint, id: bigint, kind: string>>"
+    return rows.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(wait, out, held, "update", "EventTimeTimeout")

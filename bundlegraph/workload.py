@@ -30,6 +30,7 @@ def social(name: str) -> QueryGraph:
 #: Undirected shapes; L stands for a label of one's own.
 SHAPES = {
     "edge": "(a)-(b)",
+    "path3": "(a)-(b)-(c)",
     "triangle": "(a)-(b)-(c)-(a)",
     "path4": "(a)-(b)-(c)-(d)",
     "cycle4": "(a)-(b)-(c)-(d)-(a)",
@@ -44,36 +45,34 @@ SHAPES = {
 }
 
 
-def shape(name: str, labels: dict[str, str] | None = None) -> QueryGraph:
+def shape(name: str, labels: dict[str, str] | None = None, where: str | None = None) -> QueryGraph:
+    """A shape with labels of some vertices, and one predicate on every vertex."""
     q = parse(SHAPES[name], directed=False)
-    return QueryGraph(q.names, tuple((labels or {}).get(n) for n in q.names), q.edges, False, q.where, q.cross)
+    tests = (where,) * q.n if where else q.where
+    return QueryGraph(q.names, tuple((labels or {}).get(n) for n in q.names), q.edges, False, tests, q.cross)
 
 
 def random_walk_queries(g: PropertyGraph, size: int, density: str, count: int, seed: int, tries: int = 400) -> list[QueryGraph]:
     """Induced subgraphs on vertices met by a walk from seeded roots; each has a match by construction.
 
-    density: sparse (average degree below 3), dense (3 or more) or any. Only the neighbour lists
-    of the walked vertices are fetched, a bounded number for each step.
+    density: sparse (average degree below 3), dense (3 or more) or any. All walks take a step in one
+    job: a walk goes to the neighbour of smallest seeded hash, out of all that its vertex has, so only
+    one vertex for each walk comes to the driver.
     """
     rng = random.Random(seed)
+    spark = g.edges.sparkSession
     arcs = g.edges.select("src", "dst").where("src <> dst").distinct()
+    tries = min(tries, 8 * count if density == "any" else 24 * count)
     pool = [r.src for r in arcs.select("src").distinct().orderBy(F.xxhash64("src", F.lit(seed))).limit(max(4 * count, 64)).collect()]
-    near: dict[int, list[int]] = {}
-
-    def fetch(vs: set[int]) -> None:
-        new = list(vs - near.keys())
-        if new:
-            kept = arcs.where(F.col("src").isin(new)).groupBy("src").agg(F.slice(F.array_sort(F.collect_set("dst")), 1, 512).alias("n"))
-            near.update({v: [] for v in new} | {r.src: r.n for r in kept.collect()})
-
-    walks = [[rng.choice(pool)] for _ in range(min(tries, 8 * count))] if pool else []
-    for _ in range(4 * size):  # all walks take a step together, so a step is one job
-        fetch({w[-1] for w in walks if len(set(w)) < size})
-        for w in walks:
-            if len(set(w)) < size and near[w[-1]]:
-                w.append(rng.choice(near[w[-1]]))
-        if all(len(set(w)) >= size for w in walks):
+    walks = [[rng.choice(pool)] for _ in range(tries)] if pool else []
+    for step in range(6 * size):
+        now = [(k, w[-1]) for k, w in enumerate(walks) if len(set(w)) < size]
+        if not now:
             break
+        at = F.broadcast(spark.createDataFrame(now, "walk int, at long"))  # one row a walk
+        drawn = F.min_by("dst", F.xxhash64("dst", "walk", F.lit(seed), F.lit(step)))
+        for r in arcs.join(at, F.col("src") == F.col("at")).groupBy("walk").agg(drawn.alias("to")).collect():
+            walks[r.walk].append(r.to)
     full = [sorted(set(w)) for w in walks if len(set(w)) == size]
     every = sorted({v for w in full for v in w})
     if not every:

@@ -16,6 +16,9 @@ from bundlegraph.plans import colouring, ordering
 from bundlegraph.plans.analysis import back_sets, closed, dependency_sets, make_plan
 from bundlegraph.plans.pattern import parse
 from bundlegraph.sources.textgraph import read_edges, read_graph, write_graph
+from bundlegraph.functions import scratch
+from bundlegraph.functions.deadline import within
+from bundlegraph.operators.levels import FEW
 from bundlegraph.sqlapi import match_sql, register, register_graph
 from bundlegraph.streaming import matching as S
 from bundlegraph.workload import SHAPES, SOCIAL, random_walk_queries, shape, social
@@ -255,7 +258,7 @@ def test_regions_and_experiments(spark):
     g = graph(spark, TOY_LABELS, TOY_PAIRS).store()
     assert rows(match(g, TOY_QUERY, MatchSpec(engine="region")).flat()) == TOY_MATCHES
     assert rows(match(g, TOY_QUERY, MatchSpec(engine="kernel", kernel_arcs=0)).flat()) == TOY_MATCHES
-    runs = X.run_all(g, {"toy": TOY_QUERY}, {k: X.METHODS[k] for k in ("full", "b1_dynamic_failing_set", "b10_sql_join")}, cap_s=600).cache()
+    runs = X.run_all(g, {"toy": TOY_QUERY}, {k: X.METHODS[k] for k in ("full", "b1_dynamic_failing_set", "b10_sql_join")}, cap_s=600, repeats=1, warm_up=0).cache()
     assert {r.n for r in runs.collect()} == {8} and not any(r.timed_out for r in runs.collect())
     assert metrics.summary(runs).count() == 3 and metrics.against_second_best(runs, "full").count() == 1
     assert {r.n for r in X.limit_sweep(g, TOY_QUERY, (3, 100), {"full": MatchSpec(batches=2)}).collect()} == {3, 8}
@@ -271,3 +274,136 @@ def test_every_pair_of_lists_counts(spark, vectorised):
     want = Counter(len(set(a) & set(b)) for a, b in itertools.combinations(lists.values(), 2))
     assert dict(rows(list_intersections(df, vectorised))) == want and want[0] and want[4]
     assert rows(list_intersections(df.limit(0), vectorised)) == rows(list_intersections(df.limit(1), vectorised)) == []
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_open_and_held_bundles_agree(spark, seed):
+    """Random colourings, lists cut into parts, shared extensions, filters by statistics: all as brute force."""
+    rng = random.Random(100 + seed)
+    label = {v: rng.choice("AB") for v in range(10)}
+    pairs = [(a, b) for a in range(10) for b in range(a) if rng.random() < 0.5]
+    arcs = {x for a, b in pairs for x in ((a, b), (b, a))}
+    g = graph(spark, label, pairs).store()
+    q = shape(["tree", "cycle5", "tailed_triangle", "cycle4"][seed], {"a": "A"} if seed % 2 else {})
+    q = q.restrict(list(range(min(q.n, 5))))
+    want = brute(q, label, arcs)
+    order = tuple(rng.sample(range(q.n), q.n))
+    specs = [MatchSpec(order=order, colouring=tuple(rng.random() < 0.6 for _ in range(q.n)), lazy=k != 0, share="always" if k == 1 else "estimate", bundle_most=2 if k == 2 else 65_536, filters_skipped_at=0.0 if k == 3 else 0.8, injectivity="singleton" if k == 2 else "eager", broadcast_arcs=0 if k == 1 else 200_000) for k in range(4)]
+    for spec in specs:
+        r = match(g, q, spec)
+        assert rows(r.flat()) == want, spec
+        assert r.count().first()[0] == len(want), spec
+        by = Counter((m[0], m[1]) for m in want)
+        assert {(a, b): n for a, b, n in rows(r.count_by(q.names[0], q.names[1]))} == by, spec
+        assert rows(r.select(q.names[1], distinct=True)) == sorted({(m[1],) for m in want}), spec
+
+
+def test_typed_graphs_skip_idle_filters(spark):
+    v = spark.createDataFrame([(i, "P") for i in range(6)] + [(10 + i, "O") for i in range(8)], "id long, label string")
+    arcs = [(10 + o, p, "HAS") for o in range(8) for p in range(6) if (o * 7 + p * 3) % 4 < 2]
+    e = spark.createDataFrame(arcs, "src long, dst long, elabel string")
+    typed, plain = PropertyGraph(v, e, True, types={"HAS": ("O", "P")}), PropertyGraph(v, e, True)
+    q = parse("(o:O)-[:HAS]->(p:P)<-[:HAS]-(x:O), (o)-[:HAS]->(z:P)", directed=True)
+    r, s = match(typed, q), match(plain, q)
+    assert r.index.marks is None and s.index.marks is not None
+    assert rows(r.flat()) == rows(s.flat()) and r.count().first()[0] == s.count().first()[0] > 0
+    twins = parse("(o:O)-[:HAS]->(p:P), (o)-[:HAS]->(x:P), (o)-[:HAS]->(z:P)", directed=True)
+    a = match(typed, twins, MatchSpec(order=(0, 1, 2, 3), colouring=(False, True, True, True)))
+    assert a.frontiers[-1].open == {1, 2, 3}
+    assert a.count().first()[0] == a.flat().count() == match(plain, twins).flat().count()
+    assert FEW > 1
+
+
+def test_edge_predicates_and_returned_columns(spark):
+    v = spark.createDataFrame([(i, "N") for i in range(5)], "id long, label string")
+    e = spark.createDataFrame([(0, 1, "x", 5), (0, 1, "x", 1), (1, 2, "x", 3), (1, 3, "x", 9), (2, 4, "y", 9)], "src long, dst long, elabel string, w int")
+    g = PropertyGraph(v, e, True)
+    assert rows(match_sql(g, "(a)-[:x {w > 2}]->(b)-[{w > 5}]->(c)")) == [(0, 1, 3)]
+    assert rows(match_sql(g, "(a)-[:x]->(b)-[:x]->(c)")) == [(0, 1, 2), (0, 1, 3)]
+    assert rows(match_sql(g, "(a)-[:x]->(b)-[:x]->(c) RETURN a, COUNT")) == [(0, 2)]
+    assert rows(match_sql(g, "(a)-[:x]->(b)-[:x]->(c) RETURN DISTINCT a, b")) == [(0, 1)]
+    assert rows(match_sql(g, "(a)-[:x]->(b)-[:x]->(c) RETURN COUNT")) == [(2,)]
+    assert rows(match_sql(g, "(a)-[:x]->(b)-[:x]->(c) RETURN b")) == [(1,), (1,)]
+    with pytest.raises(ValueError):
+        match_sql(g, "(a)-[:x]->(b) RETURN z")
+    q = parse("(a)-[:x {w > 2}]->(b)", directed=True)
+    assert q.edge_where == ("w > 2",) and QueryGraph.from_json(q.to_json()) == q and q.restrict([0, 1]) == q
+    assert rows(baselines.sql_join(g, q)) == [(0, 1), (1, 2), (1, 3)]
+
+
+def test_a_cap_cancels_the_run(spark):
+    slow = spark.range(4, numPartitions=4).select(F.udf(lambda i: __import__("time").sleep(60) or i, "long")("id").alias("x"))
+    assert within(spark, 1.0, lambda: slow.agg(F.sum("x")).first()) == (None, True)
+    assert within(spark, 60.0, lambda: 5) == (5, False) and within(spark, None, lambda: 6) == (6, False)
+    with pytest.raises(ZeroDivisionError):
+        within(spark, 60.0, lambda: 1 // 0)
+
+
+def test_methods_must_agree(spark):
+    from bundlegraph import experiments as X
+
+    g = graph(spark, TOY_LABELS, TOY_PAIRS).store()
+    with pytest.raises(AssertionError, match="disagree"):
+        X.run_all(g, {"toy": TOY_QUERY}, {"a": X.METHODS["full"], "b": lambda g, q: (0.0, spark.range(1).selectExpr("7L AS n"))}, repeats=1, warm_up=0)
+
+
+def test_saved_index_and_written_matches(spark, tmp_path):
+    g = graph(spark, TOY_LABELS, TOY_PAIRS).store()
+    r = match(g, TOY_QUERY)
+    r.index.save("toy_index", 4)
+    for i, j in r.index.links():
+        assert rows(r.index.load("toy_index").pairs(i, j)) == rows(r.index.pairs(i, j))
+    plan = r.index.load("toy_index").pairs(*r.index.links()[0]).groupBy("va").count()._jdf.queryExecution().toString()
+    assert "Exchange hashpartitioning" not in plan
+    for i, j in r.index.links():
+        spark.sql(f"DROP TABLE toy_index_{i}_{j}"), spark.sql(f"DROP TABLE toy_index_{j}_{i}")
+    r.write(str(tmp_path / "m"), packed=False)
+    assert sorted(tuple(x)[:7] for x in spark.read.parquet(str(tmp_path / "m")).select(*TOY_QUERY.names).collect()) == TOY_MATCHES
+    r.write(str(tmp_path / "p"))
+    assert spark.read.parquet(str(tmp_path / "p")).count() == r.packed.count()
+
+
+def test_dynamic_baselines_without_broadcast(spark):
+    g = graph(spark, TOY_LABELS, TOY_PAIRS).store()
+    assert rows(baselines.dynamic_failing_set(g, TOY_QUERY, baselines.PLAIN.but(kernel_arcs=0))) == TOY_MATCHES
+    assert sorted(baselines.dynamic_batch_order(g, TOY_QUERY)) == list(range(7))
+
+
+def test_scratch_tables_go_after_some_queries(spark):
+    path = scratch.written(spark.range(3), "gone")._jdf.inputFiles()[0].rsplit("/", 1)[0]
+    assert scratch.path_exists(spark, path)
+    for _ in range(scratch.SCOPES):
+        scratch.new_scope(spark)
+    assert not scratch.path_exists(spark, path)
+
+
+def test_triples_and_late_chains_on_streams(spark, tmp_path):
+    rng = random.Random(4)
+    kinds = ["view", "click", "buy"]
+    all_rows = [(i, f"2024-01-01 {i // 60:02d}:{i % 60:02d}:00", i % 2, rng.choice(kinds)) for i in range(120)]
+    shuffled = all_rows[:]
+    for k in range(0, 120, 20):  # out of order within twenty minutes
+        part = shuffled[k : k + 20]
+        rng.shuffle(part)
+        shuffled[k : k + 20] = part
+    far = [(1000 + u, "2024-01-09 00:00:00", u, "end") for u in (0, 1, 7)] + [(2000, "2024-01-20 00:00:00", 7, "end")]
+    schema = "event_id long, t string, user_id long, event_type string"
+    batches = [shuffled[k : k + 10] for k in range(0, 120, 10)] + [far[:3], far[3:], [(3000, "2024-01-20 00:00:01", 7, "end")]]
+    for k, part in enumerate(batches):
+        spark.createDataFrame(part, schema).withColumn("ts", F.to_timestamp("t")).drop("t").coalesce(1).write.parquet(str(tmp_path / "ev" / f"b={k:02d}"))
+    table = spark.createDataFrame(all_rows, schema).withColumn("ts", F.to_timestamp("t")).drop("t")
+    read = lambda: spark.readStream.schema("event_id long, user_id long, event_type string, ts timestamp").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").option("latestFirst", "false").parquet(str(tmp_path / "ev"))
+    for name, plan, mode in (("triples", S.temporal_triples(read(), tuple(kinds), "10 minutes"), "append"), ("late_chains", S.chains(read(), kinds[:2], late="30 minutes"), "update")):
+        q = plan.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", str(tmp_path / name)).start()
+        q.awaitTermination()
+        assert S.late_rows(q) == 0
+    assert rows(spark.table("triples")) == rows(S.temporal_triples(table, tuple(kinds), "10 minutes"))
+    want = {}
+    for e in sorted(table.collect(), key=lambda r: (r.ts, r.event_id)):
+        at, n = want.get(e.user_id, (0, 0))
+        at = at + 1 if e.event_type == kinds[at] else at
+        want[e.user_id] = (0, n + 1) if at == 2 else (at, n)
+    got = {}
+    for r in spark.table("late_chains").collect():
+        got[r.user_id] = max(got.get(r.user_id, 0), r.n)
+    assert {u: n for u, n in got.items() if u in want} == {u: n for u, (_, n) in want.items()}
