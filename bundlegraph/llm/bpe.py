@@ -2,7 +2,12 @@
 
 Both vocabularies never join characters across the step from a visible character to white
 space, so a text is cut there and each distinct chunk is encoded once by the library; the ids
-of a text are those of its chunks in order (tests compare with encoding the text as a whole).
+of a text are those of its chunks in order (tests compare with encoding the text as a whole by a
+tokenizer as it is loaded). A text that holds an added token of the vocabulary, such as its end
+mark, goes through the library as a whole, since added tokens are found before the text is split.
+
+A null text has no ids and equal texts have equal ids; a text over 2^20 characters is cut piece by
+piece, so its chunks are never held all at once.
 """
 
 from __future__ import annotations
@@ -63,7 +68,6 @@ class ChunkEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
         if hasattr(self.tokenizer.model, "_resize_cache"):
@@ -72,6 +76,9 @@ class ChunkEncoder:
         self.known: dict[str, bytes] = {}  # of chunks
         self.pieces: dict[str, bytes] = {}
         spec = json.loads(self.tokenizer.to_str())
+        # in any case, since some are looked for in the normal form
+        added = [re.escape(t["content"]) for t in spec["added_tokens"] if t["content"]]
+        self.added = re.compile("|".join(added), re.IGNORECASE).search if added else lambda text: None
         steps = lambda x, key: [] if not x else x[key] if x["type"] == "Sequence" else [x]
         pre, norm = steps(spec["pre_tokenizer"], "pretokenizers"), steps(spec["normalizer"], "normalizers")
         self.lower = any(x["type"] == "Lowercase" for x in norm)
@@ -109,7 +116,9 @@ class ChunkEncoder:
         """The ids of each text; a null text has none."""
         out, cut, split = [b""] * len(texts), {}, {}
         for i, t in enumerate(texts):
-            if t and len(t) > _LONG:
+            if t and self.added(t):
+                out[i] = array("I", self.tokenizer.encode(t, add_special_tokens=False).ids).tobytes()
+            elif t and len(t) > _LONG:
                 out[i] = self._long(t)
             elif t and self.split and _PLAIN.fullmatch(t):
                 split[i] = self.split(t.lower() if self.lower else t)

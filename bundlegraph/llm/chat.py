@@ -5,7 +5,9 @@ Control strings begin with "<|"; in an escaped text each "<", backslashes, "|" h
 more, so no escaped text holds "<|". The parser cuts at START, then at the first LF and the first
 END, and takes one backslash away again. Each turn is first rendered as it is and reparsed; where
 that does not give back its source, the turn is escaped and reparsed again. A rendered turn that
-parses alone parses the same among others, because no turn holds START or ends before its LF.
+parses alone parses the same among others, because no turn holds START or ends before its LF; each
+whole conversation is reparsed as well and compared with all its turns before it is given out. In a
+role a backslash becomes "\\b" and LF "\\n", so a role of any characters stays on its line.
 
 Nulls: null text and null role are empty; a null turn sorts first; a null conv_id is a
 conversation of its own. Rows of equal turn are ordered by role, then text; repeated rows are
@@ -32,12 +34,12 @@ def unescape(text: Column) -> Column:
 
 
 def escape_role(role: Column) -> Column:
-    return escape(F.replace(F.replace(role, F.lit("\\"), F.lit("\\\\")), F.lit("\n"), F.lit("\\n")))
+    return escape(F.replace(F.replace(role, F.lit("\\"), F.lit("\\b")), F.lit("\n"), F.lit("\\n")))
 
 
 def unescape_role(role: Column) -> Column:
-    plain = F.replace(unescape(role), F.lit("\\\\"), F.lit("\x00"))
-    return F.replace(F.replace(plain, F.lit("\\n"), F.lit("\n")), F.lit("\x00"), F.lit("\\"))
+    # after a backslash of an escaped role stands b or n, so neither step meets what the other made
+    return F.replace(F.replace(unescape(role), F.lit("\\n"), F.lit("\n")), F.lit("\\b"), F.lit("\\"))
 
 
 def render(role: Column, text: Column) -> Column:
@@ -72,13 +74,16 @@ def format_turns(turns: DataFrame) -> DataFrame:
     order = [F.col("turn").asc_nulls_first(), F.col("role"), F.col("text")]
     w = Window.partitionBy("conv_id").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
     placed = rows.select(
-        "conv_id", "out", F.row_number().over(Window.partitionBy("conv_id").orderBy(*order)).alias("nth"),
+        "conv_id", "out", plain.alias("src"), F.row_number().over(Window.partitionBy("conv_id").orderBy(*order)).alias("nth"),
         F.when(F.col("role") == "assistant", F.struct(
             (F.coalesce(F.sum(F.length("out")).over(w), F.lit(0)) + F.length(F.concat(F.lit(START), safe_role)) + 1).cast("int").alias("start"),
             F.length("shown").alias("length"))).alias("span"),
     )
-    whole = placed.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("nth", "out", "span"))).alias("t"))
-    return whole.select("conv_id", F.array_join(F.col("t.out"), "").alias("formatted"), F.filter(F.col("t.span"), lambda s: s.isNotNull()).alias("loss_spans"))
+    whole = placed.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("nth", "out", "span", "src"))).alias("t"))
+    joined = whole.select("conv_id", "t", F.array_join(F.col("t.out"), "").alias("formatted"))
+    told = F.coalesce(parse(F.col("formatted")) == F.col("t.src"), F.lit(False))
+    checked = F.when(told, F.col("formatted")).otherwise(F.raise_error(F.lit("a conversation does not survive its round trip")).cast("string"))
+    return joined.select("conv_id", checked.alias("formatted"), F.filter(F.col("t.span"), lambda s: s.isNotNull()).alias("loss_spans"))
 
 
 def digest(formatted: DataFrame) -> DataFrame:
@@ -111,7 +116,7 @@ WITH t AS (
   SELECT conv_id, count(*) AS n_turns,
     string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text) AS said,
     coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, role, text) FILTER (role = 'assistant'), '') AS loss,
-    CAST(sum(12 + length(regexp_replace(replace(replace(role, '\', '\\'), chr(10), '\n'), '<(\\*)\|', '<\\\1|', 'g'))
+    CAST(sum(12 + length(regexp_replace(replace(replace(role, '\', '\b'), chr(10), '\n'), '<(\\*)\|', '<\\\1|', 'g'))
       + 1 + length(regexp_replace(text, '<(\\*)\|', '<\\\1|', 'g')) + 11) AS BIGINT) AS formatted_chars
   FROM t GROUP BY conv_id)
 SELECT conv_id, n_turns, sha256(said) AS turns_sha256, CAST(length(loss) AS BIGINT) AS loss_chars,

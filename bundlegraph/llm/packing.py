@@ -4,14 +4,18 @@ A length is an integer of at most the capacity, so the whole packing problem is
 most `capacity` counts, whatever the number of documents. The plan is searched on that table;
 documents then find their place by the rank they have among pieces of equal length.
 
-Search: take the largest length left, enumerate fillings of the rest of its sequence that no
-other filling dominates, best fit first, use each as often as the counts allow, and go deeper.
-A branch ends when its waste exceeds what would still beat the incumbent. The incumbent starts
-as best-fit decreasing; the search ends when it meets the lower bound, or after `search_nodes`
-nodes (the incumbent then stands: each sequence is still full and valid).
+Search: take the largest length left and complete its sequence. Completions come fullest first, out
+of all sums that the stock can make, and only undominated ones count: none in which some items could
+give way to one larger or equal item left in stock, or to which an item could be added. A completion is
+first used as often as the stock allows, on the way back once; so the search is complete. A branch
+ends when its waste, or the lower bound of what is left, cannot beat the incumbent, which starts as
+best-fit decreasing. The search ends when the incumbent meets the lower bound or all branches are
+done (the plan is then proven optimal), or after `search_nodes` completions: the plan then says that
+it is not proven; it is whole and valid in any case.
 
 Nulls: a null text is empty and so is one end id; a null doc_id stays null. Repeated rows are
-packed once each. An empty table gives no rows. Other columns are ignored.
+packed once each. An empty table gives no rows. Other columns are ignored. Of a text of any length
+only the ids of its own batch of texts are held, 4 bytes each.
 """
 
 from __future__ import annotations
@@ -20,6 +24,7 @@ import struct
 import zlib
 from collections import defaultdict
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -35,18 +40,16 @@ Pattern = tuple[tuple[int, int], ...]  # (length, times), largest first
 def lower_bound(counts: np.ndarray, capacity: int) -> int:
     """No packing has fewer bins: volume, and volume beside items too large to share a bin."""
     size = np.arange(capacity + 1)
-    n, vol = np.cumsum(counts[::-1])[::-1], np.cumsum(counts * size)
-    total = int(vol[-1])
-    best = -(-total // capacity)
+    n, vol = np.append(np.cumsum(counts[::-1])[::-1], 0), np.cumsum(counts * size)
     half = capacity // 2
-    n_half = int(n[half + 1]) if half + 1 <= capacity else 0
-    for k in range(half + 1):  # items over capacity-k stand alone as far as items of k or more go
-        large = int(n[capacity - k + 1]) if k else 0
-        mid = n_half - large
-        mid_vol = int(vol[capacity - k] - vol[half])
-        small_vol = int(vol[half] - (vol[k - 1] if k else 0))
-        best = max(best, large + mid + max(0, -(-(small_vol - (mid * capacity - mid_vol)) // capacity)))
-    return best
+    # for each k: items over capacity - k stand alone as far as items of k or more go
+    k = np.arange(half + 1)
+    large = np.where(k > 0, n[capacity - k + 1], 0)
+    mid = n[half + 1] - large
+    mid_vol = vol[capacity - k] - vol[half]
+    small_vol = vol[half] - np.where(k > 0, vol[k - 1], 0)
+    beside = np.maximum(0, -(-(small_vol - (mid * capacity - mid_vol)) // capacity))
+    return max(-(-int(vol[-1]) // capacity), int((large + mid + beside).max()))
 
 
 def best_fit_decreasing(counts: np.ndarray, capacity: int) -> dict[Pattern, int]:
@@ -81,101 +84,130 @@ def best_fit_decreasing(counts: np.ndarray, capacity: int) -> dict[Pattern, int]
     return dict(out)
 
 
-def dominates(a: list[int], b: list[int]) -> bool:
-    """Can the items of b be dealt into the items of a without overflow? Then b is never better."""
-    room = sorted(a, reverse=True)
+def undominated(items: Pattern, waste: int, spare: int) -> bool:
+    """items: what completes a sequence and leaves `waste`; spare: bit x is set if a length x is left.
 
-    def put(i: int) -> bool:
-        if i == len(b):
-            return True
-        for k in range(len(room)):
-            if room[k] >= b[i]:
-                room[k] -= b[i]
-                if put(i + 1):
-                    return True
-                room[k] += b[i]
+    Dominated: a part of the items (none, one or several) could give way to one spare item that is
+    larger and still fits, or that takes the room of several.
+    """
+    none, one, more = 1, 0, 0  # sums of no, one, several items, as bits
+    for s, times in items:
+        for _ in range(times):
+            more |= (more | one) << s
+            one |= none << s
+    if more & spare:
         return False
+    return not any(((none | one | more) << d) & spare for d in range(1, waste + 1))
+
+
+def completions(left: np.ndarray, room: int, most_waste: int) -> Iterator[tuple[Pattern, int] | None]:
+    """(items, waste) that fill `room` from the counts left, least waste first and larger items first;
+    None stands for one that is dominated, so that a caller may count it.
 
-    return len(b) <= 12 and sum(b) <= sum(a) and put(0)
-
-
-def fillings(left: np.ndarray, room: int, width: int) -> list[list[int]]:
-    """Up to `width` fillings of `room` from the counts left, fullest first, none dominated by another."""
-    sizes = np.flatnonzero(left[: room + 1])
-    sizes = sizes[sizes > 0]
-    if not sizes.size:
-        return [[]]
-    below = np.zeros(room + 1, dtype=np.int64)  # largest length in stock that is at most the index
-    below[sizes] = sizes
-    below = np.maximum.accumulate(below)
-    found: dict[tuple[int, ...], int] = {}
-    first = sizes[::-1]
-    rooms, last, rows = room - first, first.copy(), [first]
-    while True:
-        pick = below[np.maximum(rooms, 0)]
-        again = (pick == last) & (left[pick] < 2)
-        pick = np.where(again, below[np.maximum(pick - 1, 0)], pick)
-        if not pick.any() or len(rows) > 64:
-            break
-        rows.append(pick)
-        rooms, last = rooms - pick, np.where(pick > 0, pick, last)
-    for i in np.argsort(rooms, kind="stable")[: 4 * width]:
-        items = sorted((int(r[i]) for r in rows if r[i]), reverse=True)
-        have = defaultdict(int)
-        kept = []
-        for x in items:
-            if have[x] < left[x]:
-                have[x] += 1
-                kept.append(x)
-        found[tuple(kept)] = sum(kept)
-    out: list[list[int]] = []
-    for items in sorted(found, key=lambda k: (-found[k], len(k))):
-        if not any(dominates(o, list(items)) for o in out):
-            out.append(list(items))
-            if len(out) == width:
-                break
-    return out
-
-
-def plan(counts: np.ndarray, capacity: int, search_nodes: int = 4000, width: int = 4) -> dict[Pattern, int]:
-    """Patterns and how many sequences follow each, for counts[length] pieces of each length."""
+    reach[k] has a bit for each sum of lengths from the k-th on, so no step leads to a dead end.
+    """
+    sizes = [int(s) for s in np.flatnonzero(left[: room + 1])[::-1] if s]
+    times = [min(int(left[s]), room // s) for s in sizes]
+    mask, reach = (1 << room + 1) - 1, [1] * (len(sizes) + 1)
+    for k in range(len(sizes) - 1, -1, -1):
+        sums, n, step = reach[k + 1], times[k], 1
+        while n > 0 and sums != mask:  # once every sum can be made, longer items change nothing
+            sums |= (sums << sizes[k] * min(step, n)) & mask
+            n, step = n - step, step * 2
+        reach[k] = sums
+    held = np.zeros(len(left) + -len(left) % 8, dtype=np.uint8)
+    held[1 : len(left)] = left[1:] > 0
+    stock = int.from_bytes(np.packbits(held, bitorder="little").tobytes(), "little")
+
+    def exact(k: int, rest: int) -> Iterator[Pattern]:
+        if not rest:
+            yield ()
+            return
+        while k < len(sizes) and reach[k] >> rest & 1:
+            s = sizes[k]
+            for n in range(min(times[k], rest // s), 0, -1):
+                if reach[k + 1] >> rest - s * n & 1:
+                    for tail in exact(k + 1, rest - s * n):
+                        yield ((s, n), *tail)
+            k += 1
+
+    for waste in range(min(room, most_waste) + 1):
+        if reach[0] >> room - waste & 1:
+            for items in exact(0, room - waste):
+                spare = stock
+                for s, n in items:
+                    if n >= left[s]:
+                        spare &= ~(1 << s)
+                yield (items, waste) if undominated(items, waste, spare) else None
+
+
+@dataclass(frozen=True)
+class Plan:
+    """Patterns and how many sequences follow each; `least` is a lower bound on `bins`."""
+
+    patterns: dict[Pattern, int]
+    bins: int
+    least: int
+    proven: bool
+
+
+def plan(counts: np.ndarray, capacity: int, search_nodes: int = 4000) -> Plan:
+    """A plan for counts[length] pieces of each length."""
     counts = counts.astype(np.int64)
     best = best_fit_decreasing(counts, capacity)
     bins, least = sum(best.values()), lower_bound(counts, capacity)
     total = int((counts * np.arange(capacity + 1)).sum())
-    nodes = 0
-    # depth first, without recursion: (counts left, patterns so far, bins so far, waste so far)
-    stack = [(counts, (), 0, 0)]
-    while stack and bins > least and nodes < search_nodes:
-        left, chain, used, waste = stack.pop()
-        nodes += 1
+    nodes, done = 0, bins <= least
+    # depth first, without recursion: (counts left, patterns so far, bins so far, waste so far, completions to try)
+    stack: list = []
+
+    def enter(left: np.ndarray, chain, used: int, waste: int) -> None:
+        nonlocal best, bins
         stock = np.flatnonzero(left)
         if not stock.size:
             if used < bins:
-                bins, best = used, defaultdict(int)
+                found: dict[Pattern, int] = defaultdict(int)
                 while chain:
                     pattern, n, chain = chain
-                    best[pattern] += n
-                best = dict(best)
-            continue
+                    found[pattern] += n
+                best, bins = dict(found), used
+            return
+        if used + lower_bound(left, capacity) >= bins:
+            return
         top = int(stock[-1])
-        after = left.copy()
-        after[top] -= 1
-        spare = (bins - 1) * capacity - total  # waste that a better plan may have in all
-        for items in reversed(fillings(after, capacity - top, width)):
-            need = defaultdict(int)
-            for x in [top, *items]:
-                need[x] += 1
-            n = min(int(left[x]) // k for x, k in need.items())
-            w = waste + n * (capacity - top - sum(items))
-            lost = w if n * len(need) < stock.size or (left.sum() > n * (1 + len(items))) else 0
-            if lost > spare or used + n >= bins + (left.sum() == n * (1 + len(items))):
+        rest = left.copy()
+        rest[top] -= 1
+        allowed = (bins - 1) * capacity - total - waste  # waste that a better plan may have from here on
+        if allowed >= 0:
+            stack.append((left, chain, used, waste, top, completions(rest, capacity - top, allowed), []))
+
+    if not done:
+        enter(counts, (), 0, 0)
+    while stack and bins > least and nodes < search_nodes:
+        left, chain, used, waste, top, todo, once = stack[-1]
+        if once:  # the same completion again, this time for one sequence only
+            pattern, n, lost = once.pop()
+        else:
+            got = next(todo, StopIteration)
+            nodes += 1
+            if got is StopIteration:
+                stack.pop()
                 continue
-            rest = left.copy()
-            for x, k in need.items():
-                rest[x] -= n * k
-            stack.append((rest, (tuple(sorted(need.items(), reverse=True)), n, chain), used + n, w))
-    return best
+            if got is None:
+                continue
+            need = defaultdict(int, got[0])
+            need[top] += 1
+            pattern, lost = tuple(sorted(need.items(), reverse=True)), got[1]
+            n = min(int(left[s]) // k for s, k in pattern)
+            if n > 1:
+                once.append((pattern, 1, lost))
+        if waste + n * lost > (bins - 1) * capacity - total:
+            continue
+        rest = left.copy()
+        for s, k in pattern:
+            rest[s] -= n * k
+        enter(rest, (pattern, n, chain), used + n, waste + n * lost)
+    return Plan(best, bins, least, bins <= least or not stack)
 
 
 class Places:
@@ -246,7 +278,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 4096,
     counts = np.zeros(capacity + 1, dtype=np.int64)
     for r in by_part.groupBy("length").agg(F.sum("n").alias("n")).collect():  # at most `capacity` rows
         counts[r.length] = r.n
-    places = Places(plan(counts, capacity, search_nodes))
+    places = Places(plan(counts, capacity, search_nodes).patterns)
     ranked = pieces.join(running_offsets(by_part, ["length"], "part", ["n"]), ["length", "part"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("nth") + F.col("n_before")).alias("nth"))
     shared = docs.sparkSession.sparkContext.broadcast(places)
 
