@@ -6,7 +6,8 @@ samples. The writer makes the same variants, so that each is tested by a round t
 
 Nulls: a null image has no pages; a null text is an empty payload. Damaged images raise, unless
 `keep_bad`, which gives one row with page -1 and no samples. Repeated rows give repeated rows,
-empty tables none, other columns are ignored.
+empty tables none, other columns are ignored. The format's offsets have 32 bits, so an image of 4 GiB
+or more raises; a text is held whole, with its pages, while its image is made or read.
 """
 
 from __future__ import annotations
@@ -159,6 +160,8 @@ def expand(data: bytes, compression: int, size: int) -> bytes:
 
 def encode_tiff(pages: list[np.ndarray], compression: int = DEFLATE, predictor: bool = False, tile: tuple[int, int] | None = None, strip_rows: int = 512, order: str = "<") -> bytes:
     """Grey 8-bit pages (height x width); tile is (height, width), multiples of 16."""
+    if sum(img.size for img in pages) >= 1 << 32:
+        raise ValueError("an image of 4 GiB or more has no offsets in this format")
     out = bytearray((b"II" if order == "<" else b"MM") + struct.pack(order + "HI", 42, 0))
     link = 4
     for img in pages:
@@ -271,12 +274,15 @@ PAGE_W, PAGE_H = 64, 2048
 
 
 def text_to_tiff(payload: bytes) -> bytes:
-    """A padded payload as pages of 64 samples a row: small ones in tiles with the predictor, others in strips."""
+    """A padded payload as pages of 64 samples a row. Its checksum, and nothing else, picks compression,
+    layout, predictor and byte order, so equal payloads give equal images of whatever size; deflate is
+    the commonest, the codecs that run in Python take one payload in sixteen each."""
     grid = np.frombuffer(payload, dtype=np.uint8).reshape(-1, PAGE_W)
     pages = [grid[y : y + PAGE_H] for y in range(0, len(grid), PAGE_H)]
-    if len(grid) <= 16:
-        return encode_tiff(pages, DEFLATE, predictor=True, tile=(16, PAGE_W))
-    return encode_tiff(pages, DEFLATE)
+    pick = zlib.crc32(payload)
+    compression = {0: LZW, 1: PACKBITS, 2: PLAIN, 3: OLD_DEFLATE}.get(pick & 15, DEFLATE)
+    tile = (16, PAGE_W) if pick >> 4 & 7 == 0 else None
+    return encode_tiff(pages, compression, predictor=pick >> 7 & 3 == 0, tile=tile, order=">" if pick >> 9 & 1 else "<")
 
 
 def texts_as_tiff(docs: DataFrame) -> DataFrame:

@@ -12,7 +12,8 @@ by (source, size, doc_id), so no task holds a source.
 
 Nulls: a null text has no words; a null source is a source of its own; a null doc_id sorts first.
 Repeated rows count each. A source without words has target 0 and nothing is taken from it.
-An empty table gives no rows. Other columns pass through `mix` and are ignored by `allot`.
+An empty table gives no rows. Of a text of any length only its number of words is moved until `mix`
+joins the copies to the documents. Other columns pass through `mix` and are ignored by `allot`.
 """
 
 from __future__ import annotations

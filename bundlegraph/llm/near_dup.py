@@ -10,14 +10,16 @@ minhashes. A table is a pair of sub-keys, one of each collection, so tables**2 t
 
 Links: first each member of a bucket is compared on full sets with the bucket's smallest member,
 and the links give components; a group of copies mostly falls into one. Buckets that still hold
-two components are open. What open buckets tie together is a cluster, and in a cluster each pair
-of two components is compared, block against block within tasks: only links leave a task, never
-pairs, and blocks of one component are not compared with each other. So every pair that meets in
-a bucket is compared or already connected, and no bucket is capped.
+two components are open, and there each pair of two components is compared: in an open bucket of at
+most `SMALL` members by pairs of members, of which it has a bounded number; in a larger one block
+against block within tasks, where only links leave a task. Pairs that share no bucket are never
+compared, nor are blocks of one component. So every pair that meets in a bucket is compared or
+already connected, and no bucket is capped.
 
 Nulls: null and blank texts have no shingles and are linked with nothing; rows with a null
 doc_id are returned alone with a null component. doc_id is the identity of a document; repeated
-rows share a component. Empty tables give no rows. Other columns are ignored.
+rows share a component, and rows of one doc_id with different texts are each compared. Empty tables
+give no rows. Other columns are ignored. A very long text is one set of 8 bytes a shingle.
 """
 
 from __future__ import annotations
@@ -33,6 +35,7 @@ from .common import take_over, written
 from .components import connected
 
 _ALL = (1 << 64) - 1
+SMALL = 24  # members of an open bucket that is compared by pairs
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 _ODD = np.random.default_rng(20240229).integers(1, 1 << 63, 4096, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -146,8 +149,8 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(F.col("i") * 100 >= F.lit(percent) * (F.col("s") - F.col("i"))).select("a", "b")
 
 
-def cross_links(inside: DataFrame, sets: DataFrame, percent: int, room: int = 200_000) -> DataFrame:
-    """inside: rep, comp, cluster. a, b: pairs of components of a cluster with a link between them.
+def cross_links(inside: DataFrame, sets: DataFrame, percent: int, room: int = 100_000) -> DataFrame:
+    """inside: rep, comp, cluster (here a bucket). a, b: pairs of components of a cluster with a link between them.
 
     Members are dealt into blocks of about `room` shingles. Large components have blocks of their
     own, small ones share some; every two blocks of a cluster meet in one task, but for two of the
@@ -209,7 +212,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, tables:
     real = sig.where("n > 0 AND doc_id IS NOT NULL")
     classes = written(real.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep")), "classes")
     reps = real.join(classes.withColumnsRenamed({"k1": "w1", "k2": "w2"}), (F.col("doc_id") == F.col("rep")) & (F.col("k1") == F.col("w1")) & (F.col("k2") == F.col("w2"))).select("rep", "n", "w1", "w2", "a", "b")
-    held = written(buckets(reps.select("rep", "n", "a", "b").dropDuplicates(["rep", "n"])), "buckets")
+    held = written(buckets(reps.select("rep", "n", "a", "b").dropDuplicates(["rep", "n", "a", "b"])), "buckets")
     wanted = held.select("rep").distinct().join(classes.select("rep", F.col("k1").alias("w1"), F.col("k2").alias("w2")), "rep")
     sets = written(full_sets(docs, wanted, words), "sets")
 
@@ -221,12 +224,16 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, tables:
 
     # open buckets: two components or more
     of = comps.withColumnRenamed("node", "rep")
-    members = held.select("key", "rep").join(of, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp"))
-    open_ = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key", "lo")
-    opened = written(members.join(open_, "key"), "open-buckets")
-    ties = written(connected(opened.select(F.col("comp").alias("a"), F.col("lo").alias("b"))), "ties")
-    inside = opened.select("rep", "comp").distinct().join(ties.select(F.col("node").alias("comp"), F.col("comp").alias("cluster")), "comp")
-    links = written(cross_links(inside, sets, percent), "cross-links")
+    members = held.select("key", "rep", "n").join(of, "rep", "left").select("key", "rep", "n", F.coalesce("comp", "rep").alias("comp"))
+    per = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("c")).where("lo <> hi").select("key", "c")
+    opened = written(members.join(per, "key"), "open-buckets")
+    few = opened.where(F.col("c") <= SMALL)
+    other = few.select("key", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("cb"))
+    alike = F.least("n", "nb") * 100 >= F.greatest("n", "nb") * percent
+    pairs = few.join(other, "key").where((F.col("comp") < F.col("cb")) & alike).select(F.col("rep").alias("a"), "b", F.col("comp").alias("ca"), "cb").distinct()
+    near_pairs = verified(pairs.select("a", "b"), sets, percent).join(pairs, ["a", "b"]).select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+    inside = opened.where(F.col("c") > SMALL).select("rep", "comp", F.col("key").alias("cluster"))
+    links = written(near_pairs.unionByName(cross_links(inside, sets, percent)).distinct(), "cross-links")
     up = connected(links)
     moved = comps.join(up.select(F.col("node").alias("m"), F.col("comp").alias("to")), F.col("comp") == F.col("m"), "left").select("node", F.coalesce("to", "comp").alias("comp"))
     comps = written(moved.unionByName(up.join(comps, "node", "left_anti").select("node", "comp")), "all-comps")

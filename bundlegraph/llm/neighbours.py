@@ -15,7 +15,8 @@ at most `sample` vectors; every vector is indexed.
 
 Nulls: null, zero and non-finite vectors take no part, nor do those of another length than the
 commonest one (the larger at a tie), nor null ids. A repeated id counts once for each vector that
-it has. Fewer candidates than k: all of them. Empty tables give no rows.
+it has. Fewer candidates than k: all of them. Empty tables give no rows. Ties go to the smaller id.
+Vectors of any length are read whole; a block holds ROWS of them. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,6 +32,9 @@ from pyspark.sql import functions as F
 from .common import written
 
 ROWS, QUERIES = 4096, 1024  # vectors and queries of a block
+MOST_CELLS = 200_000  # a broadcast table of cells has no more rows
+ASKS = 64  # queries of a task that makes probes, until there are MOST_TASKS
+MOST_TASKS = 20_000
 
 
 def _phi(x: np.ndarray) -> np.ndarray:
@@ -62,6 +66,10 @@ class Hashing:
         self.rho = float(np.clip(kth, 0.0, 0.999))
         self.share = 1 - (1 - recall) ** (1 / tables)
 
+    def cells(self) -> int:
+        """How many cells there can be: the first two axes end in open slots."""
+        return int(sum(np.prod((self.hi - self.lo + 1)[t, : min(2, self.hashes)]) for t in range(self.tables)))
+
     def lift(self, x: np.ndarray) -> np.ndarray:
         rest = np.sqrt(np.maximum(self.top**2 - (x * x).sum(axis=1), 0.0))
         return np.concatenate([x, rest[:, None]], axis=1)
@@ -116,13 +124,18 @@ def usable(df: DataFrame, key: str, vector: str) -> DataFrame:
     return rows.where(F.size("v") == (lengths.d if lengths else -1))
 
 
-def _search(index: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+def _search(index: DataFrame, queries: DataFrame, k: int, cells: int) -> DataFrame:
     """index: t, cell, bucket, id, ids, v. queries: t, cell, buckets (null: all), q, qv. Best k + 1 of each block."""
     rows = index.groupBy("t", "cell").agg(F.count("*").alias("n"))
     asks = queries.groupBy("t", "cell").agg(F.count("*").alias("m"))
+    # one row a cell, of which the hashing has `cells` at most: small enough to be broadcast, so a hot
+    # cell's rows are dealt into blocks where they are and first move as bounded blocks
     sized = rows.join(asks, ["t", "cell"]).select("t", "cell", F.ceil(F.col("n") / ROWS).cast("int").alias("parts"), F.ceil(F.col("m") / QUERIES).cast("int").alias("asks"))
-    left = index.join(sized, ["t", "cell"]).withColumn("part", F.pmod(F.xxhash64("id", F.lit("r")), F.col("parts")).cast("int")).withColumn("ask", F.explode(F.sequence(F.lit(0), F.col("asks") - 1))).drop("parts", "asks")
-    right = queries.join(sized, ["t", "cell"]).withColumn("ask", F.pmod(F.xxhash64("q", F.lit("q")), F.col("asks")).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts", "asks")
+    small = (lambda df: F.broadcast(df)) if cells <= MOST_CELLS else (lambda df: df)
+    left = index.join(small(sized), ["t", "cell"]).withColumn("part", F.pmod(F.xxhash64("id", F.lit("r")), F.col("parts")).cast("int"))
+    left = left.withColumn("ask", F.explode(F.sequence(F.lit(0), F.col("asks") - 1))).drop("parts", "asks")
+    right = queries.join(small(sized), ["t", "cell"]).withColumn("ask", F.pmod(F.xxhash64("q", F.lit("q")), F.col("asks")).cast("int"))
+    right = right.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts", "asks")
 
     def block(x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
         if not len(x) or not len(y):
@@ -196,9 +209,10 @@ def nearest(df: DataFrame, key: str, vector: str, is_query, k: int = 20, tables:
             if out:
                 yield pd.DataFrame(out, columns=["t", "cell", "buckets", "q", "qv"])
 
-    asked = rows.where(is_query(F.col("id"))).select("id", "v").distinct()
+    asked = written(rows.where(is_query(F.col("id"))).select("id", "v").distinct(), "ann-asked")
+    tasks = max(1, min(MOST_TASKS, -(-asked.count() // ASKS)))
     table = written(entries.select("id", "v").mapInPandas(index, "t int, cell long, bucket long, id long, v array<double>"), "ann-index")
-    probes = written(asked.mapInPandas(probe, "t int, cell long, buckets array<long>, q long, qv array<double>"), "ann-probes")
+    probes = written(asked.repartition(tasks, "id").mapInPandas(probe, "t int, cell long, buckets array<long>, q long, qv array<double>"), "ann-probes")
     ids = entries.select("id", "ids")
 
     def ranked(found: DataFrame) -> DataFrame:
@@ -208,14 +222,17 @@ def nearest(df: DataFrame, key: str, vector: str, is_query, k: int = 20, tables:
         order = Window.partitionBy("q").orderBy(F.desc("score"), "vec_id")
         return each.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select(F.col("q").alias("query_id"), "rank", "vec_id", "score")
 
-    got = written(ranked(_search(table, probes, k)), "ann-found")
+    got = written(ranked(_search(table, probes, k, hashing.cells())), "ann-found")
     others = rows.select("id").distinct().count() - 1
     full = got.groupBy("query_id").count().where(F.col("count") >= min(k, others)).select(F.col("query_id").alias("id"))
     short = written(asked.join(full, "id", "left_anti"), "ann-short")
     if short.isEmpty():
         return got
     # the exact way for the rest: every bucket of one table
-    cells = table.where("t = 0").select("t", "cell").distinct()
-    everywhere = written(short.join(F.broadcast(cells)).select("t", "cell", F.lit(None).cast("array<long>").alias("buckets"), F.col("id").alias("q"), F.col("v").alias("qv")), "ann-everywhere")
-    rest = ranked(_search(table.where("t = 0"), everywhere, k))
+    cells = [r.cell for r in table.where("t = 0").select("cell").distinct().limit(MOST_CELLS + 1).collect()]
+    if len(cells) > MOST_CELLS:
+        raise ValueError("the hashing has too many cells; use wider slots")
+    everywhere = short.select(F.lit(0).alias("t"), F.explode(F.lit(cells).cast("array<long>")).alias("cell"), F.lit(None).cast("array<long>").alias("buckets"), F.col("id").alias("q"), F.col("v").alias("qv"))
+    everywhere = written(everywhere, "ann-everywhere")
+    rest = ranked(_search(table.where("t = 0"), everywhere, k, len(cells)))
     return got.join(short.select(F.col("id").alias("query_id")), "query_id", "left_anti").select("query_id", "rank", "vec_id", "score").unionByName(rest)

@@ -7,7 +7,8 @@ Equal texts get no special place: a group of copies may be cut by a boundary, wh
 shards equal when one group holds a third of all rows.
 
 Nulls: a null text has no bytes and counts as its 16 bytes of overhead; a null doc_id sorts
-first. Repeated doc_ids are ordered by size and checksum. An empty table gives no rows.
+first. Repeated doc_ids are ordered by size and checksum. An empty table gives no rows. Of a text only
+its length and checksum are kept, so very long ones cost no memory. Other columns are ignored.
 """
 
 from __future__ import annotations

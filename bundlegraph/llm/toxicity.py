@@ -1,14 +1,15 @@
 """Toxicity: a bidirectional gated recurrent network with attention pooling, in numpy.
 
-A token's input joins word inputs (log-odds of the word in toxic against clean documents, is it
-known, length) with character inputs (largest and mean log-odds of its character n-grams, share
-of capitals). A text is cut into overlapping windows of `WINDOW` words, every `STRIDE` words one;
+A token's input joins word and character inputs: a learned embedding of the word (by hash), the mean
+of learned embeddings of its character n-grams (by hash), and six figures: log-odds of the word in
+toxic against clean documents, is it known, length, largest and mean log-odds of its n-grams, share of
+capitals. A text is cut into overlapping windows of `WINDOW` words, every `STRIDE` words one;
 each is read in both directions, pooled by attention and scored. A text's score is that of its
 worst window, so one insult in a long text counts.
 
 Only documents have labels, so training picks windows: first by the log-odds alone, later by
 the network's own scores. It reads at most about `sample` labelled documents of each class, none
-over `longest` characters; that bound holds for the fit only, scoring reads whole texts.
+over `longest` characters, which bounds what the driver holds; scoring reads whole texts.
 
 Nulls: null and blank texts score 0. Null labels are not learned from; a document with several
 labels counts as toxic if one says so. Without labels of both classes every score is 0. Repeated
@@ -30,7 +31,10 @@ from pyspark.sql import functions as F
 from .common import take_over
 from .langid import fold
 
-WINDOW, STRIDE, INPUTS, HIDDEN, ATTEND = 32, 16, 6, 8, 8
+WINDOW, STRIDE, HIDDEN, ATTEND = 32, 16, 8, 8
+FIGURES, WORD_DIM, GRAM_DIM = 6, 8, 8
+INPUTS = FIGURES + WORD_DIM + GRAM_DIM
+WORD_ROWS, GRAM_ROWS = 4096, 8192  # rows of the embeddings; words and n-grams share them by hash
 _EDGE = ".,;:!?\"'()[]{}|*&%$#~`<>-_/\\+=^@"
 
 
@@ -83,10 +87,30 @@ class Inputs:
         rare.clear()
         return [cls(odds(words, f), {k: v for k, v in odds(grams, f).items() if abs(v) > 0.2}) for f in range(folds + 1)]
 
-    def of(self, token: str) -> tuple[float, ...]:
+    def of(self, token: str) -> tuple[tuple[float, ...], int, list[int]]:
+        """The six figures, the row of the word's embedding and the rows of its n-grams' embeddings."""
         w = token.lower().strip(_EDGE)
-        got, known = [self.grams.get(g, 0.0) for g in self.parts(w)] or [0.0], self.words.get(w)
-        return ((known or 0.0) / 2, float(known is not None), min(len(w), 20) / 10, max(got) / 2, sum(got) / len(got), sum(c.isupper() for c in token) / len(token))
+        parts = self.parts(w)
+        got, known = [self.grams.get(g, 0.0) for g in parts] or [0.0], self.words.get(w)
+        figures = ((known or 0.0) / 2, float(known is not None), min(len(w), 20) / 10, max(got) / 2, sum(got) / len(got), sum(c.isupper() for c in token) / len(token))
+        return figures, zlib.crc32(w.encode("utf-8", "surrogatepass")) % WORD_ROWS, [zlib.crc32(g.encode("utf-8", "surrogatepass")) % GRAM_ROWS for g in parts]
+
+
+class Tokens:
+    """Types of tokens in arrays; type 0 stands for no token."""
+
+    def __init__(self, types: list[tuple[tuple[float, ...], int, list[int]]]):
+        self.figures = np.array([t[0] for t in types], dtype=np.float32).reshape(len(types), FIGURES)
+        self.word = np.array([t[1] for t in types], dtype=np.int64)
+        self.many = np.array([len(t[2]) for t in types], dtype=np.int64)
+        self.grams = np.fromiter((g for t in types for g in t[2]), dtype=np.int64, count=int(self.many.sum()))
+        self.at = np.cumsum(self.many) - self.many
+
+    def gram_rows(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Embedding rows of the n-grams of some types, and which of these types each belongs to."""
+        n = self.many[ids]
+        owner = np.repeat(np.arange(len(ids)), n)
+        return self.grams[np.repeat(self.at[ids], n) + np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)], owner
 
 
 class Network:
@@ -95,8 +119,30 @@ class Network:
         d, h, a = INPUTS, HIDDEN, ATTEND
         n = lambda *s: (rng.normal(size=s) / math.sqrt(s[0])).astype(np.float32)
         z = lambda *s: np.zeros(s, dtype=np.float32)
+        self.e = {"word": (rng.normal(size=(WORD_ROWS, WORD_DIM)) / 20).astype(np.float32), "gram": (rng.normal(size=(GRAM_ROWS, GRAM_DIM)) / 20).astype(np.float32)}
         self.p = {"Wf": n(d, 3 * h), "Uf": n(h, 3 * h), "bf": z(3 * h), "Wb": n(d, 3 * h), "Ub": n(h, 3 * h), "bb": z(3 * h), "Wa": n(2 * h, a), "ba": z(a), "va": n(a), "wo": n(2 * h), "bo": z(1)}
 
+    def inputs(self, tokens: Tokens, ids: np.ndarray) -> np.ndarray:
+        """Input rows of some types."""
+        rows, owner = tokens.gram_rows(ids)
+        mean = np.zeros((len(ids), GRAM_DIM), dtype=np.float32)
+        for k in range(GRAM_DIM):
+            mean[:, k] = np.bincount(owner, weights=self.e["gram"][rows, k], minlength=len(ids))
+        mean /= np.maximum(tokens.many[ids], 1)[:, None]
+        word = np.where(tokens.many[ids][:, None] > 0, self.e["word"][tokens.word[ids]], 0)
+        return np.concatenate([tokens.figures[ids], word, mean], axis=1).astype(np.float32)
+
+    def embedding_gradients(self, tokens: Tokens, ids: np.ndarray, dx: np.ndarray) -> dict[str, np.ndarray]:
+        """From gradients of the input rows of some (distinct) types."""
+        g = {k: np.zeros_like(v) for k, v in self.e.items()}
+        some = tokens.many[ids] > 0
+        np.add.at(g["word"], tokens.word[ids[some]], dx[some, FIGURES : FIGURES + WORD_DIM])
+        rows, owner = tokens.gram_rows(ids)
+        share = dx[:, FIGURES + WORD_DIM :] / np.maximum(tokens.many[ids], 1)[:, None]
+        for k in range(GRAM_DIM):
+            g["gram"][:, k] = np.bincount(rows, weights=share[owner, k], minlength=GRAM_ROWS)
+        return g
+
     def project(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Input part of the gates of both directions; depends on the token alone."""
         return x @ self.p["Wf"] + self.p["bf"], x @ self.p["Wb"] + self.p["bb"]
@@ -133,7 +179,7 @@ class Network:
         return (logit, hid, e, att, pooled, kf, kb) if keep else logit
 
     def gradients(self, x: np.ndarray, mask: np.ndarray, y: np.ndarray, weight: np.ndarray):
-        """Mean weighted logistic loss of windows x (n x w x inputs), and its gradients."""
+        """Mean weighted logistic loss of windows x (n x w x inputs), its gradients, and those of x."""
         p, n = self.p, len(x)
         xf, xb = self.project(x)
         logit, hid, e, att, pooled, kf, kb = self.forward(lambda t: xf[:, t], lambda t: xb[:, t], mask, keep=True)
@@ -148,9 +194,11 @@ class Network:
         de = ds[:, :, None] * p["va"] * (1 - e * e)
         g["Wa"], g["ba"] = np.einsum("nth,nta->ha", hid, de), de.sum(axis=(0, 1))
         dhid += de @ p["Wa"].T
+        din = np.zeros_like(x)
         for side, held, steps, cut in (("f", kf, range(x.shape[1] - 1, -1, -1), slice(0, HIDDEN)), ("b", kb, range(x.shape[1]), slice(HIDDEN, None))):
             u = p["U" + side]
             du, dw, db = np.zeros_like(u), np.zeros_like(p["W" + side]), np.zeros_like(p["b" + side])
+            back = p["W" + side].T
             dh = np.zeros((n, HIDDEN), dtype=x.dtype)
             for t in steps:
                 h0, r, zt, c, gc = held[t]
@@ -162,24 +210,34 @@ class Network:
                 du += h0.T @ dg
                 dw += x[:, t].T @ dx
                 db += dx.sum(axis=0)
+                din[:, t] += dx @ back
                 dh = dh * zt + dg @ u.T
             g["U" + side], g["W" + side], g["b" + side] = du, dw, db
-        return loss, g
+        return loss, g, din
 
-    def train(self, x: np.ndarray, mask: np.ndarray, y: np.ndarray, steps: int, rng, rate: float = 0.01, batch: int = 128) -> float:
+    def train(self, tokens: Tokens, ids: np.ndarray, mask: np.ndarray, y: np.ndarray, steps: int, rng, rate: float = 0.01, batch: int = 128, decay: float = 2e-3) -> float:
+        """Adam on windows of token types; the embeddings learn along and are drawn towards zero."""
         weight = np.where(y == 1, len(y) / max(1, 2 * y.sum()), len(y) / max(1, 2 * (1 - y).sum())).astype(np.float32)
-        m = {k: np.zeros_like(v) for k, v in self.p.items()}
-        v = {k: np.zeros_like(v) for k, v in self.p.items()}
+        learned = self.p | self.e
+        m = {k: np.zeros_like(v) for k, v in learned.items()}
+        v = {k: np.zeros_like(v) for k, v in learned.items()}
         loss, order, at = 0.0, rng.permutation(len(y)), 0
         for step in range(1, steps + 1):
             part, at = order[at : at + batch], at + batch
             if at >= len(y):
                 order, at = rng.permutation(len(y)), 0
-            loss, g = self.gradients(x[part], mask[part], y[part].astype(np.float32), weight[part])
-            for k in self.p:
+            types, where = np.unique(ids[part], return_inverse=True)
+            where = where.reshape(ids[part].shape)
+            loss, g, din = self.gradients(self.inputs(tokens, types)[where], mask[part], y[part].astype(np.float32), weight[part])
+            dx = np.zeros((len(types), INPUTS), dtype=np.float32)
+            np.add.at(dx, where[mask[part]], din[mask[part]])
+            g |= self.embedding_gradients(tokens, types, dx)
+            for k, w in learned.items():
+                if k in self.e:
+                    g[k] += decay * w / len(y)
                 m[k] = 0.9 * m[k] + 0.1 * g[k]
                 v[k] = 0.99 * v[k] + 0.01 * g[k] * g[k]
-                self.p[k] -= (rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-7)).astype(np.float32)
+                w -= (rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-7)).astype(np.float32)
         return loss
 
 
@@ -228,7 +286,7 @@ class ToxicityModel:
         fresh = self.types.fresh
         if not fresh:
             return
-        x = np.array([self.inputs.of(t) for t in fresh], dtype=np.float32)
+        x = self.net.inputs(Tokens([self.inputs.of(t) for t in fresh]), np.arange(len(fresh)))
         need = self.filled + len(fresh)
         if need > len(self.gf):
             more = max(need, 2 * len(self.gf)) - len(self.gf)
@@ -296,31 +354,32 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     lengths = np.array([len(t) for t in tokens], dtype=np.int64)
     doc, start, size = windows(lengths)
     seen: list[dict[str, int]] = [{} for _ in range(folds)]
-    feats: list[tuple[float, ...]] = [(0.0,) * INPUTS]
+    types: list[tuple] = [((0.0,) * FIGURES, 0, [])]
     flat = []
     for t, f in zip(tokens, fold_of):
         known, odds = seen[f], without[f]
         for w in t:
             i = known.get(w)
             if i is None:
-                i = known[w] = len(feats)
-                feats.append(odds.of(w))
+                i = known[w] = len(types)
+                types.append(odds.of(w))
             flat.append(i)
-    feats, flat = np.array(feats, dtype=np.float32), np.array([*flat, 0], dtype=np.int64)
+    kinds, flat = Tokens(types), np.array([*flat, 0], dtype=np.int64)
+    del types, seen
 
     def ids(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         mask = np.arange(WINDOW) < size[rows, None]
         return np.where(mask, flat[np.minimum(start[rows, None] + np.arange(WINDOW), len(flat) - 1)], 0), mask
 
     def all_logits() -> np.ndarray:
-        gf, gb = model.net.project(feats)
+        gf, gb = model.net.project(model.net.inputs(kinds, np.arange(len(kinds.word))))
         out = np.empty(len(doc), dtype=np.float32)
         for lo in range(0, len(doc), 8192):
             at, mask = ids(np.arange(lo, min(lo + 8192, len(doc))))
             out[lo : lo + len(at)] = model.net.forward(lambda t: gf[at[:, t]], lambda t: gb[at[:, t]], mask)
         return out
 
-    hint = np.maximum(feats[:, 0], feats[:, 3])
+    hint = np.maximum(kinds.figures[:, 0], kinds.figures[:, 3])
     logit = np.concatenate([hint[ids(np.arange(lo, min(lo + 8192, len(doc))))[0]].max(axis=1) for lo in range(0, len(doc), 8192)])
     first = np.flatnonzero(np.r_[True, np.diff(doc) > 0])
     for k in range(rounds):
@@ -328,7 +387,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
         extra = rng.choice(len(doc), size=min(len(doc), 2 * len(first)), replace=False)
         picked = np.unique(np.concatenate([order[first], extra[y[doc[extra]] == 0]]))
         at, mask = ids(picked)
-        model.net.train(feats[at], mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
+        model.net.train(kinds, at, mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
         logit = all_logits()
     top = np.maximum.reduceat(logit, first)
     pos, neg = np.sort(top[y == 1]), np.sort(top[y == 0])
@@ -340,7 +399,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     return model
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest: int = 200_000) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest: int = 50_000) -> ToxicityModel:
     """Fit on about `sample` labelled documents of each class, chosen by a hash of doc_id."""
     known = labels.where("toxic IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {r.toxic: r["count"] for r in known.where("toxic IN (0, 1)").groupBy("toxic").count().collect()}

@@ -36,3 +36,21 @@ def test_fewer_rows_than_k_and_none(spark):
     got = nearest(df, "vec_id", "embedding", lambda i: i == 0, k=20).orderBy("rank").collect()
     assert [(r.vec_id, r.score) for r in got] == [(1, 0.5), (2, 0.0)]
     assert nearest(df.limit(0), "vec_id", "embedding", lambda i: i == 0).count() == 0
+
+
+def test_recall_at_sixty_four_dimensions(spark):
+    rng = np.random.default_rng(4)
+    centres = rng.normal(size=(40, 64))
+    x = np.concatenate([centres[rng.integers(0, 40, 2500)] + 0.7 * rng.normal(size=(2500, 64)), rng.normal(size=(1500, 64))])
+    x[100:400] = x[100]  # one vector that many rows have
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got: dict[int, set[int]] = {}
+    for r in nearest(df, "vec_id", "embedding", lambda i: i % 20 == 0, k=20).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = 0
+    for q in range(0, 4000, 20):
+        score = x @ x[q]
+        score[q] = -np.inf
+        best = sorted(range(4000), key=lambda i: (-score[i], i))[:20]
+        hits += len(got[q] & set(best))
+    assert hits / (200 * 20) >= 0.9

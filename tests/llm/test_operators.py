@@ -1,6 +1,7 @@
 """Small tests of the training-data operators: hard inputs, brute force, round trips, held-out accuracy."""
 
 import hashlib
+import itertools
 import random
 import zlib
 
@@ -34,7 +35,7 @@ def test_plan_is_valid_and_meets_known_optima():
         counts = np.zeros(cap + 1, dtype=np.int64)
         for _ in range(rng.randint(1, 14)):
             counts[rng.randint(1, cap)] += rng.randint(1, 6)
-        plan = packing.plan(counts, cap)
+        plan = packing.plan(counts, cap).patterns
         back = np.zeros_like(counts)
         for pattern, n in plan.items():
             assert n > 0 and sum(s * k for s, k in pattern) <= cap
@@ -44,22 +45,66 @@ def test_plan_is_valid_and_meets_known_optima():
         assert packing.lower_bound(counts, cap) <= sum(plan.values()) <= sum(packing.best_fit_decreasing(counts, cap).values())
 
 
-def test_search_beats_best_fit_where_it_is_not_optimal():
-    cap, better = 30, 0
-    rng = random.Random(11)
+def fewest_bins(items, cap):
+    """Exhaustive search."""
+    items, best = sorted(items, reverse=True), len(items)
+
+    def go(i, room):
+        nonlocal best
+        if len(room) >= best:
+            return
+        if i == len(items):
+            best = len(room)
+            return
+        for k in {r: k for k, r in enumerate(room) if r >= items[i]}.values():
+            go(i + 1, [*room[:k], room[k] - items[i], *room[k + 1 :]])
+        go(i + 1, [*room, cap - items[i]])
+
+    go(0, [])
+    return best
+
+
+def test_search_finds_the_optimum():
+    rng, better = random.Random(11), 0
     for _ in range(300):
-        counts = np.zeros(cap + 1, dtype=np.int64)
-        for _ in range(12):
-            counts[rng.randint(4, 16)] += 1
-        better += sum(packing.plan(counts, cap).values()) < sum(packing.best_fit_decreasing(counts, cap).values())
-    counts = np.zeros(11, dtype=np.int64)
-    counts[[3, 4, 5, 6, 7]] = [2, 2, 2, 1, 1]
-    assert sum(packing.plan(counts, 10).values()) == packing.lower_bound(counts, 10)
+        cap = rng.choice([20, 30, 50])
+        items = [rng.randint(2, cap * 2 // 3) for _ in range(rng.randint(3, 11))]
+        counts = np.bincount(items, minlength=cap + 1)
+        plan = packing.plan(counts, cap)
+        assert plan.proven and plan.bins == sum(plan.patterns.values()) == fewest_bins(items, cap)
+        better += plan.bins < sum(packing.best_fit_decreasing(counts, cap).values())
     assert better > 0
 
 
-def test_dominance_is_about_dealing_items_into_items():
-    assert packing.dominates([6, 4], [4, 3, 2]) and not packing.dominates([5, 5], [6, 3])
+def test_search_beats_best_fit_at_the_query_capacity():
+    for lo, hi, n in ((300, 1400, 1000), (700, 1400, 500)):
+        counts = np.bincount(np.random.default_rng(0).integers(lo, hi, n), minlength=4097)
+        plan = packing.plan(counts, 4096)
+        assert plan.bins < sum(packing.best_fit_decreasing(counts, 4096).values()) and plan.least <= plan.bins
+    stopped = packing.plan(counts, 4096, search_nodes=0)
+    assert not stopped.proven and sum(stopped.patterns.values()) == stopped.bins
+
+
+def test_undominated_fillings_equal_brute_force():
+    rng = random.Random(3)
+    for _ in range(60):
+        room, stock = rng.randint(6, 14), [rng.randint(1, 9) for _ in range(rng.randint(2, 6))]
+        left = np.bincount(stock, minlength=room + 1)
+        got = [c for c in packing.completions(left, room, room) if c is not None]
+        want = set()
+        for r in range(len(stock) + 1):
+            for pick in itertools.combinations(sorted(stock, reverse=True), r):
+                if sum(pick) > room:
+                    continue
+                rest = list(stock)
+                for x in pick:
+                    rest.remove(x)
+                waste = room - sum(pick)
+                parts = [p for k in range(len(pick) + 1) for p in itertools.combinations(pick, k)]
+                if not any(sum(p) < x <= sum(p) + waste or (x == sum(p) and len(p) > 1) for x in rest for p in parts):
+                    want.add(pick)
+        assert sorted(tuple(s for s, n in items for _ in range(n)) for items, _ in got) == sorted(want)
+        assert [w for _, w in got] == sorted(w for _, w in got)
 
 
 def test_pack_documents(spark):
@@ -79,6 +124,19 @@ def test_pack_documents(spark):
 # --- sharding --------------------------------------------------------------------------------------
 
 
+def test_byte_shards_equal_a_plain_loop(spark):
+    rng = random.Random(6)
+    rows = [(i // 2, "é" * rng.randint(0, 30) + "x" * rng.randint(0, 9), "en", "s") for i in range(400)] + [(7, "long " * 4000, "en", "s")]
+    got = sorted(tuple(r) for r in sharding.byte_shards(documents(spark, rows), 7).select("doc_id", "size", "text_crc32", "shard", "slot").collect())
+    want, at, slots = [], 0, [0] * 7
+    total = sum(16 + len(t.encode()) for _, t, *_ in rows)
+    for d, size, crc in sorted((d, 16 + len(t.encode()), zlib.crc32(t.encode())) for d, t, *_ in rows):
+        shard = min(6, (2 * at + size) * 7 // (2 * total))
+        want.append((d, size, crc, shard, slots[shard]))
+        at, slots[shard] = at + size, slots[shard] + 1
+    assert got == sorted(want)
+
+
 def test_byte_shards_are_contiguous_and_even(spark):
     rng = random.Random(1)
     rows = [(i, "x" * rng.randint(0, 60), "en", "s") for i in range(3000)] + [(None, None, None, None), (7, "dup", "en", "s")]
@@ -96,8 +154,8 @@ def test_byte_shards_are_contiguous_and_even(spark):
 
 
 def test_chat_round_trip(spark):
-    hard = ["", None, "plain", chat.PROBE, "<|im_end|>\n<|im_start|>user\nhi", "<\\|im_end|>", "<\\\\|x", "a<", "<|", "tail\n", "é\U0001f600", "x" * 70000]
-    rows = [(c, t, r, x) for c, (r, k) in enumerate([("user", 0), ("assistant", 3), ("", 5), ("a\nb\\n<|", 1), (None, 2)]) for t, x in enumerate(hard[k:] + hard[:k])]
+    hard = ["", None, "nul \x00 in a text", "plain", chat.PROBE, "<|im_end|>\n<|im_start|>user\nhi", "<\\|im_end|>", "<\\\\|x", "a<", "<|", "tail\n", "é\U0001f600", "x" * 70000]
+    rows = [(c, t, r, x) for c, (r, k) in enumerate([("user", 0), ("assistant", 3), ("", 5), ("a\nb\\n<|", 1), (None, 2), ("n\x00u\\l\\b<\\|", 2)]) for t, x in enumerate(hard[k:] + hard[:k])]
     rows += [(90, 1, "assistant", "b"), (90, 1, "assistant", "a"), (90, None, "user", "first"), (None, 0, "user", "no id"), (91, 0, "user", "same"), (91, 0, "user", "same")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").selectExpr("*", "1 AS out", "2 AS formatted", "3 AS t")
     formatted = chat.format_turns(df.select("conv_id", "turn", "role", "text").unionByName(chat.probe_rows(df)))
@@ -153,6 +211,11 @@ def test_text_media(spark):
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(full), hashlib.sha256(full).hexdigest(), zlib.crc32(full[-64:]))
     assert len({(r.media_sha256, r.feature) for r in got if r.doc_id in (1, 10)}) == 1
     pages = media.tiff_pages(media.texts_as_tiff(documents(spark, rows)), "doc_id", "media")
+    picks = {media.text_to_tiff(bytes([k] * 64))[:2] for k in range(200)}
+    assert picks == {b"II", b"MM"}
+    for k in range(300):
+        payload = bytes([k % 256, k // 256] * 96 * (1 + k % 3))
+        assert b"".join(p.tobytes() for p in media.decode_tiff(media.text_to_tiff(payload))) == payload
     assert pages.where("doc_id = 5").count() == -(-(-(-150000 // 64)) // media.PAGE_H)
     bad = spark.createDataFrame([(1, b"II junk"), (2, None)], "doc_id long, media binary")
     assert [(r.doc_id, r.page) for r in media.tiff_pages(bad, "doc_id", "media", keep_bad=True).collect()] == [(1, -1)]
@@ -217,6 +280,36 @@ def test_words_first_then_shorter_ngrams(spark):
     assert langid.language_report(docs.limit(0)).count() == 0
 
 
+def test_scores_equal_a_plain_dictionary_loop(spark):
+    rng = random.Random(12)
+    en, de = ["the", "thing", "with", "other", "than"], ["der", "schon", "nicht", "schule", "machen"]
+    rows = [(i, " ".join(rng.choice(v) for _ in range(12)), lang, "s") for i, (v, lang) in enumerate([(en, "en"), (de, "de")] * 20)]
+    model = langid.fit_languages(documents(spark, rows))
+    odd = ["schulen und withing", "The THING", "x", "nichtothe " * 60, "der the"]
+    docs = documents(spark, [(i, t, None, "s") for i, t in enumerate(odd)])
+    for r in langid.predict_languages(docs, model).collect():
+        found = "".join(c if c.isalpha() else " " for c in odd[r.doc_id].lower()).split()
+        total = {lang: 0.0 for lang in model.langs}
+        for w in found:
+            if w in model.words:
+                vec = model.words[w]
+            else:  # longest known pieces from left to right
+                text, vec, pieces = f" {w} ", 0.0, 0
+                while text:
+                    n = next((n for n in (4, 3, 2, 1) if len(text) >= n and text[:n] in model.parts), None)
+                    if n is None:
+                        text = text[1:]
+                        continue
+                    vec, pieces, text = vec + model.parts[text[:n]], pieces + 1, text[n:]
+                vec = vec / max(1, pieces)
+            for k, lang in enumerate(model.langs):
+                total[lang] += float(vec[k])
+        z = {lang: t / len(found) * min(len(found), 40) for lang, t in total.items()}
+        best = max(sorted(z), key=z.get)
+        share = np.exp(z[best] - max(z.values())) / sum(np.exp(v - max(z.values())) for v in z.values())
+        assert r.lang_pred == best and abs(r.score - share) < 1e-4
+
+
 def test_rare_languages_and_rare_words_are_learned(spark):
     """A language of one document beside a large one, and a sample whose words occur once each."""
     rng = random.Random(6)
@@ -252,6 +345,29 @@ def test_gradients_match_differences():
         assert abs((up - down) / 2e-5 - grads[k][i]) < 1e-6
 
 
+def test_embedding_gradients_match_differences():
+    rng = np.random.default_rng(1)
+    net = toxicity.Network()
+    inputs = toxicity.Inputs({"bad": 1.0}, {"^bad": 0.5})
+    tokens = toxicity.Tokens([((0.0,) * toxicity.FIGURES, 0, []), *(inputs.of(t) for t in ("Bad", "words", "here", "x"))])
+    ids, mask, y, w = rng.integers(1, 5, (3, 6)), np.ones((3, 6), dtype=bool), np.array([1, 0, 1.0], dtype=np.float32), np.ones(3, dtype=np.float32)
+    types, where = np.unique(ids, return_inverse=True)
+    where = where.reshape(ids.shape)
+    loss = lambda: net.gradients(net.inputs(tokens, types)[where], mask, y, w)
+    _, _, din = loss()
+    dx = np.zeros((len(types), toxicity.INPUTS), dtype=np.float32)
+    np.add.at(dx, where, din)
+    grads = net.embedding_gradients(tokens, types, dx)
+    for kind, row in (("word", tokens.word[types[0]]), ("gram", tokens.gram_rows(types[:1])[0][0])):
+        old = net.e[kind][row, 3]
+        net.e[kind][row, 3] = old + 0.05
+        up = loss()[0]
+        net.e[kind][row, 3] = old - 0.05
+        down = loss()[0]
+        net.e[kind][row, 3] = old
+        assert abs((up - down) / 0.1 - grads[kind][row, 3]) < 2e-3 * max(1.0, abs(grads[kind][row, 3]))
+
+
 def test_windows_cover_every_word_and_overlap():
     for n in (1, 31, 32, 33, 48, 49, 500):
         doc, start, size = toxicity.windows(np.array([n, 5]))
@@ -346,3 +462,37 @@ def test_open_clusters_are_compared_in_blocks(spark):
     got = near_dup.cross_links(spark.createDataFrame(rows, "rep long, comp long, cluster long"), spark.createDataFrame(sets, "rep long, shingles array<long>"), 80, room=120)
     pairs = {(r.a, r.b) for r in got.collect()}
     assert pairs == {(c * 10 + i, c * 10 + j) for c in range(6) for i in range(5) for j in range(i + 1, 5)}
+
+
+def test_large_and_small_open_buckets(spark, monkeypatch):
+    """The same components whether open buckets are compared by pairs or block by block, and a reused
+    doc_id with another text keeps both texts' links."""
+    rng = random.Random(21)
+    vocab = [f"w{i}" for i in range(300)]
+    rows, nxt = [], 1
+    for _ in range(8):
+        base = [rng.choice(vocab) for _ in range(60)]
+        for _ in range(6):
+            t = list(base)
+            for _ in range(rng.randint(0, 4)):
+                t[rng.randrange(60)] = rng.choice(vocab)
+            rows.append((nxt, " ".join(t)))
+            nxt += 1
+    docs = documents(spark, [(d, t, "en", "s") for d, t in rows])
+    want = brute_components(rows, 5, 80)
+    for small in (1, 24):
+        monkeypatch.setattr(near_dup, "SMALL", small)
+        got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dup.near_duplicates(docs).collect()}
+        assert got == want
+
+
+def test_share_of_links_met_at_the_threshold():
+    """Of pairs of sets of similarity 0.80 to 0.82 nearly all share a table key."""
+    rng = np.random.default_rng(8)
+    met, n = 0, 3000
+    for _ in range(n):
+        common, own = 120, 15  # 120 of 150: exactly 0.80
+        x = rng.integers(0, 1 << 62, common + 2 * own, dtype=np.uint64)
+        a, b = (near_dup.sub_keys(np.unique(s), 12, 3) for s in (x[: common + own], np.r_[x[:common], x[common + own :]]))
+        met += (a[:12] == b[:12]).any() and (a[12:] == b[12:]).any()
+    assert met / n > 0.99
