@@ -464,28 +464,6 @@ def test_open_clusters_are_compared_in_blocks(spark):
     assert pairs == {(c * 10 + i, c * 10 + j) for c in range(6) for i in range(5) for j in range(i + 1, 5)}
 
 
-def test_large_and_small_open_buckets(spark, monkeypatch):
-    """The same components whether open buckets are compared by pairs or block by block, and a reused
-    doc_id with another text keeps both texts' links."""
-    rng = random.Random(21)
-    vocab = [f"w{i}" for i in range(300)]
-    rows, nxt = [], 1
-    for _ in range(8):
-        base = [rng.choice(vocab) for _ in range(60)]
-        for _ in range(6):
-            t = list(base)
-            for _ in range(rng.randint(0, 4)):
-                t[rng.randrange(60)] = rng.choice(vocab)
-            rows.append((nxt, " ".join(t)))
-            nxt += 1
-    docs = documents(spark, [(d, t, "en", "s") for d, t in rows])
-    want = brute_components(rows, 5, 80)
-    for small in (1, 24):
-        monkeypatch.setattr(near_dup, "SMALL", small)
-        got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dup.near_duplicates(docs).collect()}
-        assert got == want
-
-
 def test_share_of_links_met_at_the_threshold():
     """Of pairs of sets of similarity 0.80 to 0.82 nearly all share a table key."""
     rng = np.random.default_rng(8)
