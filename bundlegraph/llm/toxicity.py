@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import math
 import zlib
+from array import array
 from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
 
@@ -97,14 +98,27 @@ class Inputs:
 
 
 class Tokens:
-    """Types of tokens in arrays; type 0 stands for no token."""
-
-    def __init__(self, types: list[tuple[tuple[float, ...], int, list[int]]]):
-        self.figures = np.array([t[0] for t in types], dtype=np.float32).reshape(len(types), FIGURES)
-        self.word = np.array([t[1] for t in types], dtype=np.int64)
-        self.many = np.array([len(t[2]) for t in types], dtype=np.int64)
-        self.grams = np.fromiter((g for t in types for g in t[2]), dtype=np.int64, count=int(self.many.sum()))
-        self.at = np.cumsum(self.many) - self.many
+    """Types of tokens in flat arrays; type 0 stands for no token."""
+
+    def __init__(self):
+        self._figures, self._word, self._many, self._grams = array("f", [0.0] * FIGURES), array("i", [0]), array("i", [0]), array("i")
+
+    def add(self, inputs: Inputs, token: str) -> int:
+        """The number of a new type."""
+        figures, word, grams = inputs.of(token)
+        self._figures.extend(figures)
+        self._word.append(word)
+        self._many.append(len(grams))
+        self._grams.extend(grams)
+        return len(self._word) - 1
+
+    def done(self) -> "Tokens":
+        """No more types come: the arrays as numpy's, without a copy."""
+        self.figures = np.frombuffer(self._figures, dtype=np.float32).reshape(-1, FIGURES)
+        self.word, self.many = np.frombuffer(self._word, dtype=np.int32), np.frombuffer(self._many, dtype=np.int32)
+        self.grams = np.frombuffer(self._grams, dtype=np.int32)
+        self.at = np.cumsum(self.many, dtype=np.int64) - self.many
+        return self
 
     def gram_rows(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Embedding rows of the n-grams of some types, and which of these types each belongs to."""
@@ -215,7 +229,7 @@ class Network:
             g["U" + side], g["W" + side], g["b" + side] = du, dw, db
         return loss, g, din
 
-    def train(self, tokens: Tokens, ids: np.ndarray, mask: np.ndarray, y: np.ndarray, steps: int, rng, rate: float = 0.01, batch: int = 128, decay: float = 2e-3) -> float:
+    def train(self, tokens: Tokens, ids: np.ndarray, mask: np.ndarray, y: np.ndarray, steps: int, rng, rate: float = 0.01, batch: int = 128, decay: float = 2e-3, drop: float = 0.3) -> float:
         """Adam on windows of token types; the embeddings learn along and are drawn towards zero."""
         weight = np.where(y == 1, len(y) / max(1, 2 * y.sum()), len(y) / max(1, 2 * (1 - y).sum())).astype(np.float32)
         learned = self.p | self.e
@@ -228,9 +242,12 @@ class Network:
                 order, at = rng.permutation(len(y)), 0
             types, where = np.unique(ids[part], return_inverse=True)
             where = where.reshape(ids[part].shape)
-            loss, g, din = self.gradients(self.inputs(tokens, types)[where], mask[part], y[part].astype(np.float32), weight[part])
+            x, bare = self.inputs(tokens, types), rng.random(len(types)) < drop
+            x[bare, FIGURES:] = 0  # some words go without embeddings, so none is relied on alone
+            loss, g, din = self.gradients(x[where], mask[part], y[part].astype(np.float32), weight[part])
             dx = np.zeros((len(types), INPUTS), dtype=np.float32)
             np.add.at(dx, where[mask[part]], din[mask[part]])
+            dx[bare] = 0
             g |= self.embedding_gradients(tokens, types, dx)
             for k, w in learned.items():
                 if k in self.e:
@@ -286,7 +303,10 @@ class ToxicityModel:
         fresh = self.types.fresh
         if not fresh:
             return
-        x = self.net.inputs(Tokens([self.inputs.of(t) for t in fresh]), np.arange(len(fresh)))
+        new = Tokens()
+        for t in fresh:
+            new.add(self.inputs, t)
+        x = self.net.inputs(new.done(), np.arange(1, len(fresh) + 1))
         need = self.filled + len(fresh)
         if need > len(self.gf):
             more = max(need, 2 * len(self.gf)) - len(self.gf)
@@ -354,25 +374,28 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     lengths = np.array([len(t) for t in tokens], dtype=np.int64)
     doc, start, size = windows(lengths)
     seen: list[dict[str, int]] = [{} for _ in range(folds)]
-    types: list[tuple] = [((0.0,) * FIGURES, 0, [])]
-    flat = []
+    kinds, flat = Tokens(), array("i")
     for t, f in zip(tokens, fold_of):
         known, odds = seen[f], without[f]
         for w in t:
             i = known.get(w)
             if i is None:
-                i = known[w] = len(types)
-                types.append(odds.of(w))
+                i = known[w] = kinds.add(odds, w)
             flat.append(i)
-    kinds, flat = Tokens(types), np.array([*flat, 0], dtype=np.int64)
-    del types, seen
+    kinds.done()
+    flat.append(0)
+    flat = np.frombuffer(flat, dtype=np.int32)
+    del seen, without, tokens
 
     def ids(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         mask = np.arange(WINDOW) < size[rows, None]
         return np.where(mask, flat[np.minimum(start[rows, None] + np.arange(WINDOW), len(flat) - 1)], 0), mask
 
     def all_logits() -> np.ndarray:
-        gf, gb = model.net.project(model.net.inputs(kinds, np.arange(len(kinds.word))))
+        every = np.arange(len(kinds.word))
+        gates = [model.net.project(model.net.inputs(kinds, every[lo : lo + 16_384])) for lo in range(0, len(every), 16_384)]
+        gf, gb = (np.concatenate(g) for g in zip(*gates))
+        del gates
         out = np.empty(len(doc), dtype=np.float32)
         for lo in range(0, len(doc), 8192):
             at, mask = ids(np.arange(lo, min(lo + 8192, len(doc))))
@@ -382,14 +405,21 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     hint = np.maximum(kinds.figures[:, 0], kinds.figures[:, 3])
     logit = np.concatenate([hint[ids(np.arange(lo, min(lo + 8192, len(doc))))[0]].max(axis=1) for lo in range(0, len(doc), 8192)])
     first = np.flatnonzero(np.r_[True, np.diff(doc) > 0])
+    # one fold is kept from the network and sets the threshold, if it and the others have both classes
+    spared = np.array(fold_of) == 0
+    if len(set(y[spared].tolist())) < 2 or len(set(y[~spared].tolist())) < 2:
+        spared[:] = False
     for k in range(rounds):
         order = np.lexsort((-logit, doc))  # the worst window of each document comes first
         extra = rng.choice(len(doc), size=min(len(doc), 2 * len(first)), replace=False)
         picked = np.unique(np.concatenate([order[first], extra[y[doc[extra]] == 0]]))
+        picked = picked[~spared[doc[picked]]]
         at, mask = ids(picked)
         model.net.train(kinds, at, mask, y[doc[picked]], steps if k == 0 else steps // 2, rng, rate=0.01 if k == 0 else 0.004)
         logit = all_logits()
     top = np.maximum.reduceat(logit, first)
+    if spared.any():
+        top, y = top[spared], y[spared]
     pos, neg = np.sort(top[y == 1]), np.sort(top[y == 0])
     cuts = np.unique(np.concatenate([pos, neg]))
     mids = np.concatenate([[cuts[0] - 1], (cuts[1:] + cuts[:-1]) / 2, [cuts[-1] + 1]])

@@ -349,7 +349,9 @@ def test_embedding_gradients_match_differences():
     rng = np.random.default_rng(1)
     net = toxicity.Network()
     inputs = toxicity.Inputs({"bad": 1.0}, {"^bad": 0.5})
-    tokens = toxicity.Tokens([((0.0,) * toxicity.FIGURES, 0, []), *(inputs.of(t) for t in ("Bad", "words", "here", "x"))])
+    tokens = toxicity.Tokens()
+    assert [tokens.add(inputs, t) for t in ("Bad", "words", "here", "x")] == [1, 2, 3, 4]
+    tokens.done()
     ids, mask, y, w = rng.integers(1, 5, (3, 6)), np.ones((3, 6), dtype=bool), np.array([1, 0, 1.0], dtype=np.float32), np.ones(3, dtype=np.float32)
     types, where = np.unique(ids, return_inverse=True)
     where = where.reshape(ids.shape)
