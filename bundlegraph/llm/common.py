@@ -26,6 +26,17 @@ def take_over(name: str, release) -> None:
 _HELD: dict = {}
 
 
+def trim() -> None:
+    """Gives memory that earlier fits have freed back to the system, where the C library can."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    release = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if release is not None:
+        release(0)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -42,4 +53,4 @@ def running_offsets(totals: DataFrame, keys: list[str], part: str, sums: list[st
     return totals.select(*keys, part, *[F.coalesce(F.sum(c).over(w), F.lit(0)).alias(f"{c}_before") for c in sums])
 
 
-__all__ = ["WORD", "drop_path", "nullable", "running_offsets", "scratch_path", "scratch_root", "table", "take_over", "written"]
+__all__ = ["WORD", "drop_path", "nullable", "running_offsets", "scratch_path", "scratch_root", "table", "take_over", "trim", "written"]

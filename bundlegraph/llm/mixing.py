@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, running_offsets, written
+from .common import WORD, running_offsets, trim, written
 
 # fixed values: the weights that repeat over the sources in order
 WEIGHTS = (3, 1, 2)
@@ -71,6 +71,7 @@ def mix_report(docs: DataFrame, share: float = 1.5, most: float = 2.0) -> DataFr
 
 def mix(docs: DataFrame, share: float = 1.5, most: float = 2.0) -> DataFrame:
     """The mixed documents themselves: each row as often as it is taken, columns as they came."""
+    trim()
     held = written(docs.withColumn("__row", F.monotonically_increasing_id()), "mix-docs")
     sized = held.select("doc_id", "source", "__row", words(F.col("text")).alias("size"))
     times = allot(sized, ["__row"], share, most).where("copies > 0").select(F.col("__row").alias("__r"), "copies")

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import take_over, written
+from .common import take_over, trim, written
 from .components import connected
 
 _ALL = (1 << 64) - 1
@@ -206,6 +206,7 @@ def cross_links(inside: DataFrame, sets: DataFrame, percent: int, room: int = 20
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, tables: int = 12, rows: int = 3) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable), kept."""
+    trim()
     sig = written(signatures(docs, words, tables, rows), "signatures")
     real = sig.where("n > 0 AND doc_id IS NOT NULL")
     classes = written(real.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep")), "classes")

@@ -20,6 +20,7 @@ only the ids of its own batch of texts are held, 4 bytes each.
 
 from __future__ import annotations
 
+import itertools
 import struct
 import zlib
 from collections import defaultdict
@@ -32,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import encoder, groups
-from .common import running_offsets, written
+from .common import running_offsets, trim, written
 
 Pattern = tuple[tuple[int, int], ...]  # (length, times), largest first
 
@@ -157,57 +158,75 @@ def plan(counts: np.ndarray, capacity: int, search_nodes: int = 4000) -> Plan:
     best = best_fit_decreasing(counts, capacity)
     bins, least = sum(best.values()), lower_bound(counts, capacity)
     total = int((counts * np.arange(capacity + 1)).sum())
-    nodes, done = 0, bins <= least
-    # depth first, without recursion: (counts left, patterns so far, bins so far, waste so far, completions to try)
-    stack: list = []
+    nodes, left = 0, counts.copy()
+    levels: list[_Level] = []
 
-    def enter(left: np.ndarray, chain, used: int, waste: int) -> None:
+    def enter(used: int, waste: int, applied) -> None:
+        """A level for the counts left now, unless they are none or cannot lead to a better plan."""
         nonlocal best, bins
         stock = np.flatnonzero(left)
         if not stock.size:
             if used < bins:
                 found: dict[Pattern, int] = defaultdict(int)
-                while chain:
-                    pattern, n, chain = chain
+                for pattern, n in [*(v.applied for v in levels[1:]), applied]:
                     found[pattern] += n
                 best, bins = dict(found), used
+        elif used + lower_bound(left, capacity) < bins and waste <= (bins - 1) * capacity - total:
+            levels.append(_Level(int(stock[-1]), used, waste, applied))
+            if len(levels) > _HELD_LEVELS:  # its completions are made again if the search comes back
+                levels[-1 - _HELD_LEVELS].todo = None
             return
-        if used + lower_bound(left, capacity) >= bins:
-            return
-        top = int(stock[-1])
-        rest = left.copy()
-        rest[top] -= 1
-        allowed = (bins - 1) * capacity - total - waste  # waste that a better plan may have from here on
-        if allowed >= 0:
-            stack.append((left, chain, used, waste, top, completions(rest, capacity - top, allowed), []))
-
-    if not done:
-        enter(counts, (), 0, 0)
-    while stack and bins > least and nodes < search_nodes:
-        left, chain, used, waste, top, todo, once = stack[-1]
-        if once:  # the same completion again, this time for one sequence only
-            pattern, n, lost = once.pop()
+        _move(left, applied, 1)
+
+    if bins > least:
+        enter(0, 0, None)
+    while levels and bins > least and nodes < search_nodes:
+        v = levels[-1]
+        if v.once:  # the same completion again, this time for one sequence only
+            pattern, n, lost = v.once.pop()
         else:
-            got = next(todo, StopIteration)
+            if v.todo is None:
+                rest = left.copy()
+                rest[v.top] -= 1
+                # waste that a better plan may have from here on
+                v.todo = itertools.islice(completions(rest, capacity - v.top, (bins - 1) * capacity - total - v.waste), v.seen, None)
+            got = next(v.todo, StopIteration)
             nodes += 1
+            v.seen += 1
             if got is StopIteration:
-                stack.pop()
+                levels.pop()
+                _move(left, v.applied, 1)
                 continue
             if got is None:
                 continue
             need = defaultdict(int, got[0])
-            need[top] += 1
+            need[v.top] += 1
             pattern, lost = tuple(sorted(need.items(), reverse=True)), got[1]
             n = min(int(left[s]) // k for s, k in pattern)
             if n > 1:
-                once.append((pattern, 1, lost))
-        if waste + n * lost > (bins - 1) * capacity - total:
-            continue
-        rest = left.copy()
-        for s, k in pattern:
-            rest[s] -= n * k
-        enter(rest, (pattern, n, chain), used + n, waste + n * lost)
-    return Plan(best, bins, least, bins <= least or not stack)
+                v.once.append((pattern, 1, lost))
+        if v.waste + n * lost <= (bins - 1) * capacity - total:
+            _move(left, (pattern, n), -1)
+            enter(v.used + n, v.waste + n * lost, (pattern, n))
+    return Plan(best, bins, least, bins <= least or not levels)
+
+
+#: Levels of the search that keep their completions at hand; the others hold a few numbers each.
+_HELD_LEVELS = 8
+
+
+class _Level:
+    """A place of the search: the largest length left, what led here, and the completions seen so far."""
+
+    def __init__(self, top: int, used: int, waste: int, applied):
+        self.top, self.used, self.waste, self.applied = top, used, waste, applied
+        self.todo, self.seen, self.once = None, 0, []
+
+
+def _move(left: np.ndarray, applied, sign: int) -> None:
+    if applied is not None:
+        for s, k in applied[0]:
+            left[s] += sign * k * applied[1]
 
 
 class Places:
@@ -273,6 +292,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 4096,
 
     Returns doc_id, piece, start, length, ids_crc32, sequence_id, offset.
     """
+    trim()
     pieces = written(cut_pieces(docs, tokenizer, end_id, capacity), "pieces")
     by_part = pieces.groupBy("part", "length").agg(F.count("*").alias("n"))
     counts = np.zeros(capacity + 1, dtype=np.int64)

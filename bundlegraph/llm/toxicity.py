@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import take_over
+from .common import take_over, trim
 from .langid import fold
 
 WINDOW, STRIDE, HIDDEN, ATTEND = 32, 16, 8, 8
@@ -431,6 +431,7 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest: int = 50_000) -> ToxicityModel:
     """Fit on about `sample` labelled documents of each class, chosen by a hash of doc_id."""
+    trim()
     known = labels.where("toxic IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {r.toxic: r["count"] for r in known.where("toxic IN (0, 1)").groupBy("toxic").count().collect()}
     room = 1 << 30
@@ -444,6 +445,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest:
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None, name: str = "score") -> DataFrame:
     """The columns of `keep` (doc_id if not given) and a score of the whole text."""
+    trim()
     kept = keep or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
     at = kept.index("text") if "text" in kept else len(kept)
