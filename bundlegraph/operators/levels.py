@@ -220,10 +220,14 @@ def cut(df: DataFrame, index: CandidateIndex, plan: MatchPlan, i: int, j: int, i
 
 
 def _split(df: DataFrame, index: CandidateIndex, i: int, singles: list[int], bundles: list[int], name: str = "x") -> DataFrame:
-    """Bundles become single images (n{w}, arrays of one), `name` is the set next to all of them."""
+    """Bundles become single images (n{w}, arrays of one), `name` is the set next to all of them within
+    the row's R, which is one part of the whole where lists come in parts."""
     for w in bundles:
         df = df.withColumn(f"__o{w}", F.col(f"q{w}")).withColumn(f"q{w}", F.explode(f"q{w}"))
-    df = _from_lists(df, index, sorted(singles + bundles), i, name).where(F.size(name) > 0)
+    df = _from_lists(df, index, sorted(singles + bundles), i, "__set")
+    if index.parts(i) > 1:
+        df = df.withColumn("__set", F.array_sort(F.array_intersect("__set", "R")))
+    df = df.drop("R").withColumnRenamed("__set", name).where(F.size(name) > 0)
     for w in bundles:
         df = df.withColumn(f"n{w}", F.array(f"q{w}")).withColumn(f"q{w}", F.col(f"__o{w}")).drop(f"__o{w}")
     return df
@@ -273,13 +277,13 @@ def extension(
     if not bundles:  # Case 2
         return df.withColumnRenamed("R", "x")
     if not plan.bundled[i]:  # Case 3 the costly way, to compare with: every bundle is split first
-        return _split(df.drop("R"), index, i, singles, bundles, "R").withColumn("x", F.explode("R")).drop("R")
+        return _split(df, index, i, singles, bundles, "R").withColumn("x", F.explode("R")).drop("R")
     # Case 4: keep the bundles and take x one by one, or split them and keep x as a set
     product = reduce(lambda a, b: a * b, [F.size(f"q{w}").cast("double") for w in bundles], F.lit(_ONE))
     keep = product >= F.size("R")
     kept = df.where(keep).withColumn("x", F.explode("R")).drop("R")
     kept = reduce(lambda d, w: cut(d, index, plan, i, w, False, as_set=True), bundles, kept).withColumn("x", F.array("x"))
-    return kept.unionByName(_split(df.where(~keep).drop("R"), index, i, singles, bundles))
+    return kept.unionByName(_split(df.where(~keep), index, i, singles, bundles))
 
 
 def _no_clash(df: DataFrame, plan: MatchPlan, i: int, changed: set[int], spec: MatchSpec) -> DataFrame:
