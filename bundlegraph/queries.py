@@ -109,7 +109,8 @@ def held(name: str, table: str, build: Callable) -> Callable:
 
 
 similar = held("sim", "embeddings", G.similar)
-shared_lines = held("doc", "documents", G.shared_lines)
+shared_lines = held("doc-arcs", "documents", G.shared_lines)
+line_cover = held("doc", "documents", G.line_cover)
 contains = held("leak", ("documents", "benchmark"), G.contains)
 events = held("event", "events", G.events)
 turns = held("conv", "conversations", G.turns)
@@ -398,7 +399,7 @@ add("graph_link", lambda s, d: links(s, d).edges.groupBy("src").agg(F.count("*")
 add("copart_triangle_by_type", lambda s, d: match(part(s, d), TYPED_TRIANGLE).count_by("a"), sql("copart", TYPED_TRIANGLE, "{a} AS a, count(*) AS n", tail="GROUP BY ALL"))
 _ANY = shape("triangle")
 add("sim_triangle", lambda s, d: match(similar(s, d), _ANY).flat(), sql("sim", _ANY, "*"))
-add("doc_cluster", lambda s, d: match(shared_lines(s, d), _ANY).count(), sql("doc", _ANY))
+add("doc_cluster", lambda s, d: line_cover(s, d).triangles(), sql("doc", _ANY))
 _BUTTERFLY = parse("(p:page)-[:LINKS]->(x:href)<-[:LINKS]-(q:page)-[:LINKS]->(y:href), (p)-[:LINKS]->(y)", directed=True)
 add("link_butterfly", lambda s, d: match(links(s, d), _BUTTERFLY).count(),
     "WITH h AS (SELECT DISTINCT page_id AS p, h FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS h FROM pages)), c AS (SELECT a.p AS a, b.p AS b, count(*) AS k FROM h a JOIN h b ON a.h = b.h AND a.p <> b.p GROUP BY 1, 2) SELECT CAST(sum(k * (k - 1)) AS BIGINT) AS n FROM c")

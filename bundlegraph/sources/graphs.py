@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions.scratch import fingerprint, path_exists, written
 from ..model import PropertyGraph
+from ..operators.cover import Cover, cover
 
 TAG = 1_000_000_000_000
 TAGS = {"region": 1, "nation": 2, "customer": 3, "supplier": 4, "part": 5, "orders": 6}
@@ -25,10 +26,10 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-_HELD: dict[tuple, PropertyGraph] = {}
+_HELD: dict[tuple, tuple] = {}
 
 
-def remembered(spark: SparkSession, sf_dir: str, name: str, tables: tuple[str, ...], build: Callable[[], PropertyGraph]) -> PropertyGraph:
+def remembered(spark: SparkSession, sf_dir: str, name: str, tables: tuple[str, ...], build: Callable[[], PropertyGraph | Cover]) -> PropertyGraph | Cover:
     """A graph that is stored once for a session and built again when a table's files have changed or
     the stored arcs are gone."""
     files = tuple(fingerprint(spark, f"{sf_dir}/{t}.parquet") for t in tables)
@@ -129,6 +130,17 @@ def shared_lines(spark: SparkSession, sf_dir: str, min_chars: int = 30, label: s
     return undirected(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.col(label).alias("label")), pairs, "LINE")
 
 
+def line_cover(spark: SparkSession, sf_dir: str, min_chars: int = 30, hashes: int = 200_000) -> Cover:
+    """The same links as `shared_lines`, with the pairs of frequent lines left as sets: nothing grows with
+    the square of a line's documents. Texts travel only for lines whose hash is in several documents;
+    up to so many hashes are broadcast."""
+    d = load(spark, sf_dir, "documents").where("doc_id IS NOT NULL").select(F.col("doc_id").alias("id"), F.explode(F.split("text", "\n")).alias("key")).where(F.length("key") > min_chars)
+    d = d.withColumn("h", F.xxhash64("key"))
+    often = written(d.groupBy("h").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a <> b").select("h"), "hashes")
+    some = F.broadcast(often) if often.count() <= hashes else often.hint("merge")
+    return cover(written(d.join(some, "h", "left_semi").select("id", "key").distinct(), "lines"))
+
+
 def contains(spark: SparkSession, sf_dir: str, run: int = 5) -> PropertyGraph:
     """Documents that contain a benchmark item's text.
 
