@@ -109,7 +109,6 @@ def held(name: str, table: str, build: Callable) -> Callable:
 
 
 similar = held("sim", "embeddings", G.similar)
-shared_lines = held("doc-arcs", "documents", G.shared_lines)
 line_cover = held("doc", "documents", G.line_cover)
 contains = held("leak", ("documents", "benchmark"), G.contains)
 events = held("event", "events", G.events)
@@ -390,9 +389,11 @@ def _capped(s, d):
 add("time_cap", _capped, "SELECT 'no time' AS what, true AS unsolved UNION ALL SELECT 'enough', false")
 
 # --- graphs ------------------------------------------------------------------------------------------
-for _n, _b in (("trade", trade), ("copart", part), ("copart2", part2), ("sim", similar), ("doc", shared_lines), ("leak", contains), ("event", events), ("conv", turns)):
+for _n, _b in (("trade", trade), ("copart", part), ("copart2", part2), ("sim", similar), ("leak", contains), ("event", events), ("conv", turns)):
     add(f"graph_{_n}", lambda s, d, b=_b: b(s, d).edges.groupBy("elabel").agg(F.count("*").alias("n"), F.sum(F.pmod(F.col("src") * 31 + F.col("dst"), F.lit(1009))).alias("mark")),
         f"WITH e AS ({GRAPH_SQL[_n][1]}) SELECT elabel, count(*) AS n, CAST(sum((src * 31 + dst) % 1009) AS BIGINT) AS mark FROM e GROUP BY elabel")
+add("graph_doc", lambda s, d: line_cover(s, d).summary(31, 1009).select(F.lit("LINE").alias("elabel"), "n", "mark"),
+    f"WITH e AS ({GRAPH_SQL['doc'][1]}) SELECT elabel, count(*) AS n, CAST(sum((src * 31 + dst) % 1009) AS BIGINT) AS mark FROM e GROUP BY elabel")
 add("graph_link", lambda s, d: links(s, d).edges.groupBy("src").agg(F.count("*").alias("n")), "SELECT page_id AS src, count(DISTINCT h) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS h FROM pages) GROUP BY page_id")
 
 # --- patterns on them --------------------------------------------------------------------------------
