@@ -13,6 +13,7 @@ from collections import Counter
 from collections.abc import Iterable, Iterator
 from math import prod
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -419,9 +420,54 @@ def region_packed(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]
     return found if spec.limit is None else found.limit(spec.limit)
 
 
+#: Rows of regions that a task should hold when it counts the work of many roots.
+REGION_ROWS = 500_000
+
+
+def region_counters(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
+    """name, n: what `kernel_packed` would count, each root with its region; a task takes many roots.
+
+    A root's work only depends on what it can reach, so the counters are those of the whole index.
+    """
+    if plan.bundled[0] or len(plan.query.components()) > 1:
+        raise ValueError("the index is too large for the kernel, and regions need a connected query with place 0 pinned")
+    import pandas as pd
+
+    reach = [float(plan.counts[plan.order[0]])]
+    total = reach[0]
+    for i in range(1, plan.query.n):
+        near = [reach[w] * index.mean(w, i) for w in plan.back[i]]
+        reach.append(min(near))
+        total += sum(near)
+    groups = max(search_tasks(index.spark), int(min(total, 1e12)) // REGION_ROWS + 1)
+    links = [k for i in range(plan.query.n) for w in plan.back[i] for k in ((w, i), (i, w))]
+
+    def search(rows: pd.DataFrame) -> pd.DataFrame:
+        rows, count = rows.sort_values("root"), Counter()
+        root, link, va, vb = (rows[c].to_numpy() for c in ("root", "link", "va", "vb"))
+        ends = np.flatnonzero(np.r_[root[1:] != root[:-1], True]) + 1
+        for lo, hi in zip([0, *ends], ends):
+            lists: dict = {k: {} for k in links}
+            for k, x, y in zip(link[lo:hi].tolist(), va[lo:hi].tolist(), vb[lo:hi].tolist()):
+                if k >= 0:
+                    a, b = divmod(k, 64)
+                    lists[a, b].setdefault(x, set()).add(y)
+                    lists[b, a].setdefault(y, set()).add(x)
+            one = Search(plan, {k: {v: frozenset(x) for v, x in d.items()} for k, d in lists.items()}, [_NONE] * plan.query.n, spec)
+            one.roots([int(root[lo])], lambda image: None)
+            count.update(one.count)
+        return pd.DataFrame({"name": list(count), "n": list(count.values())})
+
+    # roots that reach nothing are searched as well
+    alone = cand[plan.order[0]].select(F.col("id").alias("root"), F.lit(-1).alias("link"), F.lit(0).cast("long").alias("va"), F.lit(0).cast("long").alias("vb"))
+    parts = regions(index, plan, cand).unionByName(alone).withColumn("g", F.pmod(F.xxhash64("root"), F.lit(groups)))
+    return parts.groupBy("g").applyInPandas(search, "name string, n long")
+
+
 def kernel_counters(index, plan: MatchPlan, spec: MatchSpec, cand: list[DataFrame]) -> DataFrame:
-    """name, n: the work of the search, summed over the tasks."""
+    """name, n: the work of the search, summed over the tasks; by regions where the index is too large
+    to be broadcast."""
     raw = kernel_packed(index, plan, spec, cand, counters=True)
     if raw is None:
-        raise ValueError("the index is too large for the kernel")
+        raw = region_counters(index, plan, spec, cand)
     return raw.groupBy("name").agg(F.sum("n").alias("n"))
