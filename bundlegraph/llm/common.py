@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+import pickle
+from collections.abc import Callable, Iterable, Iterator
+from typing import TypeVar
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions.scratch import drop_path, nullable, scratch_path, scratch_root, written
 
@@ -37,6 +43,23 @@ def trim() -> None:
         release(0)
 
 
+M = TypeVar("M")
+
+
+def fitted(rows: DataFrame, fit: Callable[[pa.Table], M]) -> M:
+    """What `fit` makes of a bounded sample, in one task: the driver holds the result, not what the fit needs."""
+    schema = to_arrow_schema(rows.schema)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("fit", lambda: None)
+        model = pickle.dumps(fit(pa.Table.from_batches(list(batches), schema)), protocol=5)
+        yield pa.RecordBatch.from_pydict({"model": pa.array([model], pa.binary())})
+        trim()
+
+    got = rows.repartition(1).mapInArrow(run, "model binary").collect()  # one row
+    return pickle.loads(got[0].model) if got else fit(schema.empty_table())
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -53,4 +76,4 @@ def running_offsets(totals: DataFrame, keys: list[str], part: str, sums: list[st
     return totals.select(*keys, part, *[F.coalesce(F.sum(c).over(w), F.lit(0)).alias(f"{c}_before") for c in sums])
 
 
-__all__ = ["WORD", "drop_path", "nullable", "running_offsets", "scratch_path", "scratch_root", "table", "take_over", "trim", "written"]
+__all__ = ["WORD", "drop_path", "fitted", "nullable", "running_offsets", "scratch_path", "scratch_root", "table", "take_over", "trim", "written"]

@@ -15,8 +15,9 @@ that have letters. Other columns are ignored.
 from __future__ import annotations
 
 import re
-from collections import Counter, defaultdict
-from collections.abc import Iterable, Iterator
+from array import array
+from collections import Counter
+from collections.abc import Iterable, Iterator, Mapping
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import take_over
+from .common import fitted, take_over, trim
 
 _WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -47,10 +48,26 @@ def grams(word: str, longest: int) -> Iterator[str]:
             yield w[i : i + n]
 
 
+class Rows(Mapping):
+    """Keys and their rows of one table: an array for each key would take several times the room."""
+
+    def __init__(self, at: dict[str, int], table: np.ndarray):
+        self.at, self.table = at, table
+
+    def __getitem__(self, key: str) -> np.ndarray:
+        return self.table[self.at[key]]
+
+    def __iter__(self) -> Iterator[str]:
+        return iter(self.at)
+
+    def __len__(self) -> int:
+        return len(self.at)
+
+
 class WordFirst:
     """Scores of words and n-grams, one column a language."""
 
-    def __init__(self, langs: list[str], words: dict[str, np.ndarray], parts: dict[str, np.ndarray], longest: int):
+    def __init__(self, langs: list[str], words: Rows, parts: Rows, longest: int):
         self.langs, self.words, self.parts, self.longest = langs, words, parts, longest
 
     @classmethod
@@ -60,28 +77,40 @@ class WordFirst:
         col = {lang: i for i, lang in enumerate(langs)}
         sums = counted.group_by("word").aggregate([("n", "sum")])
         often = set(sums.filter(pc.greater_equal(sums["n_sum"], least))["word"].to_pylist())
-        words: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
+        words: dict[str, int] = {}
+        word_counts = array("q")
         n_words = np.zeros(len(langs))
         pieces: list[Counter] = [Counter() for _ in langs]
         for b in counted.select(["lang", "word", "n"]).to_batches(max_chunksize=20_000):
             for lang, w, n in zip(*(c.to_pylist() for c in b.columns)):
                 n_words[col[lang]] += n
                 if w in often or len(w) == 1:
-                    words[w][col[lang]] += n
+                    i = words.get(w)
+                    if i is None:
+                        i = words[w] = len(words)
+                        word_counts.extend([0] * len(langs))
+                    word_counts[i * len(langs) + col[lang]] += n
                 mine = pieces[col[lang]]
                 for g in grams(w, longest):
                     mine[g] += n
-        parts: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
+        parts: dict[str, int] = {}
+        for mine in pieces:
+            for g in mine:
+                parts.setdefault(g, len(parts))
+        part_counts = np.zeros((len(parts), len(langs)))
         for i, mine in enumerate(pieces):
             for g, n in mine.items():
-                parts[g][i] = n
+                part_counts[parts[g], i] = n
             mine.clear()
 
-        def logs(table: dict[str, np.ndarray], total: np.ndarray) -> dict[str, np.ndarray]:
-            freq = {k: v / np.maximum(total, 1.0) for k, v in table.items()}
-            return {k: np.log((1 - mixed) * p + mixed * p.mean()) for k, p in freq.items()}
+        def logs(at: dict[str, int], counts: np.ndarray, total: np.ndarray) -> Rows:
+            if not at:
+                return Rows(at, counts)
+            freq = counts / np.maximum(total, 1.0)
+            return Rows(at, np.log((1 - mixed) * freq + mixed * freq.mean(axis=1, keepdims=True)))
 
-        return cls(langs, logs(words, n_words), logs(parts, sum(parts.values(), np.zeros(len(langs)))), longest)
+        word_table = np.array(word_counts, dtype=float).reshape(len(words), len(langs))
+        return cls(langs, logs(words, word_table, n_words), logs(parts, part_counts, part_counts.sum(axis=0)), longest)
 
     def unseen(self, word: str) -> np.ndarray:
         """The word in pieces, each the longest known n-gram from its place."""
@@ -107,8 +136,8 @@ class Scorer:
         self.reset()
 
     def reset(self) -> None:
-        self.index = {w: i for i, w in enumerate(self.model.words)}
-        known = np.array(list(self.model.words.values())).reshape(len(self.index), len(self.model.langs))
+        self.index = dict(self.model.words.at)
+        known = self.model.words.table
         self.table = np.concatenate([known, np.zeros((self.room, len(self.model.langs)))]).astype(np.float32)
 
     def score(self, text: str | None) -> tuple[str, float]:
@@ -166,12 +195,13 @@ def fit_languages(labelled: DataFrame, train_docs: int = 3000, longest: int = 4,
         yield out()
 
     counted = rows.mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-    return WordFirst.fit(counted.toArrow(), longest, least, langs)  # bounded by the sample
+    return fitted(counted, lambda t: WordFirst.fit(t, longest, least, langs))  # bounded by the sample
 
 
 def predict_languages(docs: DataFrame, model: WordFirst, name: str = "lang_pred", score: str = "score", keep: list[str] | None = None, untaught: str = UNKNOWN) -> DataFrame:
     """The columns of `keep` (doc_id if not given) with prediction and score; `untaught` is the
     prediction for texts with letters where the model knows no language."""
+    trim()
     kept = keep or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
     at = kept.index("text") if "text" in kept else len(kept)

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import take_over, trim
+from .common import fitted, take_over, trim
 from .langid import fold
 
 WINDOW, STRIDE, HIDDEN, ATTEND = 32, 16, 8, 8
@@ -438,9 +438,13 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, sample: int = 800, longest:
     share = F.when(F.col("toxic") == 1, int(min(1.0, sample / max(1, counts.get(1, 0))) * room)).otherwise(int(min(1.0, sample / max(1, counts.get(0, 0))) * room))
     picked = known.where("toxic IN (0, 1)").where(F.pmod(F.xxhash64("doc_id", F.lit("tox")), F.lit(room)) < share)
     # bounded by `sample`, so it may be broadcast
-    got = docs.select("doc_id", "text").where(F.length("text") <= longest).join(F.broadcast(picked), "doc_id").select("doc_id", "text", "toxic").toArrow()
-    rows = sorted(zip(got["doc_id"].to_pylist(), got["text"].to_pylist(), got["toxic"].to_pylist()))
-    return fit_network([r[1] for r in rows], [int(r[2]) for r in rows])
+    got = docs.select("doc_id", "text").where(F.length("text") <= longest).join(F.broadcast(picked), "doc_id").select("doc_id", "text", "toxic")
+
+    def fit(t: pa.Table) -> ToxicityModel:
+        rows = sorted(zip(t["doc_id"].to_pylist(), t["text"].to_pylist(), t["toxic"].to_pylist()))
+        return fit_network([r[1] for r in rows], [int(r[2]) for r in rows])
+
+    return fitted(got, fit)
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None, name: str = "score") -> DataFrame:
