@@ -102,10 +102,10 @@ def run_all(g: PropertyGraph, queries: dict[str, QueryGraph], methods: dict[str,
 
 def query_set(g: PropertyGraph, sizes: tuple[int, ...] = (4, 8, 16, 24, 32), count: int = 2, seed: int = 1) -> dict[str, QueryGraph]:
     """Random-walk queries by size; sizes over 4 are dealt into sparse and dense halves."""
-    out = {}
+    out, held = {}, {}
     for size in sizes:
         for density in ("any",) if size <= 4 else ("sparse", "dense"):
-            for k, q in enumerate(random_walk_queries(g, size, density, count, seed + size)):
+            for k, q in enumerate(random_walk_queries(g, size, density, count, seed + size, held=held)):
                 out[f"n{size}-{density}-{k}"] = q
     return out
 

@@ -164,6 +164,8 @@ def sql_join(g: PropertyGraph, q: QueryGraph, semantics: str = "iso") -> DataFra
                 arc = g.edges if e is None else g.edges.where(F.col("elabel") == e)
                 arc = arc.where(q.edge_test(k)) if q.edge_test(k) else arc
                 arc = arc.select(F.col("src").alias(q.names[a]), F.col("dst").alias(f"__{q.names[a]}" if a == b else q.names[b])).distinct()
+                if a != b and semantics != "hom":  # loops match nothing, and arcs that are stored once are not made distinct again
+                    arc = arcs_of(g, e, q.edge_test(k)).select(F.col("src").alias(q.names[a]), F.col("dst").alias(q.names[b]))
                 if a == b:
                     side = side.join(arc.where(F.col(q.names[a]) == F.col(f"__{q.names[a]}")).select(q.names[a]), q.names[a], "left_semi")
                 else:

@@ -52,17 +52,40 @@ def shape(name: str, labels: dict[str, str] | None = None, where: str | None = N
     return QueryGraph(q.names, tuple((labels or {}).get(n) for n in q.names), q.edges, False, tests, q.cross)
 
 
-def random_walk_queries(g: PropertyGraph, size: int, density: str, count: int, seed: int, tries: int = 400) -> list[QueryGraph]:
+def random_walk_queries(g: PropertyGraph, size: int, density: str, count: int, seed: int, tries: int = 400, held: dict | None = None) -> list[QueryGraph]:
     """Induced subgraphs on vertices met by a walk from seeded roots; each has a match by construction.
 
-    density: sparse (average degree below 3), dense (3 or more) or any. All walks take a step in one
-    job: a walk goes to the neighbour of smallest seeded hash, out of all that its vertex has, so only
-    one vertex for each walk comes to the driver.
+    density: sparse (average degree below 3), dense (3 or more) or any. `held` keeps the walks of a graph
+    for further calls: sparse and dense queries are picked from the same ones.
+    """
+    tries = min(tries, 8 * count if density == "any" else 24 * count)
+    key, held = (size, count, seed, tries), {} if held is None else held
+    if key not in held:
+        held[key] = _walked(g, *key)
+    full, inside, labels = held[key]
+    out: list[QueryGraph] = []
+    for w in full:
+        at = {v: i for i, v in enumerate(w)}
+        edges = sorted({tuple(sorted((at[a], at[b]))) for a, b in inside if a in at and b in at})
+        degree = 2 * len(edges) / size
+        q = QueryGraph(tuple(f"u{i}" for i in range(size)), tuple(labels[v] for v in w), tuple((a, b, None) for a, b in edges))
+        if (density == "any" or (density == "sparse") == (degree < 3)) and len(q.components()) == 1 and q not in out:
+            out.append(q)
+        if len(out) == count:
+            break
+    return out
+
+
+def _walked(g: PropertyGraph, size: int, count: int, seed: int, tries: int) -> tuple[list[list[int]], set[tuple[int, int]], dict[int, str | None]]:
+    """Vertex sets of the walks that met `size` vertices, the arcs among all of these and their labels.
+
+    All walks take a step in one job: a walk goes to the neighbour of smallest seeded hash, out of all
+    that its vertex has, so only one vertex for each walk comes to the driver. An arc that is there twice
+    changes no step, so the arcs are only scanned.
     """
     rng = random.Random(seed)
     spark = g.edges.sparkSession
-    arcs = g.edges.select("src", "dst").where("src <> dst").distinct()
-    tries = min(tries, 8 * count if density == "any" else 24 * count)
+    arcs = g.edges.select("src", "dst").where("src <> dst")
     pool = [r.src for r in arcs.select("src").distinct().orderBy(F.xxhash64("src", F.lit(seed))).limit(max(4 * count, 64)).collect()]
     walks = [[rng.choice(pool)] for _ in range(tries)] if pool else []
     for step in range(6 * size):
@@ -76,17 +99,7 @@ def random_walk_queries(g: PropertyGraph, size: int, density: str, count: int, s
     full = [sorted(set(w)) for w in walks if len(set(w)) == size]
     every = sorted({v for w in full for v in w})
     if not every:
-        return []
+        return [], set(), {}
     inside = {(r.src, r.dst) for r in arcs.where(F.col("src").isin(every) & F.col("dst").isin(every)).collect()}
     labels = {r.id: r.label for r in g.vertices.where(F.col("id").isin(every)).select("id", "label").collect()}
-    out: list[QueryGraph] = []
-    for w in full:
-        at = {v: i for i, v in enumerate(w)}
-        edges = sorted({tuple(sorted((at[a], at[b]))) for a, b in inside if a in at and b in at})
-        degree = 2 * len(edges) / size
-        q = QueryGraph(tuple(f"u{i}" for i in range(size)), tuple(labels[v] for v in w), tuple((a, b, None) for a, b in edges))
-        if (density == "any" or (density == "sparse") == (degree < 3)) and len(q.components()) == 1 and q not in out:
-            out.append(q)
-        if len(out) == count:
-            break
-    return out
+    return full, inside, labels
