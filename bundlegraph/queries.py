@@ -399,7 +399,7 @@ add("graph_link", lambda s, d: links(s, d).edges.groupBy("src").agg(F.count("*")
 # --- patterns on them --------------------------------------------------------------------------------
 add("copart_triangle_by_type", lambda s, d: match(part(s, d), TYPED_TRIANGLE).count_by("a"), sql("copart", TYPED_TRIANGLE, "{a} AS a, count(*) AS n", tail="GROUP BY ALL"))
 _ANY = shape("triangle")
-add("sim_triangle", lambda s, d: match(similar(s, d), _ANY).flat(), sql("sim", _ANY, "*"))
+add("sim_triangle", G.similar_triangles, sql("sim", _ANY, "*"))
 add("doc_cluster", lambda s, d: line_cover(s, d).triangles(), sql("doc", _ANY))
 _BUTTERFLY = parse("(p:page)-[:LINKS]->(x:href)<-[:LINKS]-(q:page)-[:LINKS]->(y:href), (p)-[:LINKS]->(y)", directed=True)
 add("link_butterfly", lambda s, d: match(links(s, d), _BUTTERFLY).count(),

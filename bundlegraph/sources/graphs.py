@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from ..functions.scratch import fingerprint, path_exists, written
 from ..model import PropertyGraph
 from ..operators.cover import Cover, cover
+from ..operators.dense import BLOCK, triangles
 
 TAG = 1_000_000_000_000
 TAGS = {"region": 1, "nation": 2, "customer": 3, "supplier": 4, "part": 5, "orders": 6}
@@ -94,6 +95,18 @@ def copart(spark: SparkSession, sf_dir: str, min_shared: int = 1, label: str = "
     return undirected(vertices, pairs, "CO")
 
 
+def near(a: np.ndarray, b: np.ndarray, threshold: float) -> np.ndarray:
+    """Which rows of a have which rows of b at a cosine at or above the threshold."""
+    cos = (a @ b.T) / np.maximum(np.linalg.norm(a, axis=1)[:, None] * np.linalg.norm(b, axis=1)[None, :], 1e-300)
+    return cos >= threshold
+
+
+def similar_triangles(spark: SparkSession, sf_dir: str, threshold: float = 0.3, block: int = BLOCK) -> DataFrame:
+    """The triangles a, b, c of `similar`, made from the vectors without its arcs."""
+    rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").alias("v")).where("id IS NOT NULL AND v IS NOT NULL")
+    return triangles(rows, lambda a, b: near(a, b, threshold), block)
+
+
 def similar(spark: SparkSession, sf_dir: str, threshold: float = 0.3, block: int = 2048) -> PropertyGraph:
     """Vectors of cosine at or above the threshold: exact, block against block of bounded size."""
     rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("label").cast("string").alias("label"), F.transform("embedding", lambda x: x.cast("double")).alias("v")).where("id IS NOT NULL AND v IS NOT NULL")
@@ -106,8 +119,7 @@ def similar(spark: SparkSession, sf_dir: str, threshold: float = 0.3, block: int
         if not len(x) or not len(y):
             return pd.DataFrame({"src": pd.Series(dtype="int64"), "dst": pd.Series(dtype="int64")})
         a, b = np.stack(x["v1"].to_numpy()), np.stack(y["v2"].to_numpy())
-        cos = (a @ b.T) / np.maximum(np.linalg.norm(a, axis=1)[:, None] * np.linalg.norm(b, axis=1)[None, :], 1e-300)
-        r, c = np.nonzero(cos >= threshold)
+        r, c = np.nonzero(near(a, b, threshold))
         s, d = x["id1"].to_numpy()[r], y["id2"].to_numpy()[c]
         return pd.DataFrame({"src": np.minimum(s, d)[s != d], "dst": np.maximum(s, d)[s != d]})
 
