@@ -14,6 +14,7 @@ from .operators.batched import batched
 from .operators.filters import base_masks, candidate_table, filter_candidates, refine_to_fixpoint
 from .operators.levels import extend, seed
 from .operators.match import candidate_counts, match, prepare
+from .operators.squares import square_of, squares
 from .plans.pattern import parse
 from .sources import graphs as G
 from .sources.graphs import GRAPH_SQL, TAG
@@ -296,8 +297,15 @@ add("project_distinct", lambda s, d: match_sql(part(s, d), "(a:LARGE {p_size <=
 add("bucketed_index", _bucketed, sql("copart", _WEDGE, "{a} AS va, count(*) AS n", tail="GROUP BY ALL"))
 
 # --- the nine directed shapes ----------------------------------------------------------------------
+def _social(s, d, n):
+    """A square with twin corners is counted from the tables' arcs; the others by the search."""
+    q, g = social(n), G.trade(s, d)
+    square = square_of(g, q)
+    return squares(g, square) if square else match(trade(s, d), q).count()
+
+
 for _n in SOCIAL:
-    add(_n, lambda s, d, n=_n: match(trade(s, d), social(n)).count(), trade_sql(social(_n)))
+    add(_n, lambda s, d, n=_n: _social(s, d, n), trade_sql(social(_n)))
 add("directed_cycle", lambda s, d: match(trade(s, d), social("s2")).flat(), trade_sql(social("s2"), "*"))
 _EV = parse("(u:user)-[:click]->(k:key)<-[:view]-(w:user)", directed=True)
 add("edge_label_events", lambda s, d: match(events(s, d), _EV).count_by("k"), sql("event", _EV, "{k} AS k, count(*) AS n", tail="GROUP BY ALL"))

@@ -22,10 +22,20 @@ def vectors(spark, path, ids, v):
     spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{path}/embeddings.parquet")
 
 
-@pytest.mark.parametrize("block,rows,pairs", [(8192, 256, 1 << 21), (17, 3, 4), (5, 2, 1)])
-def test_every_triangle_once_in_each_order(spark, tmp_path, monkeypatch, block, rows, pairs):
-    """One block and many; copies of one vector, a zero vector, and an id that is there twice."""
+@pytest.mark.parametrize("rows,pairs", [(256, 1 << 21), (3, 4), (2, 1)])
+def test_lots_of_rows_and_pairs(monkeypatch, rows, pairs):
+    """In one block: each triangle once, its corners in order; id 6 is there twice."""
     monkeypatch.setattr(dense, "ROWS", rows), monkeypatch.setattr(dense, "PAIRS", pairs)
+    v = np.random.default_rng(rows).normal(size=(30, 5))
+    ids = np.array([*range(29), 6])
+    one = dense.Block(ids, v)
+    found = [(x, y, z) for a, b, n, c in dense.corners(one, one, one, lambda x, y: G.near(x, y, 0.3)) for x, y, z in zip(np.repeat(a, n), np.repeat(b, n), c)]
+    assert sorted(found) == [t for t in brute(ids.tolist(), v) if t[0] < t[1] < t[2]] and found
+
+
+@pytest.mark.parametrize("block", [8192, 17, 5])
+def test_every_triangle_once_in_each_order(spark, tmp_path, block):
+    """One block and many; copies of one vector, a zero vector, and an id that is there twice."""
     v = np.random.default_rng(block).normal(size=(40, 6)).astype(np.float32).astype(float)
     v[30:36], v[36] = v[30], 0
     ids = [3 * k for k in range(39)] + [6]
