@@ -23,6 +23,7 @@ import zlib
 from array import array
 from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -48,6 +49,16 @@ class Inputs:
 
     def __init__(self, words: dict[str, float], grams: dict[str, float]):
         self.words, self.grams = words, grams
+        self._table: _Odds | None = None
+
+    def __getstate__(self):
+        return self.__dict__ | {"_table": None}
+
+    @property
+    def table(self) -> "_Odds":
+        if self._table is None:
+            self._table = _Odds(self.grams)
+        return self._table
 
     @staticmethod
     def parts(w: str) -> list[str]:
@@ -88,13 +99,92 @@ class Inputs:
         rare.clear()
         return [cls(odds(words, f), {k: v for k, v in odds(grams, f).items() if abs(v) > 0.2}) for f in range(folds + 1)]
 
-    def of(self, token: str) -> tuple[tuple[float, ...], int, list[int]]:
-        """The six figures, the row of the word's embedding and the rows of its n-grams' embeddings."""
-        w = token.lower().strip(_EDGE)
-        parts = self.parts(w)
-        got, known = [self.grams.get(g, 0.0) for g in parts] or [0.0], self.words.get(w)
-        figures = ((known or 0.0) / 2, float(known is not None), min(len(w), 20) / 10, max(got) / 2, sum(got) / len(got), sum(c.isupper() for c in token) / len(token))
-        return figures, zlib.crc32(w.encode("utf-8", "surrogatepass")) % WORD_ROWS, [zlib.crc32(g.encode("utf-8", "surrogatepass")) % GRAM_ROWS for g in parts]
+    def of(self, tokens: list[str]) -> tuple[np.ndarray, list[int], np.ndarray, np.ndarray]:
+        """For each token the six figures, the row of the word's embedding and how many n-grams it has; the
+        rows of their embeddings, token by token."""
+        bare = [t.lower().strip(_EDGE) for t in tokens]
+        many, high, low, rows = _grams(bare)
+        got, some = self.table.of(high, low), many > 0
+        known = [self.words.get(w) for w in bare]
+        figures = np.zeros((len(bare), FIGURES))
+        figures[:, 0] = [(k or 0.0) / 2 for k in known]
+        figures[:, 1] = [k is not None for k in known]
+        figures[:, 2] = [min(len(w), 20) / 10 for w in bare]
+        if len(got):
+            at = (np.cumsum(many) - many)[some]
+            figures[some, 3] = np.maximum.reduceat(got, at) / 2
+            figures[some, 4] = np.add.reduceat(got, at) / many[some]
+        figures[:, 5] = [0.0 if t.islower() else sum(map(str.isupper, t)) / len(t) for t in tokens]
+        words = [zlib.crc32(w.encode("utf-8", "surrogatepass")) % WORD_ROWS for w in bare]
+        return figures.astype(np.float32), words, many, rows
+
+
+# a checksum is the exclusive or of one part for each byte, by how many bytes follow it, and one for the length
+_BYTE = np.array([[(zlib.crc32(bytes([b]) + bytes(k)) ^ zlib.crc32(bytes(k + 1))) % GRAM_ROWS for b in range(256)] for k in range(20)], dtype=np.uint16)
+_LENGTH = [zlib.crc32(bytes(k)) % GRAM_ROWS for k in range(21)]
+
+
+def _grams(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All n-grams of `Inputs.parts`, word by word, without a string for each: how many each word has, their
+    characters in two numbers (three in one, two in the other) and crc32 % GRAM_ROWS."""
+    text = "".join([f"^{w}$" for w in words])
+    raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), dtype=np.uint8)
+    char = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype=np.uint32).astype(np.uint64)
+    byte = np.append(np.flatnonzero((raw & 0xC0) != 0x80), len(raw))
+    size = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
+    start, fours, fives = np.cumsum(size + 2) - size - 2, np.maximum(size - 1, 0), np.maximum(size - 2, 0)
+    many = fours + fives
+    first = np.cumsum(many) - many
+    high, low, rows = np.empty(many.sum(), dtype=np.uint64), np.empty(many.sum(), dtype=np.uint64), np.empty(many.sum(), dtype=np.int32)
+    three = char[:-2] | char[1:-1] << np.uint64(21) | char[2:] << np.uint64(42) if len(char) > 2 else char[:0]
+    for n, count, to in ((4, fours, first), (5, fives, first + fours)):
+        nth = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        at, to = np.repeat(start, count) + nth, np.repeat(to, count) + nth
+        high[to] = three[at]
+        low[to] = char[at + 3] if n == 4 else char[at + 3] | (char[at + 4] + np.uint64(1)) << np.uint64(21)
+        begin = byte[at]
+        length = byte[at + n] - begin
+        for k in np.flatnonzero(np.bincount(length)).tolist():
+            of = length == k
+            b, row = begin[of], np.full(int(of.sum()), _LENGTH[k], dtype=np.uint16)
+            for j in range(k):
+                row ^= _BYTE[k - 1 - j][raw[b + j]]
+            rows[to[of]] = row
+    return many, high, low, rows
+
+
+class _Odds:
+    """Log-odds of n-grams by the numbers of `_grams`: open addressing, whole keys are compared."""
+
+    def __init__(self, odds: dict[str, float]):
+        char = [[ord(c) for c in g] for g in odds]
+        high = np.array([c[0] | c[1] << 21 | c[2] << 42 for c in char], dtype=np.uint64)
+        low = np.array([c[3] | (c[4] + 1 << 21 if len(c) == 5 else 0) for c in char], dtype=np.uint64)
+        self.bits = max(4, (4 * len(odds)).bit_length())
+        self.slot = np.full(1 << self.bits, -1, dtype=np.int32)
+        left, at = np.arange(len(odds), dtype=np.int32), self._at(high, low)
+        while len(left):  # a slot goes to one of those who ask for it, the others try the next
+            free = self.slot[at] < 0
+            self.slot[at[free]] = left[free]
+            again = self.slot[at] != left
+            left, at = left[again], at[again] + 1 & len(self.slot) - 1
+        self.high, self.low, self.odds = high, low, np.array(list(odds.values()), dtype=np.float64)
+
+    def _at(self, high: np.ndarray, low: np.ndarray) -> np.ndarray:
+        mixed = high * np.uint64(0x9E3779B97F4A7C15) ^ low * np.uint64(0xC2B2AE3D27D4EB4F)
+        return ((mixed ^ mixed >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def of(self, high: np.ndarray, low: np.ndarray) -> np.ndarray:
+        """The odds of each n-gram, 0 where it has none."""
+        out, left, at = np.zeros(len(high)), np.arange(len(high)), self._at(high, low)
+        while len(left):
+            held = self.slot[at]
+            some = held >= 0
+            left, at, held = left[some], at[some], held[some]
+            same = (self.high[held] == high[left]) & (self.low[held] == low[left])
+            out[left[same]] = self.odds[held[same]]
+            left, at = left[~same], at[~same] + 1 & len(self.slot) - 1
+        return out
 
 
 class Tokens:
@@ -105,12 +195,16 @@ class Tokens:
 
     def add(self, inputs: Inputs, token: str) -> int:
         """The number of a new type."""
-        figures, word, grams = inputs.of(token)
-        self._figures.extend(figures)
-        self._word.append(word)
-        self._many.append(len(grams))
-        self._grams.extend(grams)
-        return len(self._word) - 1
+        return self.extend(inputs, [token]) - 1
+
+    def extend(self, inputs: Inputs, tokens: list[str]) -> int:
+        """New types, numbered in their order; how many types there are then, with type 0."""
+        figures, words, many, rows = inputs.of(tokens)
+        self._figures.frombytes(figures.tobytes())
+        self._word.extend(words)
+        self._many.frombytes(many.astype(np.int32).tobytes())
+        self._grams.frombytes(rows.tobytes())
+        return len(self._word)
 
     def done(self) -> "Tokens":
         """No more types come: the arrays as numpy's, without a copy."""
@@ -303,16 +397,17 @@ class ToxicityModel:
         fresh = self.types.fresh
         if not fresh:
             return
-        new = Tokens()
-        for t in fresh:
-            new.add(self.inputs, t)
-        x = self.net.inputs(new.done(), np.arange(1, len(fresh) + 1))
         need = self.filled + len(fresh)
         if need > len(self.gf):
             more = max(need, 2 * len(self.gf)) - len(self.gf)
             self.gf, self.gb = (np.concatenate([g, np.zeros((more, 3 * HIDDEN), dtype=np.float32)]) for g in (self.gf, self.gb))
-        self.gf[self.filled : need], self.gb[self.filled : need] = self.net.project(x)
-        self.filled = need
+        cuts = (np.flatnonzero(np.diff(np.cumsum([len(t) for t in fresh]) >> 17)) + 1).tolist()  # about 131,072 characters at once
+        for lo, hi in zip([0, *cuts], [*cuts, len(fresh)]):
+            new = Tokens()
+            new.extend(self.inputs, fresh[lo:hi])
+            to = slice(self.filled, self.filled + hi - lo)
+            self.gf[to], self.gb[to] = self.net.project(self.net.inputs(new.done(), np.arange(1, hi - lo + 1)))
+            self.filled = to.stop
         fresh.clear()
 
     def window_logits(self, tokens: list[list[str]]) -> tuple[np.ndarray, np.ndarray]:
@@ -320,7 +415,7 @@ class ToxicityModel:
         if self.types is None or len(self.types) > self.room:
             self._reset()
         lengths = np.array([len(t) for t in tokens], dtype=np.int64)
-        flat = np.fromiter(map(self.types.__getitem__, (w for t in tokens for w in t)), dtype=np.int64, count=int(lengths.sum()))
+        flat = np.fromiter(map(self.types.__getitem__, chain.from_iterable(tokens)), dtype=np.int64, count=int(lengths.sum()))
         self._grow()
         flat = np.append(flat, 0)
         doc, start, size = windows(lengths)
@@ -376,12 +471,11 @@ def fit_network(texts: list[str], labels: list[int], rounds: int = 3, steps: int
     seen: list[dict[str, int]] = [{} for _ in range(folds)]
     kinds, flat = Tokens(), array("i")
     for t, f in zip(tokens, fold_of):
-        known, odds = seen[f], without[f]
-        for w in t:
-            i = known.get(w)
-            if i is None:
-                i = known[w] = kinds.add(odds, w)
-            flat.append(i)
+        known = seen[f]
+        fresh = [w for w in dict.fromkeys(t) if w not in known]
+        n = kinds.extend(without[f], fresh)
+        known.update(zip(fresh, range(n - len(fresh), n)))
+        flat.extend(map(known.__getitem__, t))
     kinds.done()
     flat.append(0)
     flat = np.frombuffer(flat, dtype=np.int32)
